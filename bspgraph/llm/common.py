@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import tempfile
+import uuid
 import zlib
 from collections.abc import Callable, Iterator
 
@@ -10,6 +11,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..shipping import ship
+
 #: Most rows of a side that is broadcast; a larger side is joined by shuffle.
 BROADCAST_ROWS = 20_000
 
@@ -57,6 +60,7 @@ def map_rows(df: DataFrame, kernel: Callable[[pa.RecordBatch], dict], schema: st
     from pyspark.sql.pandas.types import to_arrow_schema
     from pyspark.sql.types import _parse_datatype_string
 
+    ship(df.sparkSession)
     arrow = to_arrow_schema(_parse_datatype_string(schema))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -83,3 +87,19 @@ def bounded_sample(labelled: DataFrame, keys: list[str], most: int) -> DataFrame
 def crc_text(value: int) -> int:
     """crc32 of the decimal text of ``value``, as ``crc_mod`` takes it."""
     return zlib.crc32(str(value).encode())
+
+
+class Shared:
+    """A value sent to the workers once; each worker builds its tool from it once."""
+
+    _built: dict = {}
+
+    def __init__(self, spark: SparkSession, value, build: Callable = lambda x: x):
+        self._key, self._value, self._build = uuid.uuid4().hex, spark.sparkContext.broadcast(value), build
+
+    def get(self):
+        if self._key not in Shared._built:
+            if len(Shared._built) >= 4:
+                Shared._built.clear()
+            Shared._built[self._key] = self._build(self._value.value)
+        return Shared._built[self._key]

@@ -2,19 +2,45 @@
 
 from __future__ import annotations
 
+import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from . import mixing, pii
-from .common import documents
+from . import bpe, langid, mixing, pii, quality, telephony, toxicity
+from .common import documents, labels
+
+
+def op1_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Grades: 0 poor, 1 sound but toxic, 2 sound; a document is kept if it
+    probably reaches grade 1."""
+    sound = F.col("quality") == 1
+    grade = F.when(~sound, 0).when(sound & (F.col("toxic") == 1), 1).when(sound, 2)
+    return quality.quality_report(documents(spark, sf_dir), labels(spark, sf_dir).select("doc_id", grade.alias("grade")))
 
 
 def op2_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.pii_report(documents(spark, sf_dir))
 
 
+def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity.toxicity_report(documents(spark, sf_dir), labels(spark, sf_dir))
+
+
+def op6_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return bpe.codec_report(documents(spark, sf_dir), public_tokenizers.path(bpe.VOCABULARY))
+
+
+def op8_telephony(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return telephony.audio_report(documents(spark, sf_dir))
+
+
 def op9_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(documents(spark, sf_dir)).select("doc_id", "size", "source_size", "target", "taken")
 
 
-QUERIES = {f.__name__: f for f in (op2_pii, op9_mixing)}
+def op10_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return langid.identify(documents(spark, sf_dir))
+
+
+QUERIES = {f.__name__: f for f in (op1_quality, op2_pii, op4_toxicity, op6_bpe, op8_telephony, op9_mixing, op10_language)}
 ORACLES: dict[str, str] = {}
