@@ -10,6 +10,7 @@ from collections.abc import Callable, Iterator
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 from ..shipping import ship
 
@@ -55,13 +56,13 @@ def held_out(doc_id: Column, modulus: int, remainder: int) -> Column:
     return F.coalesce(crc_mod(doc_id, modulus) == remainder, F.lit(False))
 
 
-def map_rows(df: DataFrame, kernel: Callable[[pa.RecordBatch], dict], schema: str) -> DataFrame:
+def map_rows(df: DataFrame, kernel: Callable[[pa.RecordBatch], dict], schema: str | StructType) -> DataFrame:
     """Apply ``kernel`` (a batch to a dict of columns) batch by batch."""
     from pyspark.sql.pandas.types import to_arrow_schema
     from pyspark.sql.types import _parse_datatype_string
 
     ship(df.sparkSession)
-    arrow = to_arrow_schema(_parse_datatype_string(schema))
+    arrow = to_arrow_schema(_parse_datatype_string(schema) if isinstance(schema, str) else schema)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -103,3 +104,19 @@ class Shared:
                 Shared._built.clear()
             Shared._built[self._key] = self._build(self._value.value)
         return Shared._built[self._key]
+
+
+def map_batches(df: DataFrame, kernel: Callable[[Iterator[pa.RecordBatch]], Iterator[dict]], schema: str) -> DataFrame:
+    """Apply ``kernel`` to all batches of a partition; it yields dicts of columns."""
+    from pyspark.sql.pandas.types import to_arrow_schema
+    from pyspark.sql.types import _parse_datatype_string
+
+    ship(df.sparkSession)
+    arrow = to_arrow_schema(_parse_datatype_string(schema))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for columns in kernel(batches):
+            if columns:
+                yield pa.RecordBatch.from_arrays([pa.array(columns[f.name], type=f.type) for f in arrow], schema=arrow)
+
+    return df.mapInArrow(run, schema)

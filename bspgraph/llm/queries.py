@@ -6,7 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, langid, mixing, pii, quality, telephony, toxicity
+from . import bpe, exactdup, langid, linededup, mixing, pii, quality, telephony, toxicity
 from .common import documents, labels
 
 
@@ -22,6 +22,10 @@ def op2_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.pii_report(documents(spark, sf_dir))
 
 
+def op3_exact(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return exactdup.exact_groups(documents(spark, sf_dir))
+
+
 def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.toxicity_report(documents(spark, sf_dir), labels(spark, sf_dir))
 
@@ -30,6 +34,10 @@ def op6_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.codec_report(documents(spark, sf_dir), public_tokenizers.path(bpe.VOCABULARY))
 
 
+def op7_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return linededup.line_report(documents(spark, sf_dir))
+
+
 def op8_telephony(spark: SparkSession, sf_dir: str) -> DataFrame:
     return telephony.audio_report(documents(spark, sf_dir))
 
@@ -42,5 +50,5 @@ def op10_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return langid.identify(documents(spark, sf_dir))
 
 
-QUERIES = {f.__name__: f for f in (op1_quality, op2_pii, op4_toxicity, op6_bpe, op8_telephony, op9_mixing, op10_language)}
+QUERIES = {f.__name__: f for f in (op1_quality, op2_pii, op3_exact, op4_toxicity, op6_bpe, op7_lines, op8_telephony, op9_mixing, op10_language)}
 ORACLES: dict[str, str] = {}
