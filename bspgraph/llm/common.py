@@ -14,8 +14,8 @@ from pyspark.sql.types import StructType
 
 from ..shipping import ship
 
-#: Most rows of a side that is broadcast; a larger side is joined by shuffle.
-BROADCAST_ROWS = 20_000
+#: Most rows (a few numbers each) of a side that is broadcast; a larger side is joined by shuffle.
+BROADCAST_ROWS = 100_000
 
 WORD = r"[^\x20\x09-\x0D]+"
 

@@ -6,7 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, exactdup, langid, linededup, mixing, pii, quality, telephony, toxicity
+from . import bpe, exactdup, langid, linededup, mixing, neardup, pii, quality, telephony, toxicity
 from .common import documents, labels
 
 
@@ -30,6 +30,10 @@ def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.toxicity_report(documents(spark, sf_dir), labels(spark, sf_dir))
 
 
+def op5_neardup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return neardup.near_duplicates(documents(spark, sf_dir))
+
+
 def op6_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.codec_report(documents(spark, sf_dir), public_tokenizers.path(bpe.VOCABULARY))
 
@@ -50,5 +54,5 @@ def op10_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return langid.identify(documents(spark, sf_dir))
 
 
-QUERIES = {f.__name__: f for f in (op1_quality, op2_pii, op3_exact, op4_toxicity, op6_bpe, op7_lines, op8_telephony, op9_mixing, op10_language)}
+QUERIES = {f.__name__: f for f in (op1_quality, op2_pii, op3_exact, op4_toxicity, op5_neardup, op6_bpe, op7_lines, op8_telephony, op9_mixing, op10_language)}
 ORACLES: dict[str, str] = {}
