@@ -103,9 +103,9 @@ def links_within(ids: list[int], sets: list[np.ndarray], percent: int = PERCENT)
         overlap = np.bincount(holders[first + np.arange(int(width.sum()))], minlength=count)
         hit = 100 * overlap >= percent * (sizes[q] + sizes - overlap)
         for other in np.unique(label[hit]):
-            if other != label[q]:
-                partner = int(np.flatnonzero(hit & (label == other))[0])
-                out.append((ids[q], ids[partner]))
+            partner = np.flatnonzero(hit & (label == other))
+            if other != label[q] and len(partner):  # none left: merged just now
+                out.append((ids[q], ids[int(partner[0])]))
                 into, gone = (label[q], other) if members[label[q]] >= members[other] else (other, label[q])
                 members[into] += members[gone]
                 members[gone] = 0
