@@ -22,6 +22,7 @@ import mmap
 import struct
 import tempfile
 
+import numpy as np
 import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame, SparkSession
@@ -301,3 +302,20 @@ def codec_report(docs: DataFrame, path: str) -> DataFrame:
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     return map_rows(rows, kernel, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
+
+
+def tokenise(docs: DataFrame, path: str) -> DataFrame:
+    """doc_id, n_tokens, ``ids`` and the hash of the text decoded from them."""
+    shared = shared_codec(docs.sparkSession, path)
+
+    def kernel(batch: pa.RecordBatch) -> dict:
+        codec = shared.get()
+        ids, texts = [], []
+        for value in batch.column(1):
+            encoded = codec.encode_text(value.as_py() or "")
+            ids.append(np.array(encoded.split(",") if encoded else [], dtype=np.int32))
+            texts.append(hashlib.sha256(codec.decode_text(encoded).encode()).hexdigest())
+        return {"doc_id": batch.column(0), "n_tokens": list(map(len, ids)), "ids": ids, "decoded_sha256": texts}
+
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    return map_rows(rows, kernel, "doc_id long, n_tokens long, ids array<int>, decoded_sha256 string")

@@ -148,3 +148,18 @@ def identify(docs: DataFrame) -> DataFrame:
     labelled = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & F.col("doc_id").isNotNull() & ~out)
     found = predict(docs, learn(labelled))
     return found.select("doc_id", held_out(F.col("doc_id"), 4, 2).alias("held_out"), "lang_pred", "score")
+
+
+def keep_identified(docs: DataFrame, least: float = 0.4) -> DataFrame:
+    """The rows of ``docs`` whose language is found; ``und`` and rows with a
+    score below ``least`` go.  All columns stay as they are."""
+    labelled = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & F.col("doc_id").isNotNull())
+    shared = Shared(docs.sparkSession, learn(labelled), Scorer)
+
+    def kernel(batch: pa.RecordBatch) -> dict:
+        scorer = shared.get()
+        found = [scorer.predict(t.as_py()) for t in batch.column(batch.schema.get_field_index("text"))]
+        kept = batch.filter(pa.array([lang != UNKNOWN and score >= least for lang, score in found], type=pa.bool_()))
+        return {name: kept.column(i) for i, name in enumerate(kept.schema.names)}
+
+    return map_rows(docs, kernel, docs.schema)

@@ -111,3 +111,12 @@ def mix(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, most: int = MOST_
     return last.unionByName(others).select(
         "doc_id", "source", "size", "source_size", "target", (F.col("epochs") + F.col("more")).alias("copies")
     ).withColumn("taken", F.col("size") * F.col("copies"))
+
+
+def take(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, most: int = MOST_EPOCHS, seed: str = SEED) -> DataFrame:
+    """The rows of ``docs`` as often as the mix takes them; untaken rows go."""
+    plan = mix(docs, weights, most, seed).groupBy("doc_id").agg(F.max("copies").alias("__copies"))
+    plan = cut(plan.where("__copies > 0").withColumnRenamed("doc_id", "__doc_id"))
+    joined = docs.join(small(plan, plan.count()), docs["doc_id"].eqNullSafe(F.col("__doc_id")))
+    again = joined.withColumn("__turn", F.explode(F.sequence(F.lit(1), F.col("__copies").cast("int"))))
+    return again.select(docs.columns)

@@ -180,3 +180,9 @@ def near_duplicates(
     return out.select(
         "doc_id", F.col("n").alias("n_shingles"), component.alias("component_id"), component.eqNullSafe(F.col("doc_id")).alias("kept")
     )
+
+
+def keep_one(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
+    """The rows of ``docs`` without those that near-copy a lesser doc_id."""
+    gone = cut(near_duplicates(docs, percent).where("not kept").select("doc_id").distinct())
+    return docs.join(small(gone, gone.count()), "doc_id", "left_anti").select(docs.columns)

@@ -1,14 +1,64 @@
-"""The corpus pipeline: stages are added as their operators are built."""
+"""The corpus pipeline: documents to tokens in five stages.
+
+Each stage is a function of (spark, docs, sf_dir).  Its result is written as
+Parquet and read again as the next one's ``docs``, so a lost executor costs a
+stage at most.
+"""
 
 from __future__ import annotations
 
+import uuid
+
+import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from bspgraph.llm import bpe, langid, linededup, mixing, neardup
+from bspgraph.llm.common import checkpoint_dir, documents
+
+
+def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents without a language go."""
+    return langid.keep_identified(docs)
+
+
+def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Long lines of five documents or more stay in one of them."""
+    out = linededup.dedup_lines(docs)
+    return out.withColumn("n_chars", F.length("text").cast("long")) if "n_chars" in docs.columns else out
+
+
+def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each group of near copies stays."""
+    return neardup.keep_one(docs)
+
+
+def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Each source comes near its share of the words, repeated at most thrice."""
+    return mixing.take(docs)
+
+
+def encode_tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Token ids, and the hash of the text they decode to."""
+    return bpe.tokenise(docs, public_tokenizers.path(bpe.VOCABULARY))
+
 
-from bspgraph.llm.common import documents
+STAGES = [
+    ("language ID", identify_language),
+    ("line dedup", drop_repeated_lines),
+    ("near-duplicate removal", drop_near_copies),
+    ("mixing", mix_sources),
+    ("BPE", encode_tokens),
+]
 
-STAGES: list = []
+#: Learned languages and token ids are beyond SQL; tests compare with brute force.
 ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return documents(spark, sf_dir)
+    """All stages over ``documents``; stages are kept in the shared folder."""
+    docs, folder = documents(spark, sf_dir), f"{checkpoint_dir(spark)}/pipeline-{uuid.uuid4().hex}"
+    for n, (_, stage) in enumerate(STAGES):
+        stage(spark, docs, sf_dir).write.parquet(f"{folder}/{n}")
+        docs = spark.read.parquet(f"{folder}/{n}")
+    return docs
