@@ -17,6 +17,9 @@ from ..shipping import ship
 #: Most rows (a few numbers each) of a side that is broadcast; a larger side is joined by shuffle.
 BROADCAST_ROWS = 100_000
 
+#: Rows that a kernel takes at once: bounds the memory of a worker.
+SLICE_ROWS = 1000
+
 WORD = r"[^\x20\x09-\x0D]+"
 
 
@@ -68,8 +71,8 @@ def map_rows(df: DataFrame, kernel: Callable[[pa.RecordBatch], dict], schema: st
     arrow = to_arrow_schema(_parse_datatype_string(schema) if isinstance(schema, str) else schema)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            columns = kernel(batch)
+        for part in (b.slice(at, SLICE_ROWS) for b in batches for at in range(0, b.num_rows, SLICE_ROWS)):
+            columns = kernel(part)
             yield pa.RecordBatch.from_arrays([pa.array(columns[f.name], type=f.type) for f in arrow], schema=arrow)
 
     return df.mapInArrow(run, schema)
@@ -103,8 +106,7 @@ class Shared:
 
     def get(self):
         if self._key not in Shared._built:
-            if len(Shared._built) >= 4:
-                Shared._built.clear()
+            Shared._built.clear()  # the tools of earlier jobs are not needed again
             Shared._built[self._key] = self._build(self._value.value)
         return Shared._built[self._key]
 
