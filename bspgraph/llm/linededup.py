@@ -29,30 +29,35 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Shared, cut, map_batches, map_rows
+from .common import Shared, cut, map_batches, map_rows, small
 
 MIN_CHARS = 40
 MIN_DOCS = 5
-SPACE = "\x20\t\n\x0b\x0c\r"
-CAPITALS = {c: c + 32 for c in range(65, 91)}
+SPACE = b"\x20\t\n\x0b\x0c\r"
 
 #: Bits of the twice-filters of all owners together, and number of owners.
 FILTER_BITS = 1 << 26
 OWNERS = 64
 PROBES = 3
 
+#: Characters of keys that count as one row of a broadcast.
+KEY_BYTES = 200
+
 #: What a null doc_id counts as.
 NO_ID = -(1 << 63)
 
 
-def key_of(line: str) -> str:
-    return line.strip(SPACE).translate(CAPITALS)
+def key_of(line: bytes) -> bytes:
+    """The key of a line in UTF-8, empty if it is shorter than ``MIN_CHARS``."""
+    key = line.strip(SPACE)
+    if len(key) < MIN_CHARS or not key.isascii() and len(key.decode()) < MIN_CHARS:
+        return b""
+    return key.lower()  # on bytes, only A-Z are lowered
 
 
-def keys_of(text: str | None) -> list[str]:
-    """The key of every line; shorter keys than ``MIN_CHARS`` are empty."""
-    lines = (text or "").split("\n")
-    return [key_of(x) if len(x) >= MIN_CHARS and len(x.strip(SPACE)) >= MIN_CHARS else "" for x in lines]
+def keys_of(text: str | None) -> list[bytes]:
+    """The key of every line."""
+    return [key_of(x) if len(x) >= MIN_CHARS else b"" for x in (text or "").encode().split(b"\n")]
 
 
 class Filter:
@@ -82,8 +87,8 @@ def _owner(hashes: np.ndarray, owners: int) -> np.ndarray:
     return ((hashes >> np.uint64(40)) % np.uint64(owners)).astype(np.int64)
 
 
-def _hash_all(keys: list[str]) -> np.ndarray:
-    return np.fromiter((xxhash.xxh3_64_intdigest(k.encode()) for k in keys), dtype=np.uint64, count=len(keys))
+def _hash_all(keys: list[bytes]) -> np.ndarray:
+    return np.fromiter(map(xxhash.xxh3_64_intdigest, keys), dtype=np.uint64, count=len(keys))
 
 
 class Suspects:
@@ -146,7 +151,7 @@ def repeated_lines(docs: DataFrame, bits: int = FILTER_BITS, min_docs: int = MIN
         ids, keys, lines = [], [], []
         suspects = shared.get()
         for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1)):
-            where: dict[str, list[int]] = {}
+            where: dict[bytes, list[int]] = {}
             for n, key in enumerate(keys_of(text.as_py())):
                 if key:
                     where.setdefault(key, []).append(n)
@@ -154,7 +159,7 @@ def repeated_lines(docs: DataFrame, bits: int = FILTER_BITS, min_docs: int = MIN
             for key, hit in zip(names, suspects.among(_hash_all(names))):
                 if hit:
                     ids.append(doc_id)
-                    keys.append(key)
+                    keys.append(key.decode())
                     lines.append(where[key])
         return {"doc_id": ids, "key": keys, "lines": lines}
 
@@ -163,7 +168,10 @@ def repeated_lines(docs: DataFrame, bits: int = FILTER_BITS, min_docs: int = MIN
     # rows of one document with the same key count once
     per_doc = suspects.select("key", "doc_id").distinct()
     found = per_doc.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.max("doc_id").alias("keep_id")).where(F.col("n") >= min_docs)
-    drops = suspects.join(found.select("key", "keep_id"), "key").where(F.col("doc_id") != F.col("keep_id"))
+    found = cut(found.select("key", "keep_id"))
+    # broadcast only if counted small; else both sides shuffle and hot keys can be split
+    rows, size = found.agg(F.count(F.lit(1)), F.coalesce(F.sum(F.length("key")), F.lit(0))).first()
+    drops = suspects.join(small(found, max(rows, size // KEY_BYTES)), "key").where(F.col("doc_id") != F.col("keep_id"))
     return drops.groupBy("doc_id").agg(F.array_distinct(F.flatten(F.collect_list("lines"))).alias("lines"))
 
 
