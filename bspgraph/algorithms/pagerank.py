@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from ..engine import Run, run
@@ -75,18 +75,17 @@ def _spread(graph: Graph, iterations: int, damping: float) -> DataFrame:
 
 def pagerank_converged(graph: Graph, tolerance: float = 1e-6, max_iterations: int = 300, damping: float = 0.85) -> tuple[DataFrame, int]:
     """(id, rank) once the ranks' total change is below ``tolerance``, and the
-    number of updates.  Updates go in strides of four per job."""
-    state, stride = _start(graph), 4
+    number of updates.  The change is observed in the update's own job."""
+    state, done = _start(graph), 0
     with loop_settings(graph.spark):
-        for n in range(0, max_iterations, stride):
-            for _ in range(stride):
-                state = _step(graph, state, damping).select("pid", "id", "out_degree", "value", "old")
-            state = cut(state)
-            change = state.agg(F.sum(F.abs(F.col("value") - F.col("old")))).first()[0] or 0.0
-            state = state.drop("old")
-            if change < tolerance:
+        while done < max_iterations:
+            seen = Observation()
+            moved = F.sum(F.abs(F.col("value") - F.col("old")))
+            state = cut(_step(graph, state, damping).observe(seen, F.coalesce(moved, F.lit(0.0)).alias("change"))).drop("old")
+            done += 1
+            if seen.get["change"] < tolerance:
                 break
-    return state.select("id", F.col("value").alias("rank")), n + stride
+    return state.select("id", F.col("value").alias("rank")), done
 
 
 def top_ranked(ranked: DataFrame, k: int) -> DataFrame:

@@ -2,7 +2,7 @@
 
 ``blocks``: identifiers are cut into ordered blocks; a pass runs them one after
 another, each reading the newest values.  One block is synchronous execution,
-one vertex per block is fully sequential.  A pass is one plan and one job.
+one vertex per block is fully sequential.  A block is one job with one shuffle.
 
 ``partition_local``: each partition is solved to its own fixpoint in memory of
 one task and only labels of border vertices move.  For programs whose values
@@ -11,11 +11,13 @@ only fall the fixpoint is the same, in far fewer rounds on long paths.
 
 from __future__ import annotations
 
+import itertools
+from collections.abc import Callable
 from dataclasses import dataclass
 
 import pyarrow as pa
 from pyspark import StorageLevel
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame, Observation
 from pyspark.sql import functions as F
 
 from ..algorithms.paths import UNREACHED
@@ -39,11 +41,17 @@ def storage_for(num_vertices: int, num_edges: int, memory_budget: int, storage:
     return StorageLevel.MEMORY_AND_DISK if storage == "auto" and need <= 8 * memory_budget else StorageLevel.DISK_ONLY
 
 
-def _blocked(graph: Graph, blocks: int) -> DataFrame:
-    """Vertices with the number of their block in the order of identifiers."""
+def _block_of(graph: Graph, blocks: int) -> Callable[[str], Column]:
+    """The number of an identifier's block, in the order of identifiers."""
     cuts = graph.vertices.approxQuantile("id", [i / blocks for i in range(1, blocks)], 0.0) if blocks > 1 else []
-    block = sum(((F.col("id") >= c).cast("int") for c in cuts), F.lit(0))
-    return graph.vertices.select("id", "out_degree").withColumn("block", block)
+    return lambda c: sum(((F.col(c) >= x).cast("int") for x in cuts), F.lit(0))
+
+
+def _mail(graph: Graph, told: DataFrame, into: Column, combine: Callable[[Column], Column]) -> DataFrame:
+    """What the told (pid, src, m) bring to the targets of one block."""
+    local = told.join(graph.edges.where(into), ["pid", "src"]).groupBy("pid", "tpid", "dst").agg(combine(F.col("m")).alias("m"))
+    moved = local.repartition(graph.partitions, "tpid").groupBy("tpid", "dst").agg(combine(F.col("m")).alias("m"))
+    return moved.select(F.col("tpid").alias("pid"), F.col("dst").alias("id"), "m")
 
 
 def async_pagerank(
@@ -52,67 +60,62 @@ def async_pagerank(
     """(id, rank).  The shared table holds shares, rank over out-degree; ranks
     come out at the end.  It starts with 1/N, divided by the degree or raw.
     With a tolerance, passes go on until no rank changes by more."""
-    n = float(graph.num_vertices)
+    n, block = float(graph.num_vertices), _block_of(graph, blocks)
     first = F.lit(1.0 / n) if seed_share == "raw" else F.try_divide(F.lit(1.0 / n), F.col("out_degree"))
-    state = cut(_blocked(graph, blocks).withColumn("rank", F.lit(1.0 / n)).withColumn("share", first))
-    edges = graph.edges.select("src", "dst")
-    for _ in range(passes):
-        before = state
-        for b in range(blocks):
-            mine = state.where(F.col("block") == b).select(F.col("id").alias("dst"))
-            read = edges.join(mine, "dst", "left_semi").join(state.select(F.col("id").alias("src"), "share"), "src")
-            sums = read.groupBy(F.col("dst").alias("id")).agg(F.sum("share").alias("got"))
-            rank = F.when(F.col("block") == b, (1 - damping) / n + damping * F.coalesce("got", F.lit(0.0))).otherwise(F.col("rank"))
-            state = state.join(sums, "id", "left").select("id", "out_degree", "block", rank.alias("rank"), "share")
-            share = F.when(F.col("block") == b, F.try_divide("rank", "out_degree")).otherwise(F.col("share"))
-            state = state.withColumn("share", share)
-        state = cut(state)
-        if tolerance is not None:
-            pair = state.alias("a").join(before.alias("b"), "id")
-            if (pair.agg(F.max(F.abs(F.col("a.rank") - F.col("b.rank")))).first()[0] or 0.0) <= tolerance:
+    state = graph.vertices.select("pid", "id", "out_degree", F.lit(1.0 / n).alias("rank"), first.alias("share"))
+    with loop_settings(graph.spark):
+        for _ in range(passes):
+            change = 0.0
+            for b in range(blocks):
+                got = _mail(graph, state.select("pid", F.col("id").alias("src"), F.col("share").alias("m")), block("dst") == b, F.sum)
+                new = (1 - damping) / n + damping * F.coalesce("m", F.lit(0.0))
+                mine = block("id") == b
+                state = state.join(got, ["pid", "id"], "left").select(
+                    "pid", "id", "out_degree", F.when(mine, new).otherwise(F.col("rank")).alias("rank"), "share", F.when(mine, F.abs(new - F.col("rank"))).alias("moved")
+                )
+                share = F.when(mine, F.try_divide("rank", "out_degree")).otherwise(F.col("share"))
+                seen = Observation()
+                state = cut(state.withColumn("share", share).observe(seen, F.coalesce(F.max("moved"), F.lit(0.0)).alias("change"))).drop("moved")
+                change = max(change, seen.get["change"])
+            if tolerance is not None and change <= tolerance:
                 break
     return state.select("id", "rank")
 
 
-def _monotone(graph: Graph, start: DataFrame, step: int, blocks: int, scheduler: Scheduler) -> DataFrame:
-    """Passes of "take the least in-neighbour value plus ``step`` if it is less"
-    over (id, block, value), until nothing falls.
+def _monotone(graph: Graph, start: Column, step: int, blocks: int, scheduler: Scheduler) -> DataFrame:
+    """Passes of "take the least in-neighbour value plus ``step`` if it is less",
+    until nothing falls; (id, value).
 
-    With the scheduler a vertex runs only if some in-neighbour fell since, and a
-    fallen vertex schedules only the out-neighbours it would still improve.
+    With the scheduler only vertices that fell since their block last ran tell
+    their neighbours, so a vertex runs only when that may improve it.
     """
-    edges = graph.edges.select("src", "dst")
-    state = cut(start.withColumn("fell", F.col("value") < UNREACHED))
-    while True:
-        before = state
-        for b in range(blocks):
-            tell = state.where("fell" if scheduler.enabled else f"value < {UNREACHED}")
-            offers = tell.select(F.col("id").alias("src"), (F.col("value") + step).alias("offer")).join(edges, "src")
-            best = offers.groupBy(F.col("dst").alias("id")).agg(F.min("offer").alias("offer"))
-            better = (F.col("block") == b) & F.coalesce(F.col("offer") < F.col("value"), F.lit(False))
-            state = state.join(best, "id", "left").select(
-                "id",
-                "block",
-                F.when(better, F.col("offer")).otherwise(F.col("value")).alias("value"),
-                # a fall counts until all blocks have seen it, in the next pass at last
-                (F.col("fell") | better).alias("fell"),
-            )
-        state = cut(state)
-        pair = state.alias("a").join(before.alias("b"), "id")
-        changed = F.col("a.value") < F.col("b.value")
-        state = cut(pair.select("id", "a.block", "a.value", changed.alias("fell")))
-        if state.where("fell").isEmpty():
-            return state
+    block = _block_of(graph, blocks)
+    state = graph.vertices.select("pid", "id", start.alias("value"))
+    # blocks that have yet to see the vertex's last fall
+    state = state.withColumn("unseen", F.when(F.col("value") < UNREACHED, blocks).otherwise(0))
+    with loop_settings(graph.spark):
+        quiet = 0
+        for turn in itertools.count():
+            b = turn % blocks
+            tell = state.where("unseen > 0" if scheduler.enabled else f"value < {UNREACHED}")
+            best = _mail(graph, tell.select("pid", F.col("id").alias("src"), (F.col("value") + step).alias("m")), block("dst") == b, F.min)
+            better = F.coalesce(F.col("m") < F.col("value"), F.lit(False))
+            unseen = F.when(better, blocks).otherwise(F.greatest(F.col("unseen") - 1, F.lit(0)))
+            seen = Observation()
+            fallen = F.when(better, F.col("m")).otherwise(F.col("value"))
+            state = state.join(best, ["pid", "id"], "left").select("pid", "id", fallen.alias("value"), unseen.alias("unseen"), better.alias("fell"))
+            state = cut(state.observe(seen, F.count_if("fell").alias("fell"))).drop("fell")
+            quiet = 0 if seen.get["fell"] else quiet + 1
+            if quiet == blocks:
+                return state.select("id", "value")
 
 
 def async_components(graph: Graph, blocks: int = 2, scheduler: Scheduler = Scheduler()) -> DataFrame:
-    start = _blocked(graph, blocks).select("id", "block", F.col("id").alias("label")).withColumnRenamed("label", "value")
-    return _monotone(graph, start, 0, blocks, scheduler).select("id", F.col("value").alias("component"))
+    return _monotone(graph, F.col("id") + 0, 0, blocks, scheduler).withColumnRenamed("value", "component")
 
 
 def async_sssp(graph: Graph, source: int, blocks: int = 2, scheduler: Scheduler = Scheduler()) -> DataFrame:
-    value = F.when(F.col("id") == source, F.lit(0)).otherwise(F.lit(UNREACHED)).cast("long")
-    start = _blocked(graph, blocks).select("id", "block", value.alias("value"))
+    start = F.when(F.col("id") == source, F.lit(0)).otherwise(F.lit(UNREACHED)).cast("long")
     done = _monotone(graph, start, 1, blocks, scheduler)
     return done.select("id", F.when(F.col("value") < UNREACHED, F.col("value")).alias("distance"))
 

@@ -1,4 +1,129 @@
-"""Queries of the graph engine and their SQL."""
+"""Every query of the graph engine by name, and its SQL where SQL can say it."""
 
-QUERIES: dict = {}
-ORACLES: dict = {}
+from __future__ import annotations
+
+from collections.abc import Callable
+from itertools import product
+
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from . import measures, sql, workloads
+from .algorithms import PageRank, component_sizes, min_reaching_id, pagerank, pagerank_converged, sssp, top_ranked
+from .algorithms.components import ConnectedComponents
+from .algorithms.paths import ShortestPaths, distances
+from .baselines import asynchronous, hardcoded, subset
+from .engine import run
+from .operators import relational
+from .options import Options
+from .streaming import windows
+
+QUERIES: dict[str, Callable] = {}
+ORACLES: dict[str, str] = {}
+
+CHOICES = {"comb": True, "queue": False}
+
+
+def add(name: str, query: Callable, oracle: str | None = None) -> None:
+    QUERIES[name] = query
+    if oracle is not None:
+        ORACLES[name] = oracle
+
+
+def _rounded(ranked: DataFrame, digits: int = 10) -> DataFrame:
+    return ranked.select("id", F.round("rank", digits).alias("rank"))
+
+
+def _pr(name, options=None, directed=False, dangling="leak"):
+    return lambda s, d: _rounded(pagerank(workloads.graph(s, d, name, directed), options=options, dangling=dangling))
+
+
+def _cc(name, options=None, directed=False):
+    return lambda s, d: min_reaching_id(workloads.graph(s, d, name, directed), options)
+
+
+def _sp(name, options=None, weighted=False):
+    def query(s, d):
+        g = workloads.graph(s, d, name, weighted=weighted)
+        return sssp(g, workloads.source_of(g), options)
+
+    return query
+
+
+def _on(name, method, *args, source=False, digits=None, **kwargs):
+    """A baseline's method on a graph."""
+
+    def query(s, d):
+        g = workloads.graph(s, d, name)
+        out = method(g, workloads.source_of(g), *args, **kwargs) if source else method(g, *args, **kwargs)
+        return _rounded(out, digits) if digits else out
+
+    return query
+
+
+for _g in ("links", "stars", "geo", "chain", "supply", "trade", "basket"):
+    add(f"pr_{_g}", _pr(_g), sql.pagerank(_g))
+    add(f"sssp_{_g}", _sp(_g), sql.paths(_g))
+for _g in ("links", "stars", "geo", "chain", "supply", "trade", "basket", "talk", "twins", "similar"):
+    add(f"cc_{_g}", _cc(_g), sql.components(_g))
+add("pr_links_directed", _pr("links", directed=True), sql.pagerank("links", directed=True))
+add("pr_links_spread", _pr("links", directed=True, dangling="spread"), sql.pagerank("links", directed=True, spread=True))
+add("pr_converged_geo", lambda s, d: _rounded(pagerank_converged(workloads.graph(s, d, "geo"), 1e-10)[0], 6), sql.pagerank("geo", rounds=200, digits=6))
+add("cc_reaching_links", _cc("links", directed=True), sql.components("links", directed=True))
+add("cc_sizes_stars", lambda s, d: component_sizes(_cc("stars")(s, d)), f"SELECT component, count(*) AS n FROM ({sql.components('stars')}) GROUP BY component")
+add("sssp_weighted_trade", _sp("trade", weighted=True), sql.weighted_paths())
+add("top_ranked", lambda s, d: top_ranked(_pr("supply")(s, d), 20), f"SELECT id, rank FROM ({sql.pagerank('supply')}) ORDER BY rank DESC, id LIMIT 20")
+
+# the flag matrix: one answer whatever the options
+for _x, _c in product(("push", "pull", "auto"), CHOICES):
+    add(f"pr_scan_{_x}_{_c}_supply", _pr("supply", Options("scan", _x, CHOICES[_c])), sql.pagerank("supply"))
+    for _s in ("scan", "bypass"):
+        add(f"cc_{_s}_{_x}_{_c}_chain", _cc("chain", Options(_s, _x, CHOICES[_c])), sql.components("chain"))
+        add(f"sssp_{_s}_{_x}_{_c}_chain", _sp("chain", Options(_s, _x, CHOICES[_c])), sql.paths("chain"))
+add("cc_addressed_chain", _cc("chain", Options("bypass", "pull_addressed")), sql.components("chain"))
+add("sssp_addressed_chain", _sp("chain", Options("bypass", "pull_addressed")), sql.paths("chain"))
+
+add("pr_hardcoded_stars", _on("stars", hardcoded.hardcoded_pagerank, digits=10), sql.pagerank("stars"))
+add("pr_hardcoded_supply", _on("supply", hardcoded.hardcoded_pagerank, digits=10), sql.pagerank("supply", keep=hardcoded.SLOTS))
+add("lost_messages_supply", _on("supply", hardcoded.lost_messages), f"WITH {sql.base('supply')} SELECT dst AS id, count(*) - 100 AS lost FROM e GROUP BY dst HAVING count(*) > 100")
+add("pr_async_geo", _on("geo", asynchronous.async_pagerank, passes=200, tolerance=1e-10, digits=6), sql.pagerank("geo", rounds=200, digits=6))
+add("cc_async_chain", _on("chain", asynchronous.async_components), sql.components("chain"))
+add("sssp_async_chain", _on("chain", asynchronous.async_sssp, source=True), sql.paths("chain"))
+add("cc_local_chain", _on("chain", asynchronous.local_components), sql.components("chain"))
+add("pr_subset_supply", _on("supply", subset.subset_pagerank, digits=10), sql.pagerank("supply"))
+add("cc_subset_supply", _on("supply", subset.subset_components), sql.components("supply"))
+add("sssp_subset_supply", _on("supply", subset.subset_sssp, source=True), sql.paths("supply"))
+
+
+def _ledger(name, program, options=None):
+    def query(s, d):
+        g = workloads.graph(s, d, name)
+        done = run(g, program(g), options)
+        return done.ledger.select("superstep", "ran", "checked", "messages", "probes")
+
+    return query
+
+
+# scan tests every vertex; the senders of step t are the vertices at distance t
+SSSP_LEDGER = f"""
+WITH dist AS ({sql.paths('chain')}), {sql.base('chain').replace('raw AS', 'raw AS', 1)},
+steps AS (SELECT unnest(generate_series(0, (SELECT max(distance) + 1 FROM dist))) AS t),
+sent AS (SELECT d.distance AS t, count(*) AS messages, count(DISTINCT e.dst) AS woken FROM dist d JOIN e ON e.src = d.id WHERE d.distance IS NOT NULL GROUP BY d.distance)
+SELECT CAST(s.t AS INT) AS superstep,
+       CASE WHEN s.t = 0 THEN (SELECT count(*) FROM v) ELSE coalesce(b.woken, 0) END AS ran,
+       CASE WHEN s.t = 0 THEN (SELECT count(*) FROM v) ELSE coalesce(b.woken, 0) END AS checked,
+       coalesce(a.messages, 0) AS messages, 0::BIGINT AS probes
+FROM steps s LEFT JOIN sent a ON a.t = s.t LEFT JOIN sent b ON b.t = s.t - 1
+WHERE s.t = 0 OR b.woken > 0"""
+add("ledger_sssp_chain", _ledger("chain", lambda g: ShortestPaths(workloads.source_of(g)), Options("bypass")), SSSP_LEDGER)
+add("ledger_cc_chain", _ledger("chain", lambda g: ConnectedComponents(), Options("bypass", "pull")))
+add(
+    "ledger_pr_supply",
+    _ledger("supply", lambda g: PageRank()),
+    f"WITH {sql.base('supply')} SELECT CAST(t AS INT) AS superstep, (SELECT count(*) FROM v) AS ran, (SELECT count(*) FROM v) AS checked, "
+    "CASE WHEN t < 10 THEN (SELECT count(*) FROM e) ELSE 0 END AS messages, 0::BIGINT AS probes FROM (SELECT unnest(generate_series(0, 10)) AS t)",
+)
+for _name, (_query, _oracle) in (measures.QUERIES | relational.QUERIES | windows.QUERIES).items():
+    add(_name, _query, _oracle)
+
+__all__ = ["ORACLES", "QUERIES", "distances"]
