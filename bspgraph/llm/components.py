@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut
+from .common import cut, small
 
 
 def connected(links: DataFrame) -> DataFrame:
@@ -14,19 +14,22 @@ def connected(links: DataFrame) -> DataFrame:
     Links are turned into stars round by round: each node hands its larger
     neighbours to its least one, then its smaller ones, until nothing moves.
     The number of rounds grows with the logarithm of the longest path.  Minima
-    are partially aggregated; hot nodes only widen a join that can be split.
+    are partially aggregated; minima are written first, so the
+    join with them is a broadcast if they are few, else one whose hot nodes split.
     """
     edges = cut(links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v").distinct())
     before = _state(edges)
     while before[0]:
         both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
         least = both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m"))
-        large = both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
-        least = large.groupBy("u").agg(F.min("v").alias("m"))
-        small = large.join(least, "u")
+        least = cut(least)
+        large = both.where("v > u").join(small(least, least.count()), "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
+        large = cut(large)
+        least = cut(large.groupBy("u").agg(F.min("v").alias("m")))
+        stars = large.join(small(least, least.count()), "u")
         edges = cut(
-            small.select("u", F.col("m").alias("v"))
-            .unionByName(small.select(F.col("v").alias("u"), F.col("m").alias("v")))
+            stars.select("u", F.col("m").alias("v"))
+            .unionByName(stars.select(F.col("v").alias("u"), F.col("m").alias("v")))
             .where("u <> v")
             .distinct()
         )
