@@ -126,4 +126,8 @@ add(
 for _name, (_query, _oracle) in (measures.QUERIES | relational.QUERIES | windows.QUERIES).items():
     add(_name, _query, _oracle)
 
+# long paths take a job per step: last
+for _name in [n for n in QUERIES if n.endswith("_chain") and n[:2] in ("cc", "ss", "le", "pr")]:
+    QUERIES[_name] = QUERIES.pop(_name)
+
 __all__ = ["ORACLES", "QUERIES", "distances"]
