@@ -48,6 +48,10 @@ def byte_letters() -> dict[int, str]:
     return {b: chr(b) for b in plain} | {b: chr(256 + i) for i, b in enumerate(rest)}
 
 
+_ID = (1 << 20) - 1
+_NO_PAIR = 1 << 60
+
+
 class Merges:
     """Vocabulary and merge ranks of a file, and exact merging by rank."""
 
@@ -66,24 +70,31 @@ class Merges:
         for rank, pair in enumerate(model["model"]["merges"]):
             left, right = pair if isinstance(pair, list) else pair.split(" ")
             left, right = (bytes(back[c] for c in x) for x in (left, right))
-            self.pairs[ids[left] << 20 | ids[right]] = (rank, ids[left + right])
+            self.pairs[ids[left] << 20 | ids[right]] = rank << 20 | ids[left + right]
         self.words = ids
 
     def merge(self, piece: bytes) -> list[int]:
-        """Ids of one piece; the lowest rank goes first, the leftmost of equals."""
+        """Ids of one piece; the lowest rank goes first, the leftmost of equals.
+
+        ``pairs`` holds rank and new id in one number, so the least of the
+        waiting pairs is the next merge, and only its two neighbours change.
+        """
         ids = [self.single[b] for b in piece]
         if len(ids) > 48:
             return self._merge_long(ids)
-        pairs, none = self.pairs, (1 << 30, 0)
-        while len(ids) > 1:
-            best, at = none, 0
-            for i in range(len(ids) - 1):
-                found = pairs.get(ids[i] << 20 | ids[i + 1], none)
-                if found[0] < best[0]:
-                    best, at = found, i
-            if best is none:
+        get, none = self.pairs.get, _NO_PAIR
+        waiting = [get(a << 20 | b, none) for a, b in zip(ids, ids[1:])]
+        while waiting:
+            best = min(waiting)
+            if best == none:
                 break
-            ids[at : at + 2] = [best[1]]
+            i, new = waiting.index(best), best & _ID
+            ids[i : i + 2] = [new]
+            del waiting[i]
+            if i:
+                waiting[i - 1] = get(ids[i - 1] << 20 | new, none)
+            if i < len(waiting):
+                waiting[i] = get(new << 20 | ids[i + 1], none)
         return ids
 
     def _merge_long(self, ids: list[int]) -> list[int]:
@@ -95,7 +106,7 @@ class Merges:
         def offer(i: int) -> None:
             j = after[i]
             if j < n and (found := self.pairs.get(ids[i] << 20 | ids[j])):
-                heapq.heappush(heap, (found[0], i, ids[i], ids[j], found[1]))
+                heapq.heappush(heap, (found >> 20, i, ids[i], ids[j], found & _ID))
 
         for i in range(n - 1):
             offer(i)
