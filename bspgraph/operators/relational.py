@@ -12,7 +12,8 @@ from ..functions.combiners import Combiner
 from ..graph import Graph
 from ..workloads import table
 
-_N = F.count(F.lit(1))
+def _n(name: str):
+    return F.count(F.lit(1)).alias(name)
 
 
 def _g(s, d, name="supply", **kw) -> Graph:
@@ -37,7 +38,7 @@ def induced_subgraph_quality(s, d):
 
 
 def degree_at_least(s, d):
-    return _edges(_g(s, d)).groupBy(F.col("src").alias("id")).agg(_N.alias("degree")).where("degree >= 100")
+    return _edges(_g(s, d)).groupBy(F.col("src").alias("id")).agg(_n("degree")).where("degree >= 100")
 
 
 def first_step_values(s, d):
@@ -57,7 +58,7 @@ def join_broadcast_frontier(s, d):
     """A frontier of few rows is broadcast and the edges stay where they are."""
     g = _g(s, d)
     front = g.vertices.orderBy(F.desc("out_degree"), "id").limit(10).select(F.col("id").alias("src"))
-    return g.edges.join(F.broadcast(front), "src").groupBy(F.col("dst").alias("id")).agg(_N.alias("n"))
+    return g.edges.join(F.broadcast(front), "src").groupBy(F.col("dst").alias("id")).agg(_n("n"))
 
 
 def _mail(g: Graph) -> DataFrame:
@@ -96,7 +97,7 @@ def edges_of(name):
 def edges_events_within_hour(s, d):
     """Two events of one user within an hour: equality on the user and a range.
     Hour buckets keep a user's join linear in the pairs found."""
-    e = table(s, d, "events").select("event_id", "user_id", "ts", F.floor(F.unix_micros("ts") / 3_600_000_000).alias("hour"))
+    e = table(s, d, "events").select("event_id", "user_id", "ts", (F.datediff("ts", F.lit("1970-01-01")) * 24 + F.hour("ts")).alias("hour"))
     a = e.toDF("src", "user_id", "ta", "ha").withColumn("hour", F.explode(F.array(F.col("ha"), F.col("ha") + 1)))
     b = e.toDF("dst", "user_id", "tb", "hour")
     later = (F.col("tb") > F.col("ta")) | (F.col("tb") == F.col("ta")) & (F.col("dst") > F.col("src"))
@@ -146,7 +147,7 @@ def degree_distinct(s, d):
 
 
 def degree(end):
-    return lambda s, d: _edges(_g(s, d, "links", directed=True)).groupBy(F.col(end).alias("id")).agg(_N.alias("degree"))
+    return lambda s, d: _edges(_g(s, d, "links", directed=True)).groupBy(F.col(end).alias("id")).agg(_n("degree"))
 
 
 def _kinds(s, d):
@@ -154,20 +155,21 @@ def _kinds(s, d):
     return g.vertices.select((F.col("id") % 8).alias("kind"), (F.col("out_degree") > 1).alias("inner"), "out_degree")
 
 
-_TOTALS = (F.count(F.lit(1)).alias("n"), F.sum("out_degree").alias("degrees"))
+def _totals():
+    return _n("n"), F.sum("out_degree").alias("degrees")
 
 
 def degree_rollup(s, d):
-    return _kinds(s, d).rollup("kind", "inner").agg(*_TOTALS)
+    return _kinds(s, d).rollup("kind", "inner").agg(*_totals())
 
 
 def degree_cube(s, d):
-    return _kinds(s, d).cube("kind", "inner").agg(*_TOTALS)
+    return _kinds(s, d).cube("kind", "inner").agg(*_totals())
 
 
 def degree_sets(s, d):
     k = _kinds(s, d)
-    return k.groupingSets([[F.col("kind")], [F.col("inner")]], "kind", "inner").agg(*_TOTALS)
+    return k.groupingSets([[F.col("kind")], [F.col("inner")]], "kind", "inner").agg(*_totals())
 
 
 def degree_percentiles(s, d):
@@ -220,7 +222,7 @@ def host_edges(s, d):
     host = lambda c: F.regexp_extract(c, "^[a-z]+://([^/?#]+)", 1)
     pages = table(s, d, "pages").select("page_id", host(F.col("url")).alias("src"))
     links = workloads.page_links(s, d).select("page_id", host(F.col("href")).alias("dst"))
-    return pages.join(links, "page_id").where("dst <> ''").groupBy("src", "dst").agg(_N.alias("n"))
+    return pages.join(links, "page_id").where("dst <> ''").groupBy("src", "dst").agg(_n("n"))
 
 
 def events_json_weight(s, d):

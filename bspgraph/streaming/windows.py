@@ -23,15 +23,19 @@ def windowed(events: DataFrame, kind: str) -> DataFrame:
 
 def with_watermark(stream: DataFrame) -> DataFrame:
     """Rows that come later than ``LATE`` behind the newest are dropped."""
-    return stream.withWatermark("ts", LATE)
+    return stream.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", LATE)
 
 
 def _batch(kind):
-    """The batch twin; times as microseconds, which no time zone touches."""
+    """The batch twin; times as microseconds of the clock, in no time zone."""
 
     def query(s, d):
-        rows = table(s, d, "events").select("user_id", F.col("ts").cast("timestamp").alias("ts"))
-        micros = lambda c: F.unix_micros(F.col(c)).alias(c)
+        rows = table(s, d, "events").select("user_id", "ts")
+
+        def micros(c):
+            minutes = (F.datediff(c, F.lit("1970-01-01")) * 24 + F.hour(c)).cast("long") * 60 + F.minute(c)
+            return (minutes * 60_000_000 + (F.date_part(F.lit("SECOND"), F.col(c)) * 1_000_000).cast("long")).alias(c)
+
         return windowed(rows, kind).select("user_id", micros("opens"), micros("closes"), "degree")
 
     return query

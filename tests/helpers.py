@@ -2,9 +2,11 @@
 
 from collections import Counter
 
+import pandas as pd
+
 
 def rows_of(frame, columns):
-    plain = lambda v: None if v is None or v != v else round(float(v), 6) if isinstance(v, float) else int(v) if hasattr(v, "dtype") and v.dtype.kind in "iu" else v
+    plain = lambda v: None if pd.isna(v) else round(float(v), 6) if isinstance(v, float) else int(v) if hasattr(v, "dtype") and v.dtype.kind in "iu" else v
     return Counter(tuple(plain(v) for v in row) for row in frame[columns].astype(object).itertuples(index=False))
 
 
