@@ -20,7 +20,7 @@ from bspgraph.options import Options
 
 SF_DIR = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
 CPUS = os.environ.get("BENCH_CPUS", "8")
-GRAPHS = ("links", "stars", "supply")
+GRAPHS = ("stars", "supply")
 
 
 def main() -> None:
