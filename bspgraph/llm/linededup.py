@@ -14,7 +14,8 @@ partial counts first, and joined back with the documents' line numbers.
 
 Null and empty texts are one empty line.  Rows with equal doc_id are the same
 document for the counts; a null doc_id counts as one more document and is
-below all others.  Keys tie only by doc_id.  Extra columns are ignored; an
+below all others.  A row is known by doc_id and the digest of its text, so rows
+that share a doc_id or have none lose only lines of their own.  Keys tie only by doc_id.  Extra columns are ignored; an
 empty table gives an empty result.
 """
 
@@ -26,7 +27,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import Shared, cut, map_batches, map_rows, small
@@ -142,15 +143,23 @@ def twice_filters(docs: DataFrame, bits: int = FILTER_BITS, owners: int = OWNERS
     return owners, each, {r.owner: bytes(r.twice) for r in found}
 
 
+def _at() -> Column:
+    return F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID))
+
+
+def _digest() -> Column:
+    return F.unhex(F.sha2(F.coalesce("text", F.lit("")).cast("binary"), 256))
+
+
 def repeated_lines(docs: DataFrame, bits: int = FILTER_BITS, min_docs: int = MIN_DOCS) -> DataFrame:
-    """(doc_id, line) of the lines to drop: numbers from 0, one row per document
-    as an array ``lines``."""
+    """(doc_id, digest, lines) of the lines to drop: numbers from 0, one row per
+    doc_id and text as an array ``lines``."""
     shared = Shared(docs.sparkSession, twice_filters(docs, bits), Suspects)
 
     def suspect(batch: pa.RecordBatch) -> dict:
-        ids, keys, lines = [], [], []
+        ids, digests, keys, lines = [], [], [], []
         suspects = shared.get()
-        for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1)):
+        for doc_id, text, digest in zip(batch.column(0).to_pylist(), batch.column(1), batch.column(2).to_pylist()):
             where: dict[bytes, list[int]] = {}
             for n, key in enumerate(keys_of(text.as_py())):
                 if key:
@@ -159,12 +168,13 @@ def repeated_lines(docs: DataFrame, bits: int = FILTER_BITS, min_docs: int = MIN
             for key, hit in zip(names, suspects.among(_hash_all(names))):
                 if hit:
                     ids.append(doc_id)
+                    digests.append(digest)
                     keys.append(key.decode())
                     lines.append(where[key])
-        return {"doc_id": ids, "key": keys, "lines": lines}
+        return {"doc_id": ids, "digest": digests, "key": keys, "lines": lines}
 
-    rows = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("doc_id"), "text")
-    suspects = cut(map_rows(rows, suspect, "doc_id long, key string, lines array<int>"))
+    rows = docs.select(_at().alias("doc_id"), "text", _digest().alias("digest"))
+    suspects = cut(map_rows(rows, suspect, "doc_id long, digest binary, key string, lines array<int>"))
     # rows of one document with the same key count once
     per_doc = suspects.select("key", "doc_id").distinct()
     found = per_doc.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.max("doc_id").alias("keep_id")).where(F.col("n") >= min_docs)
@@ -172,7 +182,8 @@ def repeated_lines(docs: DataFrame, bits: int = FILTER_BITS, min_docs: int = MIN
     # broadcast only if counted small; else both sides shuffle and hot keys can be split
     rows, size = found.agg(F.count(F.lit(1)), F.coalesce(F.sum(F.length("key")), F.lit(0))).first()
     drops = suspects.join(small(found, max(rows, size // KEY_BYTES)), "key").where(F.col("doc_id") != F.col("keep_id"))
-    return drops.groupBy("doc_id").agg(F.array_distinct(F.flatten(F.collect_list("lines"))).alias("lines"))
+    # equal rows have equal arrays, so a set holds no more than the lines of one text
+    return drops.groupBy("doc_id", "digest").agg(F.flatten(F.collect_set("lines")).alias("lines"))
 
 
 def _without(text: str | None, gone: list[int] | None) -> tuple[str | None, int, int]:
@@ -186,9 +197,9 @@ def _without(text: str | None, gone: list[int] | None) -> tuple[str | None, int,
 
 def _with_drops(docs: DataFrame, bits: int, min_docs: int) -> DataFrame:
     """``docs`` with the column ``__drop`` of line numbers."""
-    drops = repeated_lines(docs, bits, min_docs).select(F.col("doc_id").alias("__at"), F.col("lines").alias("__drop"))
-    rows = docs.withColumn("__at", F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)))
-    return rows.join(drops, "__at", "left").drop("__at")
+    drops = repeated_lines(docs, bits, min_docs).select(F.col("doc_id").alias("__at"), F.col("digest").alias("__digest"), F.col("lines").alias("__drop"))
+    rows = docs.withColumn("__at", _at()).withColumn("__digest", _digest())
+    return rows.join(drops, ["__at", "__digest"], "left").drop("__at", "__digest")
 
 
 def dedup_lines(docs: DataFrame, bits: int = FILTER_BITS, min_docs: int = MIN_DOCS) -> DataFrame:

@@ -1,6 +1,13 @@
 """Rows on which an operator once did less than the whole job."""
 
-from bspgraph.llm import pii
+import os
+import sys
+from collections import Counter
+
+sys.path.insert(0, os.path.dirname(__file__))
+import reference  # noqa: E402
+
+from bspgraph.llm import linededup, pii  # noqa: E402
 
 
 def test_account_numbers_in_prose_and_long_secrets(spark):
@@ -20,3 +27,15 @@ def test_account_numbers_in_prose_and_long_secrets(spark):
 
 #: A country without a registered length.
 QQ = "QQ92 1234 5678 901"
+
+
+def test_rows_that_share_an_id_lose_only_their_own_lines(spark):
+    line = "this long line is repeated in very many of the documents"
+    rows = [(i, f"a{i}\n{line}") for i in range(6)]
+    rows += [(None, f"x\n{line}"), (None, "y\nthis one is clean"), (None, "z\n\n" + line), (None, None), (None, f"x\n{line}")]
+    rows += [(2, f"{line}\n{line}\nnot the same text"), (2, "clean one\nclean two\nclean three")]
+    want = Counter((i, n, n - len(kept), reference.sha("\n".join(kept))) for i, n, kept in reference.kept_lines(rows))
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    assert Counter(map(tuple, linededup.line_report(docs).collect())) == want
+    texts = Counter((i, "\n".join(kept)) for i, _, kept in reference.kept_lines(rows))
+    assert Counter((r.doc_id, r.text or "") for r in linededup.dedup_lines(docs).collect()) == texts
