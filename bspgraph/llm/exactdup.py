@@ -8,8 +8,9 @@ collision of the routing hash cannot merge two texts.
 
 Copies within a batch are folded before the shuffle, so a text that fills a
 third of the table arrives once per batch.  A trie that outgrows its budget
-writes its largest subtrees to unnamed files; later strings that lead there are
-appended, and each file is finished on its own at the end.  Documents get their
+writes subtrees, small ones together, to unnamed files until half the budget is
+free; later strings that lead there are appended, and each file is finished on
+its own at the end.  Only labels of one string may take more than the budget.  Documents get their
 group by a join on the 256-bit digest (or on whole texts, if the caller routes
 by a weaker hash).
 
@@ -51,24 +52,33 @@ def common_prefix(a: bytes, b: bytes) -> int:
 
 
 class _Node:
-    __slots__ = ("label", "children", "held", "file", "size")
+    __slots__ = ("label", "children", "held", "file", "base", "size")
 
     def __init__(self, label: bytes):
-        self.label, self.children, self.held, self.file, self.size = label, {}, None, None, len(label)
+        self.label, self.children, self.held, self.file, self.base, self.size = label, {}, None, None, 0, len(label)
+
+
+def _records(file) -> Iterator[tuple[bytes, object]]:
+    file.seek(0)
+    while True:
+        try:
+            yield pickle.load(file)
+        except EOFError:
+            return
 
 
 class Patricia:
     """Byte strings to values; equal strings fold their values with ``fold``."""
 
     def __init__(self, fold: Callable, budget: int = BUDGET):
-        self._root, self._fold, self._budget, self.spilled = _Node(b""), fold, budget, 0
+        self._root, self._fold, self._fixed, self._budget, self.spilled = _Node(b""), fold, budget, budget, 0
 
     def insert(self, key: bytes, value) -> None:
         node, at, path = self._root, 0, []
         while True:
             path.append(node)
             if node.file is not None:
-                pickle.dump((key[at:], value), node.file)
+                pickle.dump((key[node.base :], value), node.file)
                 return
             if at == len(key):
                 node.held = value if node.held is None else self._fold(node.held, value)
@@ -96,63 +106,76 @@ class Patricia:
             self._spill()
 
     def _spill(self) -> None:
-        """Write the largest subtree that is at most half of all to a file."""
-        node = self._root
+        """Write subtrees to files until half the budget is free."""
+        while self._root.size > self._fixed // 2 and self._spill_children():
+            pass
+        # what is left above it are the labels of one string: they need their memory
+        self._budget = max(self._fixed, self._root.size + self._fixed // 2)
+
+    def _spill_children(self) -> bool:
+        """Write children of the lowest node that holds over half of all, the
+        largest first; children under a quarter of the budget share files."""
+        path = [self._root]
         while True:
-            inside = [c for c in node.children.values() if c.file is None]
-            if not inside:
+            inside = [c for c in path[-1].children.values() if c.file is None]
+            largest = max(inside, key=lambda c: c.size, default=None)
+            if largest is None or largest.size <= self._root.size // 2:
                 break
-            largest = max(inside, key=lambda c: c.size)
-            node = largest
-            if node.size <= self._root.size // 2:
+            path.append(largest)
+        while not inside and len(path) > 1:  # one long label: what stands beside it goes
+            long = path.pop()
+            inside = [c for c in path[-1].children.values() if c.file is None and c is not long]
+        if not inside:
+            return False
+        head = b"".join(x.label for x in path)
+        file, size = None, 0
+        for child in sorted(inside, key=lambda c: -c.size):
+            if self._root.size <= self._fixed // 2:
                 break
-        if node is self._root:
-            return
-        freed = node.size - len(node.label)
-        if freed < self._budget // 16:  # single long strings: they need their memory
-            self._budget += self._budget // 2
-            return
-        self.spilled += 1
-        file = tempfile.TemporaryFile()
-        for key, value in self._walk(node, b"", skip=True):
-            pickle.dump((key, value), file)
-        node.children, node.held, node.file = {}, None, file
-        self._resize(self._root, node, freed)
-
-    def _resize(self, top: _Node, target: _Node, freed: int) -> None:
-        path = [(top, iter(top.children.values()))]
-        while path:
-            node, rest = path[-1]
-            if node is target:
-                for x, _ in path:
-                    x.size -= freed
-                return
-            nxt = next((c for c in rest), None)
-            if nxt is None:
-                path.pop()
-            else:
-                path.append((nxt, iter(nxt.children.values())))
-
-    def _walk(self, top: _Node, prefix: bytes, skip: bool = False) -> Iterator[tuple[bytes, object]]:
-        todo = [(top, prefix if skip else prefix + top.label)]
+            if file is None or size >= self._fixed // 4:
+                file, size = tempfile.TemporaryFile(), 0
+                self.spilled += 1
+            inner: dict = {}
+            for key, value in self._held(child, head + child.label, inner):
+                pickle.dump((key[len(head) :], value), file)
+            for start, old in inner.values():
+                for tail, value in _records(old):
+                    pickle.dump(((start + tail)[len(head) :], value), file)
+                old.close()
+            freed = child.size - 1
+            size += child.size
+            # all strings that go on with this byte are in the file
+            child.label, child.children, child.held, child.size = child.label[:1], {}, None, 1
+            child.file, child.base = file, len(head)
+            for x in path:
+                x.size -= freed
+        return True
+
+    def _held(self, top: _Node, key: bytes, files: dict) -> Iterator[tuple[bytes, object]]:
+        """Strings in memory from ``top`` on, which ends ``key``; ``files`` gets
+        the files met and the string they go on from."""
+        todo = [(top, key)]
         while todo:
             node, key = todo.pop()
             if node.held is not None:
                 yield key, node.held
             if node.file is not None:
-                inner = Patricia(self._fold, self._budget)
-                node.file.seek(0)
-                while True:
-                    try:
-                        inner.insert(*pickle.load(node.file))
-                    except EOFError:
-                        break
-                for tail, value in inner:
-                    yield key + tail, value
+                files[id(node.file)] = (key[: node.base], node.file)
             todo += [(c, key + c.label) for c in node.children.values()]
 
     def __iter__(self) -> Iterator[tuple[bytes, object]]:
-        return self._walk(self._root, b"")
+        """Every string once; the trie is empty after its strings in memory, so
+        that each file has the memory to itself."""
+        files: dict = {}
+        yield from self._held(self._root, b"", files)
+        self._root = _Node(b"")
+        for start, file in files.values():
+            inner = Patricia(self._fold, self._fixed)
+            for tail, value in _records(file):
+                inner.insert(tail, value)
+            file.close()
+            for tail, value in inner:
+                yield start + tail, value
 
 
 def normalised(text: str | None) -> bytes:

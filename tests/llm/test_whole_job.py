@@ -1,13 +1,14 @@
 """Rows on which an operator once did less than the whole job."""
 
 import os
+import random
 import sys
 from collections import Counter
 
 sys.path.insert(0, os.path.dirname(__file__))
 import reference  # noqa: E402
 
-from bspgraph.llm import linededup, pii  # noqa: E402
+from bspgraph.llm import exactdup, linededup, pii  # noqa: E402
 
 
 def test_account_numbers_in_prose_and_long_secrets(spark):
@@ -39,3 +40,23 @@ def test_rows_that_share_an_id_lose_only_their_own_lines(spark):
     assert Counter(map(tuple, linededup.line_report(docs).collect())) == want
     texts = Counter((i, "\n".join(kept)) for i, _, kept in reference.kept_lines(rows))
     assert Counter((r.doc_id, r.text or "") for r in linededup.dedup_lines(docs).collect()) == texts
+
+
+def test_trie_of_many_lengths_stays_within_its_budget():
+    random.seed(7)
+    budget, want, largest = 400_000, Counter(), 0
+    trie = exactdup.Patricia(lambda a, b: a + b, budget)
+    for _ in range(1500):
+        text = random.choice(list(want)[:200])[4:] if want and random.random() < 0.2 else random.randbytes(random.randint(1000, 30_000))
+        key = len(text).to_bytes(4, "big") + text
+        want[key] += 1
+        trie.insert(key, 1)
+        largest = max(largest, trie._root.size)
+    assert largest <= budget and 0 < trie.spilled < 300
+    assert dict(trie) == want
+    # one string above the budget gets its memory; what stands beside it is written
+    trie = exactdup.Patricia(lambda a, b: a + b, 10_000)
+    keys = [b"a" * 50_000, *[b"a" * 50_000 + bytes([i]) for i in range(100)], *[bytes([i % 97]) * (i + 1) for i in range(500)]] * 2
+    for k in keys:
+        trie.insert(k, 1)
+    assert trie.spilled and dict(trie) == Counter(keys)
