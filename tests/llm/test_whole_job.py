@@ -1,14 +1,16 @@
 """Rows on which an operator once did less than the whole job."""
 
+import hashlib
 import os
 import random
 import sys
+import zlib
 from collections import Counter
 
 sys.path.insert(0, os.path.dirname(__file__))
 import reference  # noqa: E402
 
-from bspgraph.llm import exactdup, linededup, pii  # noqa: E402
+from bspgraph.llm import exactdup, linededup, pii, telephony  # noqa: E402
 
 
 def test_account_numbers_in_prose_and_long_secrets(spark):
@@ -60,3 +62,14 @@ def test_trie_of_many_lengths_stays_within_its_budget():
     for k in keys:
         trie.insert(k, 1)
     assert trie.spilled and dict(trie) == Counter(keys)
+
+
+def test_telephony_digest_is_of_the_stored_columns(spark, monkeypatch):
+    docs = spark.createDataFrame([(1, "abc"), (2, None), (None, "é" * 500)], "doc_id long, text string")
+    plain = telephony.store_audio
+    stored = {r.doc_id: r for r in plain(docs, up=3).collect()}
+    monkeypatch.setattr(telephony, "store_audio", lambda d: plain(d, up=3))
+    for r in telephony.audio_report(docs).collect():
+        media, pcm = bytes(stored[r.doc_id].media), bytes(stored[r.doc_id].pcm)
+        assert (r.media_bytes, r.media_sha256) == (len(media), hashlib.sha256(media).hexdigest())
+        assert int(r.feature.split(",")[-1]) == zlib.crc32(telephony.read_wave(pcm)[2])
