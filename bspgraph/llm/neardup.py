@@ -3,23 +3,28 @@
 1. Each whole text gives its set of word shingles, a 128-bit fingerprint of the
    set, a SuperMinHash signature and its band keys.  Only these small rows are
    kept.  Equal sets are folded into one representative (the least doc_id).
-2. Representatives that share a band key are candidates.  A bucket is linked to
-   its least member only, never pair by pair; the connected groups of these
-   candidate links are the blocks to verify.
-3. In a block, full sets are compared exactly.  Blocks above a size are cut into
-   chunks and each two chunks are compared in a task of their own, so no task
-   holds an unbounded group.  A document in the largest class found so far
-   need not be compared with others of that class; every other document is
-   compared with all of the block, so no link between classes is lost.
+2. Representatives that share a band key form a bucket.  Every member is
+   compared exactly with the least one, its pivot.  A pivot's set travels with
+   each few hundred of its members, so a huge bucket is many small tasks that
+   hold one set and stream the others.  Union-find gives the classes so far.
+3. Buckets whose other members are still of several classes are compared once
+   more: members outside the bucket's largest class, in groups, against all
+   members, in chunks; each group and chunk meet in a task of their own.  Members
+   of one class need no comparison, so no link between classes is lost and a
+   group of copies never makes all of its pairs.
 4. The verified links are grouped by union-find over the cluster.
 
 With 32 bands of 4 rows a pair of similarity 0.75 shares no band with a chance
-below 1e-5, and blocks also find linked pairs that share none.
+below 1e-5.  Sets are of 64-bit shingle hashes: two different shingles of a pair
+of texts that hash alike (chance below 1e-9 for texts of 10^5 words) would count
+as one, and equal sets are known by a 128-bit fingerprint.
 
 Null, empty and wordless texts have no shingles and are linked with nothing.  A
 null doc_id is linked with nothing and is its own class (null, kept).  Repeated
-rows have equal sets and one class.  Extra columns are ignored; an empty table
-gives an empty result.
+rows have equal sets and one class; rows that share a doc_id are one document
+with several texts.  Very long texts are one set each, whatever their length.
+Ties of similarity are links at exactly the threshold.  Extra columns are
+ignored, whatever their names; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -34,13 +39,13 @@ from pyspark.sql import functions as F
 
 from .common import cut, map_batches, map_rows, small
 from .components import connected
-from .superminhash import SHINGLE_WORDS, band_keys, shingles, signatures
+from .superminhash import band_keys, shingles, signatures, similar
 
 PERCENT = 75
 
 #: Shingles and documents of a chunk; a task holds two chunks at most.
-CHUNK_SHINGLES = 2_000_000
-CHUNK_DOCS = 4096
+CHUNK_SHINGLES = 1_000_000
+CHUNK_DOCS = 256
 
 #: Shingles whose signatures are computed side by side.
 TOGETHER = 500_000
@@ -73,7 +78,12 @@ def _features(batch: pa.RecordBatch) -> dict:
 
 def _sets(batch: pa.RecordBatch) -> dict:
     columns = {name: batch.column(i) for i, name in enumerate(batch.schema.names)}
-    columns["found"] = [shingles(t.as_py()).tobytes() for t in columns.pop("text")]
+    found, last, raw = [], None, b""
+    for text in columns.pop("text").to_pylist():  # rows of one document follow one another
+        if text != last:
+            last, raw = text, shingles(text).tobytes()
+        found.append(raw)
+    columns["found"] = found
     return columns
 
 
@@ -123,11 +133,36 @@ def links_within(ids: list[int], sets: list[np.ndarray], percent: int = PERCENT)
             done[q] = True
 
 
-def _verify(percent: int):
+def _meet_pivot(percent: int):
+    """Links of members to their unit's pivot, whose rows come first."""
+
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[dict]:
-        key, ids, sets = None, [], []
+        unit, pivots = None, {}
+        for batch in batches:
+            a, b = [], []
+            keys, roles, docs = zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()), batch.column(2).to_pylist(), batch.column(3).to_pylist()
+            for now, member, doc, raw in zip(keys, roles, docs, batch.column(4)):
+                if now != unit:
+                    unit, pivots = now, {}
+                if not member:
+                    one = raw.as_py()
+                    pivots[one] = np.frombuffer(one, dtype=np.uint64)
+                elif any(similar(np.frombuffer(raw.as_py(), dtype=np.uint64), p, percent) for p in pivots.values()):
+                    a.append(doc)
+                    b.append(now[0])
+            yield {"a": a, "b": b}
+
+    return kernel
+
+
+def _meet_chunk(percent: int):
+    """Links among the rows of each unit."""
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[dict]:
+        key, held = None, {}
 
         def flush() -> dict:
+            ids, sets = [i for i, _ in held], [np.frombuffer(raw, dtype=np.uint64) for _, raw in held]
             found = links_within(ids, sets, percent) if len(ids) > 1 else []
             return {"a": [a for a, _ in found], "b": [b for _, b in found]} if found else {}
 
@@ -136,14 +171,64 @@ def _verify(percent: int):
             for *now, doc, raw in zip(*parts, batch.column(4)):
                 if now != key:
                     yield flush()
-                    key, ids, sets = now, [], []
-                ids.append(doc)
-                sets.append(np.frombuffer(raw.as_py(), dtype=np.uint64))
+                    key, held = now, {}
+                held[doc, raw.as_py()] = None  # of the group and of the chunk: once
         yield flush()
 
     return kernel
 
 
+def _star_links(rows: DataFrame, shared: DataFrame, percent: int, chunk_docs: int) -> DataFrame:
+    """Exact links (a, b) of bucket members to their pivots."""
+    pairs = cut(shared.where("node <> pivot").select("node", "pivot").distinct())
+    wide = pairs.groupBy("pivot").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > chunk_docs)
+    wide = cut(wide.select("pivot", F.ceil(F.col("n") / chunk_docs).alias("chunks")))
+    salt = F.pmod(F.xxhash64("node"), F.coalesce("chunks", F.lit(1))).cast("int")
+    members = pairs.join(small(wide, wide.count()), "pivot", "left").select("pivot", salt.alias("salt"), F.lit(1).alias("member"), "node")
+    units = members.select("pivot", "salt", F.lit(0).alias("member"), F.col("pivot").alias("node")).distinct()
+    tasks = cut(members.unionByName(units).withColumnRenamed("node", "doc_id"))
+    chosen = rows.join(small(tasks, tasks.count()), "doc_id").select("pivot", "salt", "member", "doc_id", "text")
+    sets = map_rows(chosen, _sets, "pivot long, salt int, member int, doc_id long, found binary")
+    dealt = sets.repartition("pivot", "salt").sortWithinPartitions("pivot", "salt", "member", "doc_id")
+    return cut(map_batches(dealt, _meet_pivot(percent), "a long, b long"))
+
+
+def _rest_links(rows: DataFrame, shared: DataFrame, classes: DataFrame, percent: int, chunk_docs: int, chunk_shingles: int) -> DataFrame | None:
+    """Links of members that neither are a pivot nor share a class; None if
+    there are no such members."""
+    others = shared.where("node <> pivot").select("key", "node", "n")
+    label = F.coalesce("component", "node").alias("label")
+    others = others.join(small(classes, classes.count()), "node", "left").select("key", "node", "n", label)
+    sized = others.groupBy("key", "label").agg(F.count(F.lit(1)).alias("docs"), F.sum("n").alias("n"), F.bit_xor(F.xxhash64("node")).alias("mark"))
+    torn = sized.groupBy("key").agg(
+        F.max(F.struct("docs", "label", "n")).alias("top"), F.sum("docs").alias("docs"), F.sum("n").alias("n"), F.bit_xor("mark").alias("mark"), F.count(F.lit(1)).alias("labels")
+    ).where("labels > 1")
+    # the same members under several keys meet once
+    torn = torn.groupBy("docs", "n", "mark").agg(F.min(F.struct("key", "top")).alias("one"))
+    parts = lambda docs, n: F.greatest(F.ceil(docs / chunk_docs), F.ceil(n / chunk_shingles), F.lit(1)).cast("int")
+    torn = torn.select(
+        F.col("one.key").alias("key"),
+        F.col("one.top.label").alias("largest"),
+        parts(F.col("docs"), F.col("n")).alias("chunks"),
+        parts(F.col("docs") - F.col("one.top.docs"), F.col("n") - F.col("one.top.n")).alias("groups"),
+    )
+    torn = cut(torn)
+    count = torn.count()
+    if not count:
+        return None
+    inside = others.join(small(torn, count), "key")
+    every = lambda k: F.explode(F.sequence(F.lit(0), F.col(k) - 1))
+    in_group, in_chunk = F.pmod(F.xxhash64("node", F.lit(1)), F.col("groups")).cast("int"), F.pmod(F.xxhash64("node"), F.col("chunks")).cast("int")
+    opened = inside.where("label <> largest").select("key", in_group.alias("g"), every("chunks").alias("c"), F.col("node").alias("doc_id"))
+    faced = inside.select("key", every("groups").alias("g"), in_chunk.alias("c"), F.col("node").alias("doc_id"))
+    tasks = cut(opened.unionByName(faced).distinct())
+    chosen = rows.join(small(tasks, tasks.count()), "doc_id").select("key", "g", "c", "doc_id", "text")
+    sets = map_rows(chosen, _sets, "key long, g int, c int, doc_id long, found binary")
+    units = ("key", "g", "c")
+    dealt = sets.repartition(*units).sortWithinPartitions(*units, "doc_id")
+    return cut(map_batches(dealt, _meet_chunk(percent), "a long, b long"))
+
+
 def near_duplicates(
     docs: DataFrame, percent: int = PERCENT, chunk_shingles: int = CHUNK_SHINGLES, chunk_docs: int = CHUNK_DOCS
 ) -> DataFrame:
@@ -154,24 +239,14 @@ def near_duplicates(
     folded = real.groupBy("n", "high", "low").agg(F.min(F.struct("doc_id", "bands")).alias("one"), F.count(F.lit(1)).alias("copies"))
     folded = cut(folded.select("n", "high", "low", "copies", F.col("one.doc_id").alias("node"), F.col("one.bands").alias("bands")))
 
-    members = folded.select("node", F.explode("bands").alias("key"))
-    buckets = members.groupBy("key").agg(F.min("node").alias("pivot"), F.max("node").alias("last")).where("pivot < last")
-    candidates = members.join(buckets, "key").where("node <> pivot").select(F.col("node").alias("a"), F.col("pivot").alias("b"))
-    blocks = connected(candidates).join(folded.select("node", "n"), "node")
-    wide = blocks.groupBy("component").agg(F.sum("n").alias("all"), F.count(F.lit(1)).alias("docs"))
-    chunks = F.greatest(F.ceil(F.col("all") / chunk_shingles), F.ceil(F.col("docs") / chunk_docs)).cast("int")
-    wide = wide.select("component", chunks.alias("chunks"))
-    blocks = cut(blocks.join(wide, "component").select(F.col("node").alias("doc_id"), "component", "chunks"))
-
-    chosen = rows.join(small(blocks, blocks.count()), "doc_id")
-    sets = map_rows(chosen.select("doc_id", "text", "component", "chunks"), _sets, "doc_id long, component long, chunks int, found binary")
-    mine = F.pmod(F.xxhash64("doc_id"), F.col("chunks")).cast("int")
-    others = F.when(F.col("chunks") == 1, F.array(F.lit(0))).otherwise(F.array_remove(F.sequence(F.lit(0), F.col("chunks") - 1), mine))
-    dealt = sets.select("doc_id", "component", mine.alias("mine"), F.explode(others).alias("other"), "found")
-    dealt = dealt.select("component", F.least("mine", "other").alias("left"), F.greatest("mine", "other").alias("right"), "doc_id", "found")
-    keys = ("component", "left", "right")
-    links = map_batches(dealt.repartition(*keys).sortWithinPartitions(*keys, "doc_id"), _verify(percent), "a long, b long")
-    classes = connected(links)
+    members = folded.select("node", "n", F.explode("bands").alias("key"))
+    buckets = members.groupBy("key").agg(F.min("node").alias("pivot"), F.max("node").alias("last")).where("pivot < last").drop("last")
+    shared = cut(members.join(buckets, "key"))
+    links = _star_links(rows, shared, percent, chunk_docs)
+    classes = cut(connected(links))
+    more = _rest_links(rows, shared, classes, percent, chunk_docs, chunk_shingles)
+    if more is not None and not more.isEmpty():
+        classes = connected(links.unionByName(more))
 
     known = folded.join(classes, "node", "left").where("copies > 1 or component is not null")
     known = cut(known.select("n", "high", "low", F.coalesce("component", "node").alias("component")))
