@@ -4,11 +4,10 @@ from __future__ import annotations
 
 import tempfile
 import uuid
-import zlib
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
@@ -62,8 +61,8 @@ def held_out(doc_id: Column, modulus: int, remainder: int) -> Column:
     return F.coalesce(crc_mod(doc_id, modulus) == remainder, F.lit(False))
 
 
-def map_rows(df: DataFrame, kernel: Callable[[pa.RecordBatch], dict], schema: str | StructType) -> DataFrame:
-    """Apply ``kernel`` (a batch to a dict of columns) batch by batch."""
+def map_rows(df: DataFrame, kernel: Callable[[pa.RecordBatch], dict], schema: str | StructType, at_once: int = SLICE_ROWS) -> DataFrame:
+    """Apply ``kernel`` (a batch to a dict of columns) to ``at_once`` rows at a time."""
     from pyspark.sql.pandas.types import to_arrow_schema
     from pyspark.sql.types import _parse_datatype_string
 
@@ -71,7 +70,7 @@ def map_rows(df: DataFrame, kernel: Callable[[pa.RecordBatch], dict], schema: st
     arrow = to_arrow_schema(_parse_datatype_string(schema) if isinstance(schema, str) else schema)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part in (b.slice(at, SLICE_ROWS) for b in batches for at in range(0, b.num_rows, SLICE_ROWS)):
+        for part in (b.slice(at, at_once) for b in batches for at in range(0, b.num_rows, at_once)):
             columns = kernel(part)
             yield pa.RecordBatch.from_arrays([pa.array(columns[f.name], type=f.type) for f in arrow], schema=arrow)
 
@@ -79,21 +78,28 @@ def map_rows(df: DataFrame, kernel: Callable[[pa.RecordBatch], dict], schema: st
 
 
 def bounded_sample(labelled: DataFrame, keys: list[str], most: int) -> DataFrame:
-    """At most about ``most`` rows of ``labelled(doc_id, *keys)`` per distinct key.
+    """At most ``most`` doc_ids of ``labelled(doc_id, *keys)`` per distinct key,
+    one row each, however often a doc_id occurs (the least keys of one count).
 
-    Rows are chosen by a hash of doc_id against a fraction of each key's exact
-    count, so the same rows are chosen in every run and order.  Keys are class
-    labels: few by nature.
+    Ids are drawn by a hash against a fraction a little above the need, and the
+    first ``most`` of these in the order of the hash stay, so the same ids are
+    chosen in every run and order.  Keys are class labels.
     """
-    counts = labelled.groupBy(*keys).agg(F.count(F.lit(1)).alias("n_of_key"))
-    share = F.least(F.lit(1.0), F.lit(float(most)) / F.col("n_of_key"))
+    counts = cut(labelled.groupBy(*keys).agg(F.count(F.lit(1)).alias("n_of_key")))
+    share = F.least(F.lit(1.0), F.lit(1.2 * most + 50) / F.col("n_of_key"))
     unit = F.pmod(F.xxhash64(F.lit("sample"), F.col("doc_id")), F.lit(1 << 30)) / F.lit(float(1 << 30))
-    return labelled.join(F.broadcast(counts), keys).where(unit < share).select(labelled.columns)
-
-
-def crc_text(value: int) -> int:
-    """crc32 of the decimal text of ``value``, as ``crc_mod`` takes it."""
-    return zlib.crc32(str(value).encode())
+    drawn = labelled.join(small(counts, counts.count()), keys).where(unit < share)
+    drawn = drawn.groupBy("doc_id").agg(F.min(F.struct(*keys)).alias("of")).select("doc_id", *[F.col(f"of.{k}").alias(k) for k in keys])
+    place = F.row_number().over(Window.partitionBy(*keys).orderBy(unit, "doc_id"))
+    return cut(drawn.withColumn("place_in_key", place).where(F.col("place_in_key") <= most).select("doc_id", *keys))
+
+
+def sampled_texts(docs: DataFrame, chosen: DataFrame, on: list[str]) -> DataFrame:
+    """The columns of ``chosen`` and one whole ``text`` for each of its doc_ids
+    that ``docs`` has (the least, if rows share the id): no more rows than ids."""
+    columns = chosen.columns
+    rows = docs.select(*on, "text").join(small(chosen, chosen.count()), on)
+    return rows.groupBy(*columns).agg(F.min("text").alias("text")).select(*columns, "text")
 
 
 class Shared:

@@ -12,8 +12,9 @@ code point.  Null labels are not learned from; lang, source and doc_id never
 enter a prediction.  Repeated rows count each; extra columns are ignored; an
 empty table gives an empty result.
 
-At most about ``MOST_DOCS`` labelled documents per language are learned from (a
-documented bound of the classifier); their whole texts are counted.
+At most ``MOST_DOCS`` labelled documents per language are learned from, one row
+for each doc_id (a documented bound of the classifier).  Their whole texts are
+counted, however long, and every word and n-gram of them is kept.
 """
 
 from __future__ import annotations
@@ -23,19 +24,21 @@ from collections import Counter
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+import pyarrow.compute as pc
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Shared, bounded_sample, held_out, map_rows
+from .common import Shared, bounded_sample, cut, held_out, map_rows, sampled_texts
 
 UNKNOWN = "und"
 MOST_DOCS = 3000
-MOST_WORDS = 40_000
-MOST_GRAMS = 15_000
 LONGEST = 5
 SMOOTHING = 0.2
 WORDS = re.compile(r"[^\W\d_]+")
 
+#: Counted words that are cut up at once.
+WORDS_AT_ONCE = 20_000
+
 #: Unseen words whose scores a worker remembers.
 REMEMBERED = 200_000
 
@@ -48,41 +51,59 @@ def grams(word: str, n: int) -> list[str]:
     return [marked[i : i + n] for i in range(len(marked) - n + 1)]
 
 
-def _count(batch: pa.RecordBatch) -> dict:
-    """Rows (lang, n, gram, count) of a batch; n = 0 stands for whole words."""
+def _count_words(batch: pa.RecordBatch) -> dict:
+    """Rows (lang, word, count) of a batch."""
     by: dict[str, Counter] = {}
-    for text, lang in zip(batch.column(0), batch.column(1)):
-        by.setdefault(lang.as_py(), Counter()).update(WORDS.findall(text.as_py().lower()))
-    rows: Counter = Counter()
-    for lang, words in by.items():
-        for word, c in words.items():
-            rows[lang, 0, word] += c
-            for n in range(1, LONGEST + 1):
-                for g in grams(word, n):
-                    rows[lang, n, g] += c
-    langs, lengths, texts = zip(*rows) if rows else ((), (), ())
-    return {"lang": langs, "n": lengths, "gram": texts, "c": list(rows.values())}
+    for text, lang in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+        by.setdefault(lang, Counter()).update(WORDS.findall(text.lower()))
+    return {
+        "lang": [lang for lang, words in by.items() for _ in words],
+        "gram": [word for words in by.values() for word in words],
+        "c": [c for words in by.values() for c in words.values()],
+    }
+
+
+def _count_grams(batch: pa.RecordBatch) -> dict:
+    """Rows (lang, n, gram, count) of counted words: every word is cut up once."""
+    by: dict[tuple, Counter] = {}
+    for lang, word, c in zip(*(batch.column(i).to_pylist() for i in range(3))):
+        for n in range(1, LONGEST + 1):
+            counter = by.setdefault((lang, n), Counter())
+            for g in grams(word, n):
+                counter[g] += c
+    return {
+        "lang": [k[0] for k, found in by.items() for _ in found],
+        "n": [k[1] for k, found in by.items() for _ in found],
+        "gram": [g for found in by.values() for g in found],
+        "c": [c for found in by.values() for c in found.values()],
+    }
+
+
+def _table(rows: pa.Table, langs: list[str]) -> tuple[pa.Array, np.ndarray]:
+    """The grams of (lang, gram, c) and their log frequencies in each language."""
+    coded = pc.dictionary_encode(rows.column("gram").combine_chunks())
+    keys = coded.dictionary
+    counts = np.full((len(keys), len(langs)), SMOOTHING)
+    at = pc.index_in(rows.column("lang").combine_chunks(), pa.array(langs, pa.string())).to_numpy(zero_copy_only=False)
+    counts[coded.indices.to_numpy(zero_copy_only=False), at] += rows.column("c").to_numpy()
+    return keys, np.log(counts / counts.sum(axis=0, keepdims=True)).astype(np.float32) if len(keys) else counts
 
 
 def learn(labelled: DataFrame) -> dict:
-    """A model from (doc_id, text, lang): languages and their score tables."""
-    sample = bounded_sample(labelled.select("doc_id", "text", "lang"), ["lang"], MOST_DOCS)
-    counted = map_rows(sample.select("text", "lang"), _count, "lang string, n int, gram string, c long")
-    counted = counted.groupBy("lang", "n", "gram").agg(F.sum("c").alias("c"))
-    place = F.row_number().over(Window.partitionBy("lang", "n").orderBy(F.desc("c"), "gram"))
-    most = F.when(F.col("n") == 0, MOST_WORDS).otherwise(MOST_GRAMS)
-    rows = counted.where(F.col("c") > 1).withColumn("place", place).where(F.col("place") <= most).drop("place").collect()
-    langs = sorted({r.lang for r in rows})
-    at = {lang: i for i, lang in enumerate(langs)}
-    tables: list[dict] = [{} for _ in range(LONGEST + 1)]
-    for r in rows:
-        tables[r.n].setdefault(r.gram, [0] * len(langs))[at[r.lang]] = r.c
-    model = {"langs": langs, "tables": []}
-    for table in tables:
-        counts = np.array(list(table.values()), dtype=np.float64).reshape(len(table), len(langs)) + SMOOTHING
-        scores = np.log(counts / counts.sum(axis=0, keepdims=True)) if len(table) else counts
-        model["tables"].append((list(table), scores.astype(np.float32)))
-    return model
+    """A model from (doc_id, text, lang): languages and their score tables.
+
+    The driver gets the counts of a bounded number of documents, as Arrow.
+    """
+    chosen = bounded_sample(labelled.select("doc_id", "lang"), ["lang"], MOST_DOCS)
+    sample = sampled_texts(labelled.select("doc_id", "lang", "text"), chosen, ["doc_id", "lang"]).where("text is not null")
+    words = map_rows(sample.select("text", "lang"), _count_words, "lang string, gram string, c long")
+    words = cut(words.groupBy("lang", "gram").agg(F.sum("c").alias("c")))
+    parts = map_rows(words, _count_grams, "lang string, n int, gram string, c long", WORDS_AT_ONCE)
+    shorter = parts.groupBy("lang", "n", "gram").agg(F.sum("c").alias("c")).toArrow()
+    whole = words.toArrow()
+    langs = sorted(set(whole.column("lang").unique().to_pylist()))
+    tables = [whole] + [shorter.filter(pc.equal(shorter.column("n"), n)) for n in range(1, LONGEST + 1)]
+    return {"langs": langs, "tables": [_table(t, langs) for t in tables]}
 
 
 class Scorer:
@@ -90,8 +111,8 @@ class Scorer:
         self.langs = model["langs"]
         (words, scores), *shorter = model["tables"]
         self._scores = scores
-        self._words = {w: i for i, w in enumerate(words)}
-        self._shorter = [({g: i for i, g in enumerate(keys)}, values) for keys, values in shorter]
+        self._words = {w: i for i, w in enumerate(words.to_pylist())}
+        self._shorter = [({g: i for i, g in enumerate(keys.to_pylist())}, values) for keys, values in shorter]
         self._unseen: dict[str, np.ndarray] = {}
 
     def _fall_back(self, word: str) -> np.ndarray:
@@ -145,7 +166,7 @@ def predict(docs: DataFrame, model: dict) -> DataFrame:
 def identify(docs: DataFrame) -> DataFrame:
     """Learn from the labelled rows outside the held-out fold, predict all rows."""
     out = held_out(F.col("doc_id"), 4, 2)
-    labelled = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & F.col("doc_id").isNotNull() & ~out)
+    labelled = docs.where(F.col("lang").isNotNull() & F.col("doc_id").isNotNull() & ~out)
     found = predict(docs, learn(labelled))
     return found.select("doc_id", held_out(F.col("doc_id"), 4, 2).alias("held_out"), "lang_pred", "score")
 
@@ -153,7 +174,7 @@ def identify(docs: DataFrame) -> DataFrame:
 def keep_identified(docs: DataFrame, least: float = 0.4) -> DataFrame:
     """The rows of ``docs`` whose language is found; ``und`` and rows with a
     score below ``least`` go.  All columns stay as they are."""
-    labelled = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & F.col("doc_id").isNotNull())
+    labelled = docs.where(F.col("lang").isNotNull() & F.col("doc_id").isNotNull())
     shared = Shared(docs.sparkSession, learn(labelled), Scorer)
 
     def kernel(batch: pa.RecordBatch) -> dict:

@@ -10,7 +10,9 @@ Null and empty texts have the shape mark of emptiness only.  Labels are joined
 on doc_id; of several the least grade counts.  Repeated rows are scored one by
 one, ties score alike, extra columns are ignored, an empty table gives an empty
 result, and without labels every document has the tail probability 1/2 and is
-kept.  At most about ``MOST_DOCS`` labelled documents per grade are learned from.
+kept.  Very long texts are hashed whole; their features are no more than
+``1 << BITS``.  At most ``MOST_DOCS`` labelled documents per grade are learned
+from, one row for each doc_id.
 """
 
 from __future__ import annotations
@@ -21,7 +23,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Shared, bounded_sample, held_out, map_rows
+from .common import Shared, bounded_sample, held_out, map_rows, sampled_texts
 
 BITS = 15
 SHAPES = 64
@@ -101,9 +103,7 @@ def learn(docs: DataFrame, grades: DataFrame) -> dict | None:
     """A model from texts and (doc_id, grade), or None without two grades."""
     rated = grades.where(F.col("doc_id").isNotNull() & F.col("grade").isNotNull() & ~held_out(F.col("doc_id"), 5, 0))
     rated = rated.groupBy("doc_id").agg(F.min("grade").cast("int").alias("grade"))
-    chosen = bounded_sample(rated, ["grade"], MOST_DOCS)
-    # bounded by MOST_DOCS per grade, so it may be broadcast
-    sample = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").select("text", "grade")
+    sample = sampled_texts(docs, bounded_sample(rated, ["grade"], MOST_DOCS), ["doc_id"]).select("text", "grade")
 
     def kernel(batch: pa.RecordBatch) -> dict:
         found = [features(t.as_py()) for t in batch.column(0)]
