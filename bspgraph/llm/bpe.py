@@ -1,16 +1,20 @@
 """Byte-level BPE with a minimal acyclic transducer as its lexicon.
 
-The frequent words are the vocabulary's own entries that merge to themselves.
-They are compiled into a minimal acyclic automaton (equal suffixes share their
-states).  Each edge carries an additive output; the outputs on a word's path
-sum to its place in the id table.  The automaton is one flat byte string, sent
-to the executors once and memory-mapped there.  Words outside of it are merged
-exactly by rank.
+Words are counted over the whole corpus in the JVM, the distinct ones are cut
+into pieces, and the ``LEXICON_PIECES`` most frequent pieces are merged once.
+These and the vocabulary's own entries are compiled into a minimal acyclic
+automaton (equal suffixes share their states).  Each edge carries an additive
+output; the outputs on a piece's path sum to its place in the table of id
+sequences.  The automaton is one flat file that Spark puts on every executor
+once; all workers there map the same file, so they share its pages.  Pieces
+outside of it are merged exactly by rank, so the choice of the lexicon never
+changes a result.
 
 Text is split as byte-level BPE files prescribe; added tokens of the file are
-cut out first.  Null text counts as empty: no ids, and empty text back.  Rows
-are mapped one by one: repeated rows, ties and clashing column names have no
-effect, and an empty table gives an empty result.
+cut out first.  Null text counts as empty: no ids, and empty text back.  Very
+long texts are encoded whole, and very long pieces merged with a heap.  Rows are
+mapped one by one: repeated rows, ties and clashing column names have no effect,
+and an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -19,21 +23,29 @@ import hashlib
 import heapq
 import json
 import mmap
+import os
 import struct
 import tempfile
 
 import numpy as np
 import pyarrow as pa
 import regex
-from pyspark.sql import DataFrame, SparkSession
+from pyspark import SparkFiles
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import Shared, map_rows
 
 VOCABULARY = "byte_bpe_50k.json"
 
+#: Pieces in the lexicon: bounds its file, not what is encoded.
+LEXICON_PIECES = 120_000
+
+#: Words longer than this are not counted, pieces longer not remembered.
+LONGEST_WORD = 64
+
 #: Pieces that a worker remembers before it starts anew.
-REMEMBERED = 600_000
+REMEMBERED = 400_000
 
 _SPACE = r"\t\n\x0b\x0c\r\x20\x85\xa0" + "".join(map(chr, [0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000]))
 PIECES = regex.compile(
@@ -125,8 +137,8 @@ class Merges:
         return [x for x in ids if x >= 0]
 
 
-def compile_lexicon(entries: dict[bytes, int]) -> bytes:
-    """A minimal acyclic transducer from words to ids, as flat bytes.
+def compile_lexicon(entries: dict[bytes, tuple[int, ...]]) -> bytes:
+    """A minimal acyclic transducer from words to id sequences, as flat bytes.
 
     Words are added in order; a state that no later word can change is replaced
     by an equal one if there is one.
@@ -173,30 +185,33 @@ def compile_lexicon(entries: dict[bytes, int]) -> bytes:
             outputs.append(passed)
             passed += below[t]
         starts.append(len(labels))
-    ids = [entries[w] for w in words]
-    ints = [*starts, *targets, *outputs, *ids]
-    head = struct.pack("<5i", root, len(states), len(targets), len(ids), 0)
+    ends = np.cumsum([0, *(len(entries[w]) for w in words)]).tolist()
+    ids = [i for w in words for i in entries[w]]
+    ints = [*starts, *targets, *outputs, *ends, *ids]
+    head = struct.pack("<5i", root, len(states), len(targets), len(words), len(ids))
     return head + struct.pack(f"<{len(ints)}i", *ints) + bytes(final for final, _ in states) + bytes(labels)
 
 
 class Lexicon:
-    """A compiled transducer in a memory map."""
-
-    def __init__(self, flat: bytes):
-        with tempfile.TemporaryFile() as file:  # has no name, so nothing stays behind
-            file.write(flat)
-            file.flush()
-            self._map = mmap.mmap(file.fileno(), len(flat), access=mmap.ACCESS_READ)
-        self._root, states, edges, words, _ = struct.unpack_from("<5i", self._map)
-        ints = memoryview(self._map)[20 : 20 + 4 * (states + 1 + 2 * edges + words)].cast("i")
-        self._starts, self._targets = ints[: states + 1], ints[states + 1 : states + 1 + edges]
-        self._outputs, self._ids = ints[states + 1 + edges : states + 1 + 2 * edges], ints[states + 1 + 2 * edges :]
-        self._finals = 20 + 4 * len(ints)
+    """A compiled transducer in a memory-mapped file."""
+
+    def __init__(self, path: str):
+        with open(path, "rb") as file:
+            self._map = mmap.mmap(file.fileno(), 0, access=mmap.ACCESS_READ)
+        self._root, states, edges, words, ids = struct.unpack_from("<5i", self._map)
+        count = (states + 1) + 2 * edges + (words + 1) + ids
+        ints, at = memoryview(self._map)[20 : 20 + 4 * count].cast("i"), 0
+        parts = []
+        for size in (states + 1, edges, edges, words + 1, ids):
+            parts.append(ints[at : at + size])
+            at += size
+        self._starts, self._targets, self._outputs, self._ends, self._ids = parts
+        self._finals = 20 + 4 * count
         self._labels = self._finals + states
         self.states = states
 
-    def get(self, word: bytes) -> int | None:
-        """The id of a word, or None if the lexicon lacks it."""
+    def get(self, word: bytes) -> list[int] | None:
+        """The ids of a word, or None if the lexicon lacks it."""
         state, place, labels = self._root, 0, self._labels
         find, starts = self._map.find, self._starts
         for i in range(len(word)):
@@ -205,24 +220,25 @@ class Lexicon:
                 return None
             place += self._outputs[edge]
             state = self._targets[edge]
-        return self._ids[place] if self._map[self._finals + state] else None
+        return self._ids[self._ends[place] : self._ends[place + 1]].tolist() if self._map[self._finals + state] else None
 
 
 class Pieces(dict):
     """Piece -> its ids as decimal text; computed on first use, bounded."""
 
-    def __init__(self, lexicon: Lexicon, merges: Merges):
+    def __init__(self, lexicon: Lexicon | None, merges: Merges):
         super().__init__()
         self._lexicon, self._merges = lexicon, merges
 
     def __missing__(self, piece: str) -> str:
         raw = piece.encode()
-        one = self._lexicon.get(raw) if len(raw) <= 64 else None
-        ids = [one] if one is not None else self._merges.merge(raw)
+        ids = self._lexicon.get(raw) if self._lexicon and len(raw) <= LONGEST_WORD else None
+        if ids is None:
+            ids = self._merges.merge(raw)
         if len(self) >= REMEMBERED:
             self.clear()
         text = ",".join(map(str, ids))
-        if len(raw) <= 64:
+        if len(raw) <= LONGEST_WORD:
             self[piece] = text
         return text
 
@@ -230,12 +246,9 @@ class Pieces(dict):
 class Codec:
     """Encoding and decoding of whole texts."""
 
-    def __init__(self, source: str, flat: bytes | None = None):
+    def __init__(self, source: str, lexicon: str | None = None):
         self.merges = Merges(source)
-        if flat is None:
-            flat = compile_lexicon({w: i for w, i in self.merges.words.items() if self.merges.merge(w) == [i]})
-        self.flat = flat
-        self.lexicon = Lexicon(flat)
+        self.lexicon = Lexicon(lexicon) if lexicon else None
         self._pieces = Pieces(self.lexicon, self.merges)
         self._cut = regex.compile("(" + "|".join(map(regex.escape, sorted(self.merges.added, key=len, reverse=True))) + ")") if self.merges.added else None
         self._bytes = {str(i): b for i, b in self.merges.bytes_of.items()}
@@ -263,20 +276,69 @@ class Codec:
         return self.decode_text(",".join(map(str, ids)))
 
 
-def _build(pair: tuple[str, bytes]) -> Codec:
-    return Codec(*pair)
+def _source(path: str) -> str:
+    with open(path, encoding="utf-8") as file:
+        return file.read()
 
 
-def shared_codec(spark: SparkSession, path: str) -> Shared:
-    """A vocabulary file, read and compiled on the driver, for all workers."""
-    with open(path, encoding="utf-8") as file:
-        source = file.read()
-    return Shared(spark, (source, Codec(source).flat), _build)
+def _build(model: tuple[str, str | None]) -> Codec:
+    source, name = model
+    return Codec(source, SparkFiles.get(name) if name else None)
+
+
+def frequent_pieces(docs: DataFrame, most: int = LEXICON_PIECES) -> DataFrame:
+    """(piece, c): the most frequent pieces of all texts, by count and piece.
+
+    Only distinct words are shuffled, counted where they are first.
+    """
+    words = docs.select(F.explode(F.split("text", " ")).alias("word")).where(F.length("word").between(1, LONGEST_WORD))
+    words = words.groupBy("word").agg(F.count(F.lit(1)).alias("c"))
+
+    def kernel(batch: pa.RecordBatch) -> dict:
+        found: dict[str, int] = {}
+        for word, c in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+            for piece in PIECES.findall(" " + word):
+                found[piece] = found.get(piece, 0) + c
+        return {"piece": list(found), "c": list(found.values())}
+
+    pieces = map_rows(words, kernel, "piece string, c long", 10_000).groupBy("piece").agg(F.sum("c").alias("c"))
+    return pieces.orderBy(F.desc("c"), "piece").limit(most)
+
+
+def build_lexicon(docs: DataFrame, source: str, most: int = LEXICON_PIECES) -> bytes:
+    """The transducer of the vocabulary's entries and the frequent pieces.  The
+    driver gets ``most`` pieces and their ids at most."""
+    shared = Shared(docs.sparkSession, (source, None), _build)
+
+    def kernel(batch: pa.RecordBatch) -> dict:
+        merge = shared.get().merges.merge
+        pieces = [x.encode() for x in batch.column(0).to_pylist()]
+        return {"piece": pieces, "ids": [merge(x) for x in pieces]}
+
+    found = map_rows(frequent_pieces(docs, most).select("piece"), kernel, "piece binary, ids array<int>").toArrow()
+    merges = Merges(source)
+    entries = {w: (i,) for w, i in merges.words.items() if merges.merge(w) == [i]}
+    entries |= {w: tuple(ids) for w, ids in zip(found.column("piece").to_pylist(), found.column("ids").to_pylist())}
+    return compile_lexicon(entries)
+
+
+def shared_codec(docs: DataFrame, path: str, lexicon: bool = True) -> Shared:
+    """The codec of a vocabulary file for all workers, with a lexicon of the
+    documents' frequent pieces in a file on every executor."""
+    spark, source, name = docs.sparkSession, _source(path), None
+    if lexicon:
+        flat = build_lexicon(docs, source)
+        name = f"lexicon-{hashlib.sha256(flat).hexdigest()[:20]}.bin"
+        local = os.path.join(tempfile.mkdtemp(prefix="lexicon-"), name)
+        with open(local, "wb") as file:
+            file.write(flat)
+        spark.sparkContext.addFile(local)  # the driver serves it to every executor, also to later ones
+    return Shared(spark, (source, name), _build)
 
 
 def encode_documents(docs: DataFrame, path: str) -> DataFrame:
     """doc_id and ``ids`` (array of int) of every whole text."""
-    shared = shared_codec(docs.sparkSession, path)
+    shared = shared_codec(docs, path)
 
     def kernel(batch: pa.RecordBatch) -> dict:
         codec = shared.get()
@@ -287,7 +349,7 @@ def encode_documents(docs: DataFrame, path: str) -> DataFrame:
 
 def decode_documents(encoded: DataFrame, path: str) -> DataFrame:
     """doc_id and the text of every row of ids."""
-    shared = shared_codec(encoded.sparkSession, path)
+    shared = shared_codec(encoded, path, lexicon=False)
 
     def kernel(batch: pa.RecordBatch) -> dict:
         codec = shared.get()
@@ -298,7 +360,7 @@ def decode_documents(encoded: DataFrame, path: str) -> DataFrame:
 
 def codec_report(docs: DataFrame, path: str) -> DataFrame:
     """Each text encoded and decoded again in one pass: counts and hashes."""
-    shared = shared_codec(docs.sparkSession, path)
+    shared = shared_codec(docs, path)
     hashed = lambda s: hashlib.sha256(s.encode()).hexdigest()
 
     def kernel(batch: pa.RecordBatch) -> dict:
@@ -317,7 +379,7 @@ def codec_report(docs: DataFrame, path: str) -> DataFrame:
 
 def tokenise(docs: DataFrame, path: str) -> DataFrame:
     """doc_id, n_tokens, ``ids`` and the hash of the text decoded from them."""
-    shared = shared_codec(docs.sparkSession, path)
+    shared = shared_codec(docs, path)
 
     def kernel(batch: pa.RecordBatch) -> dict:
         codec = shared.get()
