@@ -7,22 +7,25 @@ the key.
 
 Key hashes are dealt to owners, each with its share of two filters: a hash new
 to the once-filter is put there, one already there is put into the
-twice-filter.  The twice-filters together have a fixed number of bits, so what
-is sent back to the workers is bounded; too small a filter only makes more
-suspects.  Only suspect keys are shuffled whole, counted exactly per key with
-partial counts first, and joined back with the documents' line numbers.
-
-Null and empty texts are one empty line.  Rows with equal doc_id are the same
-document for the counts; a null doc_id counts as one more document and is
-below all others.  A row is known by doc_id and the digest of its text, so rows
-that share a doc_id or have none lose only lines of their own.  Keys tie only by doc_id.  Extra columns are ignored; an
-empty table gives an empty result.
+twice-filter.  Filters and owners are sized by the counted bytes of all texts,
+up to ``MOST_BITS``, because the twice-filters go to every worker; too small a
+filter only makes more suspects, never another result.  Only suspect keys are
+shuffled whole and counted exactly per key, with partial counts first.
+Confirmed keys, if counted to be few, go to the workers, which drop lines where
+the texts are, so no text is shuffled; if they are many, the numbers of the
+lines to drop are joined to their texts.
+
+Null and empty texts are one empty line; very long texts are read whole.  Rows
+with equal doc_id are the same document for the counts; a null doc_id counts as
+one more document and is below all others.  A row loses only lines of its own
+text, whoever shares its doc_id.  Keys tie only by doc_id.  Extra columns are
+ignored; an empty table gives an empty result.
 """
 
 from __future__ import annotations
 
 import hashlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -36,11 +39,15 @@ MIN_CHARS = 40
 MIN_DOCS = 5
 SPACE = b"\x20\t\n\x0b\x0c\r"
 
-#: Bits of the twice-filters of all owners together, and number of owners.
-FILTER_BITS = 1 << 26
-OWNERS = 64
+#: Bits of the twice-filters of all owners together: a few per possible key,
+#: between these bounds; bits of one owner's share; probes of a hash.
+LEAST_BITS, MOST_BITS = 1 << 22, 1 << 29
+OWNER_BITS = 1 << 20
 PROBES = 3
 
+#: Most bytes of confirmed keys that are sent to every worker.
+KEYS_SENT = 16 << 20
+
 #: Characters of keys that count as one row of a broadcast.
 KEY_BYTES = 200
 
@@ -109,8 +116,16 @@ class Suspects:
         return out
 
 
-def twice_filters(docs: DataFrame, bits: int = FILTER_BITS, owners: int = OWNERS) -> tuple[int, int, dict[int, bytes]]:
+def filter_bits(docs: DataFrame) -> int:
+    """A power of two: four bits for every key that the texts could hold."""
+    size = docs.agg(F.coalesce(F.sum(F.octet_length("text").cast("long")), F.lit(0))).first()[0]
+    return min(MOST_BITS, max(LEAST_BITS, 1 << (4 * size // (MIN_CHARS + 1)).bit_length()))
+
+
+def twice_filters(docs: DataFrame, bits: int | None = None) -> tuple[int, int, dict[int, bytes]]:
     """The bounded model of keys seen in more than one row."""
+    bits = bits or filter_bits(docs)
+    owners = max(64, bits // OWNER_BITS)
     each = bits // owners
 
     def pack(batch: pa.RecordBatch) -> dict:
@@ -151,37 +166,47 @@ def _digest() -> Column:
     return F.unhex(F.sha2(F.coalesce("text", F.lit("")).cast("binary"), 256))
 
 
-def repeated_lines(docs: DataFrame, bits: int = FILTER_BITS, min_docs: int = MIN_DOCS) -> DataFrame:
-    """(doc_id, digest, lines) of the lines to drop: numbers from 0, one row per
-    doc_id and text as an array ``lines``."""
+def _suspects(docs: DataFrame, bits: int | None) -> DataFrame:
+    """(doc_id, digest, key, lines): lines whose key passes the twice-filters,
+    as numbers from 0 per row and key."""
     shared = Shared(docs.sparkSession, twice_filters(docs, bits), Suspects)
 
     def suspect(batch: pa.RecordBatch) -> dict:
         ids, digests, keys, lines = [], [], [], []
         suspects = shared.get()
-        for doc_id, text, digest in zip(batch.column(0).to_pylist(), batch.column(1), batch.column(2).to_pylist()):
+        for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1)):
             where: dict[bytes, list[int]] = {}
-            for n, key in enumerate(keys_of(text.as_py())):
-                if key:
+            raw = (text.as_py() or "").encode()
+            for n, line in enumerate(raw.split(b"\n")):
+                if len(line) >= MIN_CHARS and (key := key_of(line)):
                     where.setdefault(key, []).append(n)
-            names = list(where)
+            names, digest = list(where), None
             for key, hit in zip(names, suspects.among(_hash_all(names))):
                 if hit:
+                    digest = digest or hashlib.sha256(raw).digest()
                     ids.append(doc_id)
                     digests.append(digest)
                     keys.append(key.decode())
                     lines.append(where[key])
         return {"doc_id": ids, "digest": digests, "key": keys, "lines": lines}
 
-    rows = docs.select(_at().alias("doc_id"), "text", _digest().alias("digest"))
-    suspects = cut(map_rows(rows, suspect, "doc_id long, digest binary, key string, lines array<int>"))
+    return cut(map_rows(docs.select(_at().alias("doc_id"), "text"), suspect, "doc_id long, digest binary, key string, lines array<int>"))
+
+
+def _confirmed(suspects: DataFrame, min_docs: int) -> tuple[DataFrame, int, int]:
+    """(key, keep_id) of the keys of enough documents, how many, their bytes."""
     # rows of one document with the same key count once
     per_doc = suspects.select("key", "doc_id").distinct()
     found = per_doc.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.max("doc_id").alias("keep_id")).where(F.col("n") >= min_docs)
     found = cut(found.select("key", "keep_id"))
+    return found, *found.agg(F.count(F.lit(1)), F.coalesce(F.sum(F.octet_length("key").cast("long")), F.lit(0))).first()
+
+
+def repeated_lines(suspects: DataFrame, found: DataFrame, rows: int) -> DataFrame:
+    """(doc_id, digest, lines) of the lines to drop: numbers from 0, one row per
+    doc_id and text as an array ``lines``."""
     # broadcast only if counted small; else both sides shuffle and hot keys can be split
-    rows, size = found.agg(F.count(F.lit(1)), F.coalesce(F.sum(F.length("key")), F.lit(0))).first()
-    drops = suspects.join(small(found, max(rows, size // KEY_BYTES)), "key").where(F.col("doc_id") != F.col("keep_id"))
+    drops = suspects.join(small(found, rows), "key").where(F.col("doc_id") != F.col("keep_id"))
     # equal rows have equal arrays, so a set holds no more than the lines of one text
     return drops.groupBy("doc_id", "digest").agg(F.flatten(F.collect_set("lines")).alias("lines"))
 
@@ -195,32 +220,55 @@ def _without(text: str | None, gone: list[int] | None) -> tuple[str | None, int,
     return "\n".join(x for n, x in enumerate(parts) if n not in numbers), len(parts), len(numbers)
 
 
-def _with_drops(docs: DataFrame, bits: int, min_docs: int) -> DataFrame:
-    """``docs`` with the column ``__drop`` of line numbers."""
-    drops = repeated_lines(docs, bits, min_docs).select(F.col("doc_id").alias("__at"), F.col("digest").alias("__digest"), F.col("lines").alias("__drop"))
-    rows = docs.withColumn("__at", _at()).withColumn("__digest", _digest())
-    return rows.join(drops, ["__at", "__digest"], "left").drop("__at", "__digest")
-
-
-def dedup_lines(docs: DataFrame, bits: int = FILTER_BITS, min_docs: int = MIN_DOCS) -> DataFrame:
-    """The rows and columns of ``docs`` with repeated lines dropped from ``text``."""
+def _dropping(docs: DataFrame, make: Callable, schema, bits: int | None, min_docs: int, keys_sent: int) -> DataFrame:
+    """Apply ``make`` (columns of a batch, and of each row the text that stays,
+    its lines and how many go) to all rows of ``docs``."""
+    suspects = _suspects(docs, bits)
+    found, count, size = _confirmed(suspects, min_docs)
+    # names that no column of the documents has
+    at, digest, drop = (f"{name}{len(''.join(docs.columns))}" for name in ("row_at", "row_digest", "row_drop"))
+    if size + 100 * count <= keys_sent:
+        kept = {key.encode(): keep for key, keep in found.toArrow().to_pandas().itertuples(index=False)}
+        shared = Shared(docs.sparkSession, kept)
+
+        def kernel(batch: pa.RecordBatch) -> dict:
+            keep = shared.get()
+            columns = {name: batch.column(i) for i, name in enumerate(batch.schema.names)}
+            results = []
+            for here, text in zip(columns.pop(at).to_pylist(), columns["text"].to_pylist()):
+                gone = []
+                if keep and text and len(text) >= MIN_CHARS:
+                    for n, key in enumerate(keys_of(text)):
+                        if key and keep.get(key, here) != here:
+                            gone.append(n)
+                results.append(_without(text, gone))
+            return make(columns, results)
+
+        return map_rows(docs.withColumn(at, _at()), kernel, schema)
+    drops = repeated_lines(suspects, found, max(count, size // KEY_BYTES))
+    drops = drops.select(F.col("doc_id").alias(at), F.col("digest").alias(digest), F.col("lines").alias(drop))
+    joined = docs.withColumn(at, _at()).withColumn(digest, _digest()).join(drops, [at, digest], "left").drop(at, digest)
 
     def kernel(batch: pa.RecordBatch) -> dict:
         columns = {name: batch.column(i) for i, name in enumerate(batch.schema.names)}
-        gone = columns.pop("__drop").to_pylist()
-        columns["text"] = [_without(t.as_py(), g)[0] for t, g in zip(columns["text"], gone)]
-        return columns
+        gone = columns.pop(drop).to_pylist()
+        return make(columns, [_without(t, g) for t, g in zip(columns["text"].to_pylist(), gone)])
 
-    return map_rows(_with_drops(docs, bits, min_docs), kernel, docs.schema)
+    return map_rows(joined, kernel, schema)
 
 
-def line_report(docs: DataFrame) -> DataFrame:
+def dedup_lines(docs: DataFrame, bits: int | None = None, min_docs: int = MIN_DOCS, keys_sent: int = KEYS_SENT) -> DataFrame:
+    """The rows and columns of ``docs`` with repeated lines dropped from ``text``."""
+    make = lambda columns, results: columns | {"text": [text for text, _, _ in results]}
+    return _dropping(docs, make, docs.schema, bits, min_docs, keys_sent)
+
+
+def line_report(docs: DataFrame, bits: int | None = None, keys_sent: int = KEYS_SENT) -> DataFrame:
     """Counts and the hash of what stays of each document."""
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
 
-    def kernel(batch: pa.RecordBatch) -> dict:
-        found = [_without(t.as_py(), g) for t, g in zip(batch.column(1), batch.column(2).to_pylist())]
-        hashes = [hashlib.sha256((x or "").encode()).hexdigest() for x, _, _ in found]
-        return {"doc_id": batch.column(0), "n_lines": [n for _, n, _ in found], "n_dropped": [n for _, _, n in found], "kept_sha256": hashes}
+    def make(columns: dict, results: list) -> dict:
+        hashes = [hashlib.sha256((x or "").encode()).hexdigest() for x, _, _ in results]
+        return {"doc_id": columns["doc_id"], "n_lines": [n for _, n, _ in results], "n_dropped": [n for _, _, n in results], "kept_sha256": hashes}
 
-    return map_rows(_with_drops(rows, FILTER_BITS, MIN_DOCS), kernel, "doc_id long, n_lines long, n_dropped long, kept_sha256 string")
+    return _dropping(rows, make, "doc_id long, n_lines long, n_dropped long, kept_sha256 string", bits, MIN_DOCS, keys_sent)
