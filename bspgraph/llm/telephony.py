@@ -8,7 +8,8 @@ and stored as a WAVE file of its own.
 
 All features are sums of integers over one document's own samples, so equal
 texts have equal values however rows are batched.  Null text counts as empty
-and becomes one frame of padding.  Rows are mapped one by one; repeated rows
+and becomes one frame of padding; very long texts are decoded and resampled some
+samples at a time.  Rows are mapped one by one; repeated rows
 and other columns have no effect and an empty table gives an empty result.
 """
 
@@ -119,15 +120,30 @@ def encode_adpcm(samples: np.ndarray, width: int = FRAME) -> np.ndarray:
     return blocks
 
 
+#: Samples that are resampled at once: bounds the memory of one pass.
+SAMPLES = 1 << 18
+
+
 def resample(samples: np.ndarray, up: int = 2, down: int = 1) -> np.ndarray:
-    """Linear resampling by up/down in integers."""
-    if not len(samples):
-        return samples.astype(np.int16)
-    at = np.arange((len(samples) * up + down - 1) // down, dtype=np.int64) * down
-    left, part = at // up, at % up
-    right = np.minimum(left + 1, len(samples) - 1)
-    wide = samples.astype(np.int32)
-    return ((wide[left] * (up - part) + wide[right] * part) // up).astype(np.int16)
+    """Linear resampling by up/down in integers, some samples at a time."""
+    count = (len(samples) * up + down - 1) // down
+    out = np.empty(count, dtype=np.int16)
+    for begin in range(0, count, SAMPLES):
+        at = np.arange(begin, min(count, begin + SAMPLES), dtype=np.int64) * down
+        left, part = at // up, (at % up).astype(np.int32)
+        here = samples[left].astype(np.int32)
+        there = samples[np.minimum(left + 1, len(samples) - 1)].astype(np.int32)
+        out[begin : begin + SAMPLES] = (here * (up - part) + there * part) // up
+    return out
+
+
+def square_sum(samples: np.ndarray) -> int:
+    """Sum of squares, some samples at a time."""
+    total = 0
+    for begin in range(0, len(samples), SAMPLES):
+        x = samples[begin : begin + SAMPLES].astype(np.int64)
+        total += int(np.dot(x, x))
+    return total
 
 
 def write_wave(payload: bytes, tag: int = MULAW_TAG, rate: int = RATE) -> bytes:
@@ -231,7 +247,7 @@ def audio_report(docs: DataFrame) -> DataFrame:
             _, _, back = read_wave(media)
             codes = np.frombuffer(back, dtype=np.uint8)
             mu, a = MULAW[codes], ALAW[codes]
-            squares = [int(np.dot(x := y.astype(np.int64), x)) // len(x) for y in (mu, a)]
+            squares = [square_sum(y) // len(y) for y in (mu, a)]
             crossings = int(((mu[1:] < 0) != (mu[:-1] < 0)).sum())
             wide = zlib.crc32(read_wave(pcm.as_py())[2])
             found.append((*squares, crossings, wide))
