@@ -6,8 +6,9 @@ length, into one compressed radix trie, whose terminal nodes hold the identifier
 that stays and the number of rows.  Equality is decided by the trie alone, so a
 collision of the routing hash cannot merge two texts.
 
-Copies within a batch are folded before the shuffle, so a text that fills a
-third of the table arrives once per batch.  A trie that outgrows its budget
+Copies within a partition are folded before the shuffle (within every
+``FOLDED`` bytes of different texts), so a text that fills a third of the table
+arrives about once per partition.  Very long texts are inserted whole.  A trie that outgrows its budget
 writes subtrees, small ones together, to unnamed files until half the budget is
 free; later strings that lead there are appended, and each file is finished on
 its own at the end.  Only labels of one string may take more than the budget.  Documents get their
@@ -36,6 +37,10 @@ from .common import map_batches, map_rows
 BUDGET = 256 << 20
 
 
+#: Bytes of different texts that are held to fold copies before the shuffle.
+FOLDED = 32 << 20
+
+
 def common_prefix(a: bytes, b: bytes) -> int:
     """Length of the common prefix, by halving."""
     n = min(len(a), len(b))
@@ -198,6 +203,20 @@ def _digests(batch: pa.RecordBatch) -> dict:
     return {"doc_id": batch.column(0), "digest": found}
 
 
+def _parts(local: dict[bytes, tuple], route: Callable[[bytes], bytes]) -> Iterator[dict]:
+    """Folded texts, some at a time."""
+    items = list(local.items())
+    for at in range(0, len(items), 1000):
+        part = items[at : at + 1000]
+        yield {
+            "length": [len(raw) for raw, _ in part],
+            "digest": [route(raw) for raw, _ in part],
+            "raw": [raw for raw, _ in part],
+            "best": [v[0] for _, v in part],
+            "n": [v[1] for _, v in part],
+        }
+
+
 def exact_groups(docs: DataFrame, keep: str = "max", budget: int = BUDGET, hashed: Callable[[bytes], bytes] | None = None) -> DataFrame:
     """doc_id, keep_id, group_size, kept and text_sha256 of every row.
 
@@ -206,19 +225,22 @@ def exact_groups(docs: DataFrame, keep: str = "max", budget: int = BUDGET, hashe
     fold = {"max": fold_max, "min": fold_min}[keep]
     route = hashed or (lambda raw: hashlib.sha256(raw).digest())
 
-    def fold_batch(batch: pa.RecordBatch) -> dict:
+    def fold_copies(batches: Iterator[pa.RecordBatch]) -> Iterator[dict]:
         local: dict[bytes, tuple] = {}
-        for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1)):
-            raw = normalised(text.as_py())
-            one = (doc_id, 1)
-            local[raw] = fold(local[raw], one) if raw in local else one
-        return {
-            "length": [len(raw) for raw in local],
-            "digest": [route(raw) for raw in local],
-            "raw": list(local),
-            "best": [v[0] for v in local.values()],
-            "n": [v[1] for v in local.values()],
-        }
+        size = 0
+        for batch in batches:
+            for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1)):
+                raw = normalised(text.as_py())
+                one = (doc_id, 1)
+                if raw in local:
+                    local[raw] = fold(local[raw], one)
+                    continue
+                local[raw] = one
+                size += len(raw) + 100
+                if size >= FOLDED:
+                    yield from _parts(local, route)
+                    local, size = {}, 0
+        yield from _parts(local, route)
 
     def own(batches: Iterator[pa.RecordBatch]) -> Iterator[dict]:
         trie = Patricia(fold, budget)
@@ -236,7 +258,7 @@ def exact_groups(docs: DataFrame, keep: str = "max", budget: int = BUDGET, hashe
             yield dict(zip(("digest", "raw", "keep_id", "n"), map(list, zip(*part))))
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    folded = map_rows(rows, fold_batch, "length int, digest binary, raw binary, best long, n long")
+    folded = map_batches(rows, fold_copies, "length int, digest binary, raw binary, best long, n long")
     owned = folded.repartition("length", "digest")
     groups = map_batches(owned, own, "digest binary, raw binary, keep_id long, n long")
     if hashed is None:
