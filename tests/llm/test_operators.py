@@ -3,6 +3,7 @@
 import os
 import random
 import sys
+import zlib
 from collections import Counter
 
 import pytest
@@ -89,11 +90,18 @@ def test_patricia_spills_and_folds():
 def test_line_dedup(docs, rows):
     want = Counter((i, n, n - len(kept), reference.sha("\n".join(kept))) for i, n, kept in reference.kept_lines(rows))
     assert bag(linededup.line_report(docs)) == want
-    # filters that say yes to nearly everything change nothing
-    tight = linededup.dedup_lines(docs, bits=64 * 64)
-    assert tight.columns == docs.columns
+    # many confirmed keys take the way by a join
+    assert bag(linededup.line_report(docs, keys_sent=0)) == want
     texts = Counter((i, "\n".join(kept)) for i, _, kept in reference.kept_lines(rows))
-    assert Counter((r.doc_id, r.text or "") for r in tight.collect()) == texts
+    # filters that say yes to nearly everything change nothing
+    for out in (linededup.dedup_lines(docs, bits=64 * 64), linededup.dedup_lines(docs, keys_sent=0)):
+        assert out.columns == docs.columns
+        assert Counter((r.doc_id, r.text or "") for r in out.collect()) == texts
+
+
+def test_filters_grow_with_the_texts(spark):
+    df = spark.range(3000).select(F.repeat(F.lit("x"), 100_000).alias("text"))
+    assert linededup.filter_bits(df) == 1 << (4 * 300_000_000 // 41).bit_length() > linededup.LEAST_BITS
 
 
 @pytest.mark.parametrize("chunk", [256, 3])
@@ -161,14 +169,28 @@ def test_codec_equals_the_library(docs, rows):
     assert {r.doc_id: r.text for r in back.collect()} == {i: texts[i] or "" for i in {r.doc_id for r in some.collect()}}
 
 
-def test_lexicon_is_minimal_and_exact():
-    words = {b"walking": 5, b"talking": 7, b"walk": 9, b"talk": 11, b"": 3}
-    lexicon = bpe.Lexicon(bpe.compile_lexicon(words))
-    assert {w: lexicon.get(w) for w in words} == words
+def test_lexicon_is_minimal_and_exact(tmp_path):
+    words = {b"walking": (5,), b"talking": (7, 8), b"walk": (9, 1, 2), b"talk": (11,), b"": ()}
+    (tmp_path / "flat").write_bytes(bpe.compile_lexicon(words))
+    lexicon = bpe.Lexicon(str(tmp_path / "flat"))
+    assert {w: tuple(lexicon.get(w)) for w in words} == words
     assert lexicon.get(b"walki") is None and lexicon.get(b"x") is None
     assert lexicon.states == 8  # the root, and one state after each letter of either verb
 
 
+def test_lexicon_answers_most_pieces(spark, tmp_path):
+    import public_tokenizers
+
+    given = common.documents(spark, "/root/testdata/sf0.01")
+    source = bpe._source(public_tokenizers.path(bpe.VOCABULARY))
+    (tmp_path / "flat").write_bytes(bpe.build_lexicon(given, source))
+    codec = bpe.Codec(source, str(tmp_path / "flat"))
+    pieces = Counter(p for r in given.select("text").limit(300).collect() for p in bpe.PIECES.findall(r.text or ""))
+    known = {p: codec.lexicon.get(p.encode()) for p in pieces}
+    assert sum(c for p, c in pieces.items() if known[p] is not None) >= 0.9 * pieces.total()
+    assert all(ids == codec.merges.merge(p.encode()) for p, ids in known.items() if ids is not None)
+
+
 def test_telephony(docs, rows):
     import hashlib
     import zlib
@@ -203,6 +225,61 @@ def test_telephony(docs, rows):
     assert telephony.resample(np.array([0, 10, 20], dtype=np.int16)).tolist() == [0, 5, 10, 15, 20, 20]
 
 
+def plain_feature(payload):
+    """The audio feature sample by sample."""
+    from bspgraph.llm.telephony import INDEX_MOVES, STEPS
+
+    def mu(b):
+        b = ~b & 0xFF
+        size = (((b & 15) * 8 + 132) << (b >> 4 & 7)) - 132
+        return -size if b & 128 else size
+
+    def a(b):
+        b ^= 0x55
+        segment, size = b >> 4 & 7, (b & 15) * 16 + 8
+        size = size if segment == 0 else (size + 256) << (segment - 1)
+        return size if b & 128 else -size
+
+    one, two = [mu(b) for b in payload], [a(b) for b in payload]
+    crossings = sum((x < 0) != (y < 0) for x, y in zip(one, one[1:]))
+    squares = count = 0
+    for at in range(0, len(payload), 192):
+        block = payload[at : at + 192]
+        value, index = int.from_bytes(block[:2], "little", signed=True), min(88, block[2])
+        squares, count = squares + value * value, count + 1
+        for code in (c for b in block[4:] for c in (b & 15, b >> 4)):
+            step = int(STEPS[index])
+            move = (step >> 3) + (step if code & 4 else 0) + (step >> 1 if code & 2 else 0) + (step >> 2 if code & 1 else 0)
+            value = max(-32768, min(32767, value - move if code & 8 else value + move))
+            index = max(0, min(88, index + int(INDEX_MOVES[code])))
+            squares, count = squares + value * value, count + 1
+    wide = []
+    for k, x in enumerate(one):
+        wide += [x, (x + one[min(k + 1, len(one) - 1)]) // 2]
+    stored = b"".join(x.to_bytes(2, "little", signed=True) for x in wide)
+    return f"{sum(x * x for x in one) // len(one)},{sum(x * x for x in two) // len(two)},{crossings},{squares // count},{zlib.crc32(stored)}"
+
+
+def test_telephony_feature_by_brute_force(spark):
+    rng = random.Random(2)
+    texts = ["", None, "abc", "é" * 97, *["".join(chr(rng.randrange(1, 0x2FFF)) for _ in range(n)) for n in (5, 300, 2000)]]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    for r in telephony.audio_report(df).collect():
+        raw = (texts[r.doc_id] or "").encode()
+        assert r.feature == plain_feature(raw.ljust(max(1, -(-len(raw) // 192)) * 192, b" "))
+
+
+def test_long_samples_are_resampled_in_parts(monkeypatch):
+    import numpy as np
+
+    samples = np.random.default_rng(1).integers(-32768, 32767, 5000).astype(np.int16)
+    whole = {(u, d): telephony.resample(samples, u, d) for u, d in ((2, 1), (3, 2), (1, 3))}
+    monkeypatch.setattr(telephony, "SAMPLES", 64)
+    for (u, d), want in whole.items():
+        assert (telephony.resample(samples, u, d) == want).all()
+    assert telephony.square_sum(samples) == int((samples.astype(object) ** 2).sum())
+
+
 def test_mixing(docs, rows):
     got = mixing.mix(docs).collect()
     assert len(got) == len(rows)
@@ -251,14 +328,145 @@ def test_language(spark, sf, docs):
     assert {r.lang_pred for r in langid.identify(unlabelled).collect()} == {langid.UNKNOWN}
 
 
+def findings(classes):
+    """The grammar as plain windows over one clause."""
+    near = lambda c, i, before, ahead: c in classes[max(0, i - before) : i] + classes[i + 1 : i + 1 + ahead]
+    out = Counter()
+    for i, c in enumerate(classes):
+        if c not in toxicity.HOT:
+            continue
+        if near("negation", i, toxicity.REACH, 0):
+            out["negated"] += c != "threat"
+        elif "report" in classes[:i]:
+            out["reported"] += c != "threat"
+        elif near("target", i, toxicity.REACH, toxicity.AHEAD):
+            out[{"insult": "targeted", "weak": "weak_targeted"}.get(c) or ("threat" if near("intent", i, toxicity.REACH + 1, 0) else "act")] += 1
+        elif c != "threat":
+            out[c] += 1
+    return +out
+
+
 def test_toxicity_grammar():
-    run = lambda text: toxicity.run_clause(["insult" if w in toxicity.INSULTS else toxicity.FIXED_CLASSES.get(w, "other") for w in text.split()])
-    assert "targeted" in run("you are an idiot")
-    assert "targeted" in run("idiot you")
-    assert "negated" in run("this is not stupid")
-    assert "reported" in run("the paper said that some moron came")
-    assert "aimed_threat" in run("he will hurt them and kill you") or "aimed_threat" in run("you i kill")
-    assert "insult" in run("what a clown")
+    random.seed(11)
+    machine, kinds = toxicity.grammar(), [*toxicity.LISTS, "weak", "other", "other"]
+    for _ in range(400):
+        clause = [random.choice(kinds) for _ in range(random.randint(0, 9))]
+        state, got = machine.start, Counter()
+        for c in [*clause, toxicity.END]:
+            state, out = machine[state, c]
+            got.update(x for x in out if x in toxicity.OUTPUTS)
+        assert got == findings(clause) and state == machine.start
+    fixed = {w: kind for kind, words in toxicity.LISTS.items() for w in words.split()}
+    reader = toxicity.Reader((fixed, toxicity.PRIOR))
+    read = lambda text: dict(reader.read(text)[0])
+    assert read("You are an idiot") == read("idiot you!") == {"targeted": 1}
+    assert read("this is not stupid") == {"negated": 1} and read("the paper said that some moron came") == {"reported": 1}
+    assert read("Ich werde dich töten.") == read("je vais te tuer") == read("we will kill them") == {"threat": 1}
+    assert read("kill the process") == read("will kill the process") == {} and read("they beat us; what a clown") == {"act": 1, "insult": 1}
+    lexicon = toxicity.Lexicon({"abc": "insult", "ab*": "weak", "abcd*": "insult"})
+    assert [lexicon[w] for w in ("ab", "abc", "abx", "abcd", "abcde", "b")] == ["other", "insult", "weak", "weak", "insult", "other"]
+
+
+def test_toxicity_scores_by_brute_force(spark, docs, rows):
+    sf = "/root/testdata/sf0.01"
+    model = toxicity.learn(common.documents(spark, sf), common.labels(spark, sf))
+    whole = {x: k for x, k in model["lexemes"].items() if not x.endswith("*")}
+    starts = {x[:-1]: k for x, k in model["lexemes"].items() if x.endswith("*")}
+
+    def kind(word):
+        fits = [word[:n] for n in range(1, len(word)) if word[:n] in starts]
+        return whole.get(word) or (starts[fits[-1]] if fits else "other")
+
+    import math
+    import re
+
+    def plain(text):
+        tokens = re.findall(r"[^\W\d_]+|[.;:!?\n|]+", (text or "").lower())
+        total, clause = 0.0, []
+        for t in [*tokens, "."]:
+            if t[0] in ".;:!?\n|":
+                total += sum(model["weights"][x] * c for x, c in findings(clause).items())
+                clause = []
+            else:
+                clause.append(kind(t))
+        base, one, two = model["calibration"]
+        return 1 / (1 + math.exp(-(base + one * math.log1p(total) + two * math.log1p(100 * total / (len(tokens) + 20)))))
+
+    want = Counter((i, round(plain(t), 6)) for i, t in rows)
+    assert Counter((r.doc_id, round(r.score, 6)) for r in toxicity.score(docs, model).collect()) == want
+
+
+def test_language_by_brute_force(spark, docs):
+    import math
+    import re
+
+    given = [(r.doc_id, r.text, r.lang) for r in docs.select("doc_id", "text", "lang").collect()]
+    texts, seen = {}, set()
+    for i, text, lang in given:
+        if i is not None and lang is not None and text is not None and zlib.crc32(str(i).encode()) % 4 != 2:
+            texts.setdefault((i, lang), text)
+    counts = [Counter() for _ in range(6)]
+    for (_, lang), text in texts.items():
+        for word in re.findall(r"[^\W\d_]+", text.lower()):
+            counts[0][word, lang] += 1
+            for n in range(1, 6):
+                marked = word if n == 1 else f"<{word}>"
+                counts[n].update((marked[k : k + n], lang) for k in range(len(marked) - n + 1))
+    langs = sorted({lang for _, lang in texts})
+    tables = []
+    for table in counts:
+        keys = {g for g, _ in table}
+        totals = {x: sum(table[g, x] + 0.2 for g in keys) for x in langs}
+        tables.append({g: [math.log((table[g, x] + 0.2) / totals[x]) for x in langs] for g in keys})
+
+    def plain(text):
+        words = Counter(re.findall(r"[^\W\d_]+", (text or "").lower()))
+        if not any(c.isalpha() for w in words for c in w):
+            return "und", 0.0
+        total = [0.0] * len(langs)
+        for word, c in words.items():
+            found = tables[0].get(word)
+            for n in range(5, 0, -1):
+                if found:
+                    break
+                marked = word if n == 1 else f"<{word}>"
+                hits = [tables[n][g] for k in range(len(marked) - n + 1) if (g := marked[k : k + n]) in tables[n]]
+                found = [sum(h) / len(hits) for h in zip(*hits)] if hits else None
+            total = [a + c * b for a, b in zip(total, found or [0.0] * len(langs))]
+        best = max(range(len(langs)), key=lambda k: (total[k], -k))
+        return langs[best], 1 / sum(math.exp(max(-700, x - total[best])) for x in total)
+
+    for r in langid.identify(docs).collect():
+        seen.add(r.doc_id)
+        for i, text, _ in given:
+            if i is not None and i == r.doc_id:
+                lang, score = plain(text)
+                assert r.lang_pred == lang and abs(r.score - score) < 1e-2
+    assert len(seen) > 200
+
+
+def test_quality_by_brute_force(spark, docs):
+    import numpy as np
+
+    sf = "/root/testdata/sf0.01"
+    given, rated = common.documents(spark, sf), common.labels(spark, sf).select("doc_id", F.col("quality").alias("grade"))
+    texts = {r.doc_id: r.text for r in given.collect()}
+    train = sorted((r.doc_id, r.grade) for r in rated.collect() if zlib.crc32(str(r.doc_id).encode()) % 5)
+    model = quality.fit([quality.features(texts[i]) for i, _ in train], np.array([g for _, g in train]), 1)
+    for r in quality.quality_report(given, rated).collect():
+        where, values = quality.features(texts[r.doc_id])
+        tail = 1 / (1 + np.exp(model["thresholds"][0] - values @ model["weights"][where]))
+        assert abs(r.tail_prob - tail) < 0.02 and abs(r.expected_grade - tail) < 0.02
+
+
+def test_samples_are_bounded_by_rows(spark):
+    rated = spark.range(100).select(F.col("id").alias("doc_id"), (F.col("id") % 2).alias("y"))
+    rated = rated.unionByName(spark.range(5000).select(F.lit(7).cast("long").alias("doc_id"), F.lit(1).cast("long").alias("y")))
+    chosen = common.bounded_sample(rated, ["y"], 10)
+    got = Counter(r.y for r in chosen.collect())
+    assert max(got.values()) <= 10 and chosen.count() == chosen.select("doc_id").distinct().count()
+    texts = rated.select("doc_id", F.concat(F.lit("t"), F.rand(1).cast("string")).alias("text"))
+    assert common.sampled_texts(texts, chosen, ["doc_id"]).count() == chosen.count()
 
 
 def test_toxicity_and_quality(spark, docs):
