@@ -9,7 +9,7 @@ from ..engine import Run, run
 from ..functions.combiners import Combiner
 from ..graph import Graph
 from ..options import EngineError, Options
-from ..plans.checkpoints import cut, loop_settings
+from ..plans.checkpoints import cut, drop, loop_settings
 from ..program import StepView, Turn, VertexProgram, VertexView
 
 
@@ -23,7 +23,7 @@ class PageRank(VertexProgram):
         self.iterations, self.damping = iterations, damping
 
     def compute(self, me: VertexView, step: StepView) -> Turn:
-        n = float(step.num_vertices)
+        n = float(max(1, step.num_vertices))
         if step.is_first:
             rank = F.lit(1.0 / n)
         else:
@@ -51,12 +51,10 @@ def ranks(done: Run) -> DataFrame:
 
 def _step(graph: Graph, state: DataFrame, damping: float, lost: float = 0.0) -> DataFrame:
     """One update of (pid, id, out_degree, value) by a push of shares."""
-    share = state.select("pid", F.col("id").alias("src"), F.try_divide("value", "out_degree").alias("m"))
-    local = share.join(graph.edges, ["pid", "src"]).groupBy("pid", "tpid", "dst").agg(F.sum("m").alias("m"))
-    mail = local.repartition(graph.partitions, "tpid").groupBy("tpid", "dst").agg(F.sum("m").alias("m"))
-    mail = mail.select(F.col("tpid").alias("pid"), F.col("dst").alias("id"), "m")
-    n = float(graph.num_vertices)
-    rank = (1 - damping) / n + damping * (F.coalesce("m", F.lit(0.0)) + lost / n)
+    told = state.select("pid", F.col("id").alias("src"), F.try_divide("value", "out_degree").alias("share"))
+    mail = graph.mail(told, F.col("share"), F.sum)
+    n = float(max(1, graph.num_vertices))
+    rank = (1 - damping) / n + damping * (F.coalesce("msg", F.lit(0.0)) + lost / n)
     return state.join(mail, ["pid", "id"], "left").select("pid", "id", "out_degree", rank.alias("value"), F.col("value").alias("old"))
 
 
@@ -65,23 +63,27 @@ def _start(graph: Graph) -> DataFrame:
 
 
 def _spread(graph: Graph, iterations: int, damping: float) -> DataFrame:
-    state = _start(graph)
+    state, made = _start(graph), None
     with loop_settings(graph.spark):
         for _ in range(iterations):
             lost = state.where("out_degree = 0").agg(F.coalesce(F.sum("value"), F.lit(0.0))).first()[0]
-            state = cut(_step(graph, state, damping, lost)).drop("old")
+            before, made = made, cut(_step(graph, state, damping, lost))
+            state = made.drop("old")
+            drop(before)
     return state.select("id", F.col("value").alias("rank"))
 
 
 def pagerank_converged(graph: Graph, tolerance: float = 1e-6, max_iterations: int = 300, damping: float = 0.85) -> tuple[DataFrame, int]:
     """(id, rank) once the ranks' total change is below ``tolerance``, and the
     number of updates.  The change is observed in the update's own job."""
-    state, done = _start(graph), 0
+    state, made, done = _start(graph), None, 0
     with loop_settings(graph.spark):
         while done < max_iterations:
             seen = Observation()
             moved = F.sum(F.abs(F.col("value") - F.col("old")))
-            state = cut(_step(graph, state, damping).observe(seen, F.coalesce(moved, F.lit(0.0)).alias("change"))).drop("old")
+            before, made = made, cut(_step(graph, state, damping).observe(seen, F.coalesce(moved, F.lit(0.0)).alias("change")))
+            state = made.drop("old")
+            drop(before)
             done += 1
             if seen.get["change"] < tolerance:
                 break

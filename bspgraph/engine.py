@@ -1,8 +1,12 @@
 """The superstep loop.
 
 A superstep is one Spark job: mailboxes of the last payloads, selection, the
-program's expressions, and the new state written to the shared folder.  What
+program's expressions, and the rows that ran written to the shared folder.  What
 ends the loop, and the ledger, are counters observed in that same job.
+
+With bypass only receivers are joined to the state and only their rows are
+written, as a delta; when nearly all vertices have mail the state is rewritten in
+one go, and when a few have, their edges and states are looked up by key.
 """
 
 from __future__ import annotations
@@ -16,15 +20,26 @@ from pyspark.sql import functions as F
 from .graph import Graph
 from .options import Options, PullNotApplicable, SystematicHaltError
 from .plans import exchange, select
-from .plans.checkpoints import cut, loop_settings
-from .program import StepView, Turn, VertexProgram, VertexView, broadcasts_only, halts_every_step
+from .plans.checkpoints import cut, drop, loop_settings
+from .plans.frontier import Frontier
+from .plans.lookup import rows_scanned
+from .plans.store import Store
+from .program import ATTRIBUTE, StepView, Turn, VertexProgram, VertexView, broadcasts_only, halts_every_step
 
-LEDGER = "superstep int, ran long, checked long, wasted_checks long, senders long, messages long, probes long, wasted_probes long, lost long, awake long, form string, seconds double"
+LEDGER = (
+    "superstep int, ran long, checked long, wasted_checks long, state_read long, state_written long, senders long, messages long, probes long, "
+    "wasted_probes long, edges_read long, lost long, awake long, form string, partitions long, largest long, seconds double"
+)
 
 
 @dataclass
 class Run:
-    """The end of a run: ``state`` and what each superstep did."""
+    """The end of a run: ``state`` and what each superstep did.
+
+    Of a superstep the ledger holds vertices that ran and that were tested, rows
+    of state read and written, messages, outboxes probed, edges looked up, and,
+    if asked for, partitions that had vertices to run and the most in one.
+    """
 
     state: DataFrame
     rows: list[dict] = field(default_factory=list)
@@ -62,29 +77,32 @@ def check(graph: Graph, program: VertexProgram, options: Options) -> None:
         raise PullNotApplicable("only one payload for all neighbours can be pulled")
 
 
-def superstep(state: DataFrame, inbox: DataFrame | None, graph: Graph, program: VertexProgram, options: Options, number: int) -> DataFrame:
-    """The plan of one superstep: the next state with its payloads."""
-    queued = not options.combine
-    kind = f"array<struct<src:long,msg:{program.message_type}>>" if queued else program.message_type
+SELECTION = {"scan": select.scan, "bypass": select.bypass, "none": select.everyone, "receivers": select.receivers}
+
+
+def choose_vertices(state: DataFrame, inbox: DataFrame | None, program: VertexProgram, options: Options, selection: str | None = None) -> DataFrame:
+    """The plan of the vertices that may run, with their mail."""
     if inbox is None:
-        chosen = select.first(state, kind)
+        chosen = select.first(state, program.message_type if options.combine else f"array<struct<src:long,msg:{program.message_type}>>")
     else:
-        chosen = {"scan": select.scan, "bypass": select.bypass, "none": select.everyone}[options.selection](state, inbox)
-    if "lost" not in chosen.columns:
-        chosen = chosen.withColumn("lost", F.lit(0))
-    turn: Turn = program.compute(VertexView(queued, program.combiner), StepView(number, graph.num_vertices))
+        chosen = SELECTION[selection or options.selection](state, inbox)
+    return chosen if "lost" in chosen.columns else chosen.withColumn("lost", F.lit(0))
+
+
+def take_turns(chosen: DataFrame, graph: Graph, program: VertexProgram, options: Options, number: int) -> DataFrame:
+    """The plan of their new values, status and payloads."""
+    turn: Turn = program.compute(VertexView(not options.combine, program.combiner), StepView(number, graph.num_vertices))
     run = F.col("run")
     payload = F.lit(None).cast(program.message_type)
     if turn.broadcast is not None:
         sends = run if turn.when is None else run & F.coalesce(turn.when, F.lit(False))
         payload = F.when(sends, turn.broadcast.cast(program.message_type))
     halted = F.lit(turn.halt) if isinstance(turn.halt, bool) else turn.halt
-    kept = [c for c in graph.vertices.columns if c not in ("pid", "id", "out_degree")]
     columns = [
         "pid",
         "id",
         "out_degree",
-        *kept,
+        *[c for c in chosen.columns if c.startswith(ATTRIBUTE)],
         F.when(run, turn.value.cast(program.value_type)).otherwise(F.col("value")).alias("value"),
         F.when(run, halted).otherwise(F.col("halted")).alias("halted"),
         payload.alias("payload"),
@@ -96,53 +114,150 @@ def superstep(state: DataFrame, inbox: DataFrame | None, graph: Graph, program:
     return chosen.select(*columns)
 
 
-def run(graph: Graph, program: VertexProgram, options: Options | None = None) -> Run:
-    """Run a program until every vertex halts and nothing is in flight."""
-    options = options or Options()
-    check(graph, program, options)
-    state = graph.vertices.withColumn("value", F.lit(None).cast(program.value_type)).withColumn("halted", F.lit(False))
-    out, inbox, form = Run(state), None, "none"
-    with loop_settings(graph.spark):
-        for number in range(options.max_supersteps):
-            began = time.perf_counter()
-            planned = superstep(state, inbox, graph, program, options, number)
-            single = "sends" in planned.columns
-            sent = F.col("payload").isNotNull() if not single else F.size(F.coalesce("sends", F.array())) > 0
-            mails = F.when(sent, F.col("out_degree") if not single else F.size("sends"))
-            seen = Observation()
-            planned = planned.observe(
+def superstep(state: DataFrame, inbox: DataFrame | None, graph: Graph, program: VertexProgram, options: Options, number: int) -> DataFrame:
+    """The plan of one superstep: the next state with its payloads."""
+    return take_turns(choose_vertices(state, inbox, program, options), graph, program, options, number)
+
+
+def initial(graph: Graph, program: VertexProgram) -> DataFrame:
+    """The state before the first superstep; attributes are set apart by name."""
+    extra = [F.col(c).alias(ATTRIBUTE + c) for c in graph.vertices.columns if c not in ("pid", "id", "out_degree")]
+    return graph.vertices.select("pid", "id", "out_degree", *extra, F.lit(None).cast(program.value_type).alias("value"), F.lit(False).alias("halted"))
+
+
+class _Loop:
+    """One run: the state, the mail in flight and the ledger."""
+
+    def __init__(self, graph: Graph, program: VertexProgram, options: Options):
+        self.graph, self.program, self.options = graph, program, options
+        self.store = Store(initial(graph, program), graph.num_vertices, owned=False)
+        self.rows: list[dict] = []
+        self.made: DataFrame | None = None  # the last rows that were cut
+        self.few: list[dict] | None = None  # the last senders, if they are few
+        self.frontier: Frontier | None = None
+
+    def sent(self, frame: DataFrame):
+        single = "sends" in frame.columns
+        sent = F.col("payload").isNotNull() if not single else F.size(F.coalesce("sends", F.array())) > 0
+        return single, sent, F.when(sent, F.col("out_degree") if not single else F.size("sends"))
+
+    def wide(self, number: int) -> dict:
+        """A superstep over tables."""
+        graph, program, options = self.graph, self.program, self.options
+        inbox, form, probe, reading = None, "none", None, None
+        if number:
+            single, sent, _ = self.sent(self.made)
+            form = exchange.choose(options, self.rows[-1]["messages"], graph.num_edges)
+            probe = Observation() if form.startswith("pull") else None
+            move = exchange.push_single if single else exchange.FORMS[form]
+            inbox = move(self.made.where(sent), graph, program, options, probe)
+        narrow = options.selection == "bypass" and number > 0 and (options.rebalance_active or 2 * self.rows[-1]["messages"] <= graph.num_vertices)
+        if narrow:
+            reading = Observation()
+            base = self.store.base.observe(reading, F.count(F.lit(1)).alias("state_read"))
+            chosen = self.store.over(choose_vertices(base, inbox, program, options))
+            if options.rebalance_active:
+                chosen = select.rebalanced(chosen, graph.partitions)
+        else:
+            chosen = choose_vertices(self.store.current, inbox, program, options, "receivers" if options.selection == "bypass" else None)
+        seen = Observation()
+        planned = take_turns(chosen, graph, program, options, number)
+        _, sent, mails = self.sent(planned)
+        planned = cut(
+            planned.observe(
                 seen,
+                F.count(F.lit(1)).alias("checked"),
                 F.count_if("ran").alias("ran"),
                 F.count_if(sent).alias("senders"),
                 F.coalesce(F.sum(mails), F.lit(0)).alias("messages"),
                 F.count_if(~F.col("halted")).alias("awake"),
                 F.coalesce(F.sum("lost"), F.lit(0)).alias("lost"),
             )
-            planned = cut(planned)
-            row = {k: int(v) for k, v in seen.get.items()}
-            tested = graph.num_vertices if options.selection == "scan" or number == 0 else row["ran"]
-            reads = graph.num_edges if form.startswith("pull") else 0
-            row |= {
-                "superstep": number,
-                "checked": tested,
-                "wasted_checks": tested - row["ran"],
-                "probes": reads,
-                "wasted_probes": reads - out.rows[-1]["messages"] if reads else 0,
-                "form": form,
-                "seconds": time.perf_counter() - began,
-            }
-            out.rows.append(row)
-            state = planned.drop("payload", "ran", "lost", "sends")
-            out.state = state
-            if is_finished(row, options.selection):
+        )
+        row = {k: int(v) for k, v in seen.get.items()}
+        if options.selection == "none":
+            row["checked"] = row["ran"]
+        row |= {"probes": 0, "wasted_probes": 0, "edges_read": 0, "partitions": 0, "largest": 0, "state_read": row["checked"], "form": form}
+        row["state_written"] = row["ran"] if narrow else row["checked"]
+        row |= {k: int(v) for o in (probe, reading) if o is not None for k, v in o.get.items()}
+        if options.measure_balance:
+            sizes = planned.where("ran").groupBy(F.spark_partition_id()).agg(F.count(F.lit(1)).alias("n"))
+            found = sizes.agg(F.count(F.lit(1)), F.coalesce(F.max("n"), F.lit(0))).first()
+            row |= {"partitions": found[0], "largest": found[1]}
+        if narrow:
+            if options.rebalance_active:  # back to the layout, the rows that ran alone
+                even, planned = planned, cut(planned.repartition(graph.partitions, "pid").sortWithinPartitions("pid", "id"))
+                drop(even)
+            self.store.add(planned, row["ran"])
+        else:
+            self.store.replace(planned.drop("payload", "ran", "lost", "sends"), planned)
+        self.made = planned
+        return row
+
+    def lookup(self, number: int) -> dict:
+        """A superstep of a few vertices."""
+        inbox, edges_read = self.frontier.mail(self.few)
+        row = {"probes": 0, "wasted_probes": 0, "lost": 0, "form": "lookup", "partitions": 1, "edges_read": edges_read, "state_read": 0}
+        rows: list[dict] = []
+        if inbox:
+            chosen, looked = self.frontier.chosen(inbox)
+            planned = take_turns(chosen.withColumn("lost", F.lit(0)), self.graph, self.program, self.options, number)
+            rows = [r.asDict() for r in planned.collect()]
+            row["state_read"] = rows_scanned(planned) if looked is not None else 0
+        self.frontier.keep(rows)
+        self.few = [r for r in rows if r["payload"] is not None]
+        return row | {
+            "ran": len(rows), "checked": len(rows), "largest": len(rows), "state_written": len(rows), "senders": len(self.few),
+            "messages": sum(r["out_degree"] for r in self.few), "awake": sum(not r["halted"] for r in rows),
+        }
+
+    def turn_narrow(self) -> None:
+        """Go over to lookups, with the senders that wait."""
+        self.few = [r.asDict() for r in self.made.where("payload is not null").select("pid", "id", "payload").collect()]
+        self.store.fold()
+        self.frontier = Frontier(self.graph, self.program, self.store.base)
+
+    def turn_wide(self) -> None:
+        """Go back to tables."""
+        delta, count = self.frontier.close()
+        if delta is not None:
+            self.store.add(delta, count)
+            kind = self.program.message_type
+            told = self.graph.spark.createDataFrame([(r["id"], r["payload"]) for r in self.few], f"id long, payload {kind}")
+            self.made = delta.join(F.broadcast(told), "id", "left").select("pid", "id", "out_degree", "payload")
+        self.frontier = self.few = None
+
+    def step(self, number: int) -> dict:
+        began = time.perf_counter()
+        options = self.options
+        fits = number > 0 and options.selection == "bypass" and options.combine and options.exchange in ("push", "auto") and not options.rebalance_active
+        fits = fits and self.rows[-1]["messages"] <= options.lookup_most and not (self.made is not None and "sends" in self.made.columns)
+        if self.frontier is not None and (not fits or self.frontier.full):
+            self.turn_wide()
+        # a second narrow step in a row: the state is written for lookups once, not at each passing dip
+        if self.frontier is None and fits and (number == 1 or self.rows[-2]["messages"] <= options.lookup_most):
+            self.turn_narrow()
+        row = self.wide(number) if self.frontier is None else self.lookup(number)
+        row |= {"superstep": number, "wasted_checks": row["checked"] - row["ran"], "seconds": time.perf_counter() - began}
+        self.rows.append(row)
+        return row
+
+    def end(self) -> DataFrame:
+        if self.frontier is not None:
+            self.turn_wide()
+        return self.store.current
+
+
+def run(graph: Graph, program: VertexProgram, options: Options | None = None) -> Run:
+    """Run a program until every vertex halts and nothing is in flight."""
+    options = options or Options()
+    check(graph, program, options)
+    with loop_settings(graph.spark):
+        loop = _Loop(graph, program, options)
+        for number in range(options.max_supersteps):
+            if is_finished(loop.step(number), options.selection):
                 break
-            form = exchange.choose(options, row["messages"], graph.num_edges)
-            senders = planned.where(sent)
-            move = exchange.push_single if single else exchange.FORMS[form]
-            inbox = move(senders, graph, program, options)
-            if options.rebalance_active:
-                inbox = select.rebalanced(inbox, graph.partitions)
-    return out
+        return Run(loop.end(), loop.rows)
 
 
 def is_finished(counters: dict, selection: str = "scan") -> bool:

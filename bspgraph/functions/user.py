@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from abc import ABC, abstractmethod
 from collections.abc import Callable
 
 import pandas as pd
@@ -12,8 +13,9 @@ from pyspark.sql.functions import udtf
 from ..engine import run
 from ..graph import Graph
 from ..options import Options
-from ..plans.checkpoints import cut, loop_settings
+from ..program import StepView, Turn, VertexProgram, VertexView
 from ..shipping import ship
+from .combiners import Combiner
 
 
 @udtf(returnType="src: bigint, dst: bigint")
@@ -25,7 +27,7 @@ class AdjacencyEdges:
             yield id, other
 
 
-class ArrowVertexProgram:
+class ArrowVertexProgram(ABC):
     """A program in Python over batches of vertices.
 
     ``compute(batch, step)`` gets a pandas frame with ``id, out_degree, value,
@@ -36,37 +38,41 @@ class ArrowVertexProgram:
 
     combine = "min"
 
+    @abstractmethod
     def compute(self, batch: pd.DataFrame, step: int) -> pd.DataFrame:
-        raise NotImplementedError
+        """New values and payloads of a batch, in its order."""
 
 
-def run_arrow(graph: Graph, program: ArrowVertexProgram, max_supersteps: int = 10_000) -> DataFrame:
-    """(id, value) at the end of a Python program."""
+class _Batched(VertexProgram):
+    """Such a program for the engine: one Arrow function per superstep, inside
+    the plan, so the layout and all options stay as they are."""
+
+    def __init__(self, program: ArrowVertexProgram):
+        self._program, self.combiner = program, getattr(Combiner, program.combine)()
+
+    def compute(self, me: VertexView, step: StepView) -> Turn:
+        program, number = self._program, step.number
+
+        def turn(runs: pd.Series, id: pd.Series, out_degree: pd.Series, value: pd.Series, message: pd.Series) -> pd.DataFrame:
+            rows = runs.to_numpy(dtype=bool)
+            batch = pd.DataFrame({"id": id, "out_degree": out_degree, "value": value.astype(float), "message": message.astype(float)})
+            out = pd.DataFrame({"value": batch["value"], "payload": float("nan")})
+            if rows.any():
+                found = program.compute(batch.loc[rows], number)
+                out.loc[rows, ["value", "payload"]] = found[["value", "payload"]].to_numpy(dtype=float)
+            return out
+
+        # annotated afterwards, as names in annotations are not resolved in workers
+        turn.__annotations__ = {}
+        found = F.pandas_udf(turn, "value double, payload double")(F.col("run"), me.id, me.out_degree, me.value, me.message)
+        payload = found["payload"]
+        return Turn(value=found["value"], broadcast=payload, when=payload.isNotNull() & ~F.isnan(payload))
+
+
+def run_arrow(graph: Graph, program: ArrowVertexProgram, options: Options | None = None) -> DataFrame:
+    """(id, value) at the end of a Python program, under any options."""
     ship(graph.spark)
-    schema = "pid int, id long, out_degree long, value double, payload double"
-    state = graph.vertices.select("pid", "id", "out_degree", F.lit(None).cast("double").alias("value"), F.lit(None).cast("double").alias("message"), F.lit(True).alias("runs"))
-    combined = getattr(F, program.combine)
-    with loop_settings(graph.spark):
-        for step in range(max_supersteps):
-
-            def turn(batches, step=step):
-                for batch in batches:
-                    batch = batch.copy()
-                    batch["payload"] = float("nan")
-                    rows = batch["runs"].to_numpy(dtype=bool)
-                    if rows.any():
-                        out = program.compute(batch.loc[rows], step)
-                        batch.loc[rows, ["value", "payload"]] = out[["value", "payload"]].to_numpy()
-                    yield batch[["pid", "id", "out_degree", "value", "payload"]]
-
-            state = cut(state.mapInPandas(turn, schema))
-            told = state.where(~F.isnan("payload") & F.col("payload").isNotNull())
-            if told.isEmpty():
-                break
-            sent = told.select("pid", F.col("id").alias("src"), "payload").join(graph.edges, ["pid", "src"])
-            mail = sent.groupBy(F.col("dst").alias("id")).agg(combined("payload").alias("message"))
-            state = state.drop("payload").join(mail, "id", "left").select("pid", "id", "out_degree", "value", "message", F.col("message").isNotNull().alias("runs"))
-    return state.select("id", "value")
+    return run(graph, _Batched(program), options).values
 
 
 def register(spark: SparkSession) -> dict[str, Callable[..., str]]:

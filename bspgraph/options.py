@@ -27,7 +27,11 @@ class NotSupported(EngineError):
 @dataclass(frozen=True)
 class Options:
     """``selection`` finds the vertices to run: ``scan`` tests all of them,
-    ``bypass`` takes the receivers of the last step, ``none`` runs all.
+    ``bypass`` takes the receivers of the last step, ``none`` runs all.  With
+    bypass and combined, pushed mail, a step of at most ``lookup_most`` messages
+    looks its rows up by key (0: never).  ``rebalance_active`` deals the vertices
+    that run evenly over the workers, whatever their partitions, for two shuffles
+    of their rows; ``measure_balance`` has the ledger say how evenly they lie.
     ``exchange`` moves messages; ``auto`` pulls when the senders' out-edges are
     above ``switch_threshold`` of all edges.  Without ``combine`` mailboxes are
     queues, cut at ``mailbox_limit`` messages by sender id if it is set."""
@@ -38,6 +42,8 @@ class Options:
     mailbox_limit: int | None = None
     switch_threshold: float = 0.05
     rebalance_active: bool = False
+    measure_balance: bool = False
+    lookup_most: int = 256
     max_supersteps: int = 100_000
     force_bypass: bool = False
 

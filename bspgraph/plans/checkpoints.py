@@ -3,17 +3,22 @@
 from __future__ import annotations
 
 import contextlib
+import re
 import tempfile
 
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 
 #: Settings of the superstep loop.  Adaptive execution would forget the layout
 #: of a checkpointed table; joins on (pid, id) may rely on pid alone; broadcasts
-#: are decided by the engine from counted sizes.
+#: are decided by the engine from counted sizes; lists of identifiers, which the
+#: engine bounds, are pushed into scans whole; buckets are read as buckets.
 LOOP = {
     "spark.sql.adaptive.enabled": "false",
     "spark.sql.requireAllClusterKeysForCoPartition": "false",
     "spark.sql.autoBroadcastJoinThreshold": "-1",
+    "spark.sql.parquet.pushdown.inFilterThreshold": "1024",
+    "spark.sql.sources.bucketing.autoBucketedScan.enabled": "false",
 }
 
 
@@ -31,10 +36,14 @@ def loop_settings(spark: SparkSession):
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The session's checkpoint folder; one is made only where none is named."""
+    """The session's checkpoint folder.  One is made only where none is named and
+    the session runs in one process; on a cluster a local folder would be lost."""
     context = spark.sparkContext
     if context.getCheckpointDir() is None:
-        context.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="checkpoints-"))
+        named = spark.conf.get("spark.checkpoint.dir", None)
+        if named is None and not re.fullmatch(r"local(\[[^\]]*\])?", context.master):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
+        context.setCheckpointDir(named or tempfile.mkdtemp(prefix="checkpoints-"))
     return context.getCheckpointDir()
 
 
@@ -42,3 +51,39 @@ def cut(df: DataFrame) -> DataFrame:
     """Write ``df`` to the shared folder; partitioning and order are kept."""
     shared_folder(df.sparkSession)
     return df.checkpoint(eager=True)
+
+
+def drop(*frames: DataFrame | None) -> None:
+    """Delete the files of frames that ``cut`` returned and nobody reads again."""
+    for df in frames:
+        if df is None:
+            continue
+        leaves = df._jdf.queryExecution().analyzed().collectLeaves()
+        for i in range(leaves.size()):
+            leaf = leaves.apply(i)
+            if leaf.getClass().getSimpleName() == "LogicalRDD":
+                remove(df.sparkSession, leaf.rdd().getCheckpointFile())
+
+
+def remove(spark: SparkSession, path) -> None:
+    """Delete a folder (a string or a JVM option of one) of any file system."""
+    if not isinstance(path, str):
+        if not path.isDefined():
+            return
+        path = path.get()
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+
+
+@contextlib.contextmanager
+def held(df: DataFrame, level: StorageLevel):
+    """``df`` in the storage that was chosen, for the time of a run: in memory
+    it is cached, out of core it is read from the shared folder each time."""
+    if level == StorageLevel.DISK_ONLY:
+        yield df
+        return
+    kept = df.persist(level)
+    try:
+        yield kept
+    finally:
+        kept.unpersist()

@@ -1,90 +1,94 @@
 """How payloads become mailboxes: one shuffle in every form.
 
 A mailbox table is ``(pid, id, msg)``, clustered by ``pid`` like the state.
-``senders`` is the last state where a payload is set.
+``senders`` is the last state where a payload is set.  Pulling forms observe the
+outboxes that their join reads, and those found empty, in ``probe``.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
 from ..graph import Graph
 from ..options import Options
 from ..program import VertexProgram
+from .layout import place
 
 
-def _weight(graph: Graph) -> Column | None:
-    return F.col("weight") if graph.weighted else None
+def _message(graph: Graph, program: VertexProgram) -> Column:
+    return program.on_edge(F.col("payload"), F.col("weight") if graph.weighted else None)
 
 
-def _boxes(mail: DataFrame, graph: Graph, program: VertexProgram, options: Options) -> DataFrame:
-    """Mail ``(pid, tpid, src, dst, m)`` at the senders to mailboxes at the
-    receivers; combined mail is reduced before and after the shuffle."""
-    if options.combine:
-        local = mail.groupBy("pid", "tpid", "dst").agg(program.combiner.partial(F.col("m")).alias("m"))
-        moved = local.repartition(graph.partitions, "tpid")
-        boxes = moved.groupBy("tpid", "dst").agg(program.combiner.final(F.col("m")).alias("msg"))
-    else:
-        moved = mail.select("tpid", "dst", "src", "m").repartition(graph.partitions, "tpid")
-        boxes = _queues(moved)
-    return _named(boxes, options)
-
-
-def _queues(mail: DataFrame) -> DataFrame:
-    return mail.groupBy("tpid", "dst").agg(F.array_sort(F.collect_list(F.struct("src", F.col("m").alias("msg")))).alias("msg"))
-
-
-def _named(boxes: DataFrame, options: Options) -> DataFrame:
-    msg = F.col("msg")
-    columns = [F.col("tpid").alias("pid"), F.col("dst").alias("id")]
-    if options.mailbox_limit is not None:
-        lost = F.greatest(F.size(msg) - options.mailbox_limit, F.lit(0))
-        return boxes.select(*columns, F.slice(msg, F.lit(1), F.lit(options.mailbox_limit)).alias("msg"), lost.alias("lost"))
-    return boxes.select(*columns, msg.alias("msg"))
-
-
-def push(senders: DataFrame, graph: Graph, program: VertexProgram, options: Options) -> DataFrame:
+def push(senders: DataFrame, graph: Graph, program: VertexProgram, options: Options, probe: Observation | None = None) -> DataFrame:
     """Senders write to their out-neighbours' mailboxes."""
-    edges = graph.edges.withColumnRenamed("src", "id")
-    out = senders.select("pid", "id", "payload").join(edges, ["pid", "id"])
-    mail = out.select("pid", "tpid", F.col("id").alias("src"), "dst", program.on_edge(F.col("payload"), _weight(graph)).alias("m"))
-    return _boxes(mail, graph, program, options)
+    told = senders.select("pid", F.col("id").alias("src"), "payload")
+    if options.combine:
+        return graph.mail(told, _message(graph, program), program.combiner.partial, program.combiner.final)
+    near, far = graph.sent(told)
+    mail = [x.select("tpid", "dst", "src", _message(graph, program).alias("m")) for x in (near, far) if x is not None]
+    return _boxed(mail[0] if len(mail) == 1 else mail[0].unionByName(mail[1]), graph, program, options)
 
 
-def push_single(senders: DataFrame, graph: Graph, program: VertexProgram, options: Options) -> DataFrame:
+def push_single(senders: DataFrame, graph: Graph, program: VertexProgram, options: Options, probe: Observation | None = None) -> DataFrame:
     """Payloads for single neighbours; those to unknown ids are dropped by the
     join with the state."""
     one = senders.select("pid", F.col("id").alias("src"), F.explode("sends").alias("s"))
-    tpid = F.pmod(F.hash(F.col("s.to").cast("long")), F.lit(graph.partitions))
-    mail = one.select("pid", tpid.alias("tpid"), "src", F.col("s.to").cast("long").alias("dst"), F.col("s.msg").alias("m"))
-    return _boxes(mail, graph, program, options)
+    to = F.col("s.to").cast("long")
+    mail = one.select("pid", place(to, graph.partitions).alias("tpid"), "src", to.alias("dst"), F.col("s.msg").alias("m"))
+    return _boxed(mail, graph, program, options)
 
 
-def pull(senders: DataFrame, graph: Graph, program: VertexProgram, options: Options) -> DataFrame:
+def _boxed(mail: DataFrame, graph: Graph, program: VertexProgram, options: Options) -> DataFrame:
+    """Mail (tpid, src, dst, m) where it is made, to mailboxes at the receivers."""
+    if options.combine:
+        local = mail.groupBy("pid", "tpid", "dst").agg(program.combiner.partial(F.col("m")).alias("m"))
+        boxes = local.repartition(graph.partitions, "tpid").groupBy("tpid", "dst").agg(program.combiner.final(F.col("m")).alias("msg"))
+        return boxes.select(F.col("tpid").alias("pid"), F.col("dst").alias("id"), "msg")
+    return _queued(mail.select("tpid", "dst", "src", "m").repartition(graph.partitions, "tpid"), options)
+
+
+def _queued(mail: DataFrame, options: Options) -> DataFrame:
+    """Queues in the order of senders.  A bounded mailbox numbers its mail as it
+    comes by sender and keeps the first; the rest is only counted, so a receiver
+    of very much mail is never one long array."""
+    one = F.struct("src", F.col("m").alias("msg"))
+    names = (F.col("tpid").alias("pid"), F.col("dst").alias("id"))
+    if options.mailbox_limit is None:
+        boxes = mail.groupBy("tpid", "dst").agg(F.array_sort(F.collect_list(one)).alias("msg"))
+        return boxes.select(*names, "msg")
+    place_in_box = F.row_number().over(Window.partitionBy("tpid", "dst").orderBy("src"))
+    kept = F.when(F.col("place_in_box") <= options.mailbox_limit, one)
+    boxes = mail.withColumn("place_in_box", place_in_box).groupBy("tpid", "dst").agg(F.array_sort(F.collect_list(kept)).alias("msg"), F.count(F.lit(1)).alias("n"))
+    return boxes.select(*names, "msg", F.greatest(F.col("n") - options.mailbox_limit, F.lit(0)).alias("lost"))
+
+
+def pull(senders: DataFrame, graph: Graph, program: VertexProgram, options: Options, probe: Observation | None = None) -> DataFrame:
     """Receivers read the one stored payload of each in-neighbour: a payload
     goes once to every partition that holds a neighbour, and is read there."""
     routed = senders.select("pid", F.col("id").alias("src"), "payload").join(graph.routes, ["pid", "src"])
-    there = routed.select("tpid", "src", "payload").repartition(graph.partitions, "tpid")
-    read = there.join(graph.edges_in, ["tpid", "src"])
-    return _read(read, graph, program, options)
+    outboxes = routed.select("tpid", "src", "payload").repartition(graph.partitions, "tpid")
+    return _read(graph.edges_in.join(outboxes, ["tpid", "src"], "left"), graph, program, options, probe)
 
 
-def pull_addressed(senders: DataFrame, graph: Graph, program: VertexProgram, options: Options) -> DataFrame:
+def pull_addressed(senders: DataFrame, graph: Graph, program: VertexProgram, options: Options, probe: Observation | None = None) -> DataFrame:
     """Outboxes with one entry per receiver: general, and as large as the mail."""
-    edges = graph.edges.select("pid", F.col("src").alias("id"), "tpid", "dst")
-    outbox = senders.select("pid", "id", "payload").join(edges, ["pid", "id"])
-    there = outbox.select("tpid", F.col("id").alias("src"), "dst", "payload").repartition(graph.partitions, "tpid")
-    read = there.join(graph.edges_in, ["tpid", "src", "dst"])
-    return _read(read, graph, program, options)
+    near, far = graph.sent(senders.select("pid", F.col("id").alias("src"), "payload"))
+    parts = [x.select("tpid", "src", "dst", "payload") for x in (near, far) if x is not None]
+    outbox = (parts[0] if len(parts) == 1 else parts[0].unionByName(parts[1])).repartition(graph.partitions, "tpid")
+    return _read(graph.edges_in.join(outbox, ["tpid", "src", "dst"], "left"), graph, program, options, probe)
 
 
-def _read(read: DataFrame, graph: Graph, program: VertexProgram, options: Options) -> DataFrame:
-    mail = read.select("tpid", "src", "dst", program.on_edge(F.col("payload"), _weight(graph)).alias("m"))
+def _read(read: DataFrame, graph: Graph, program: VertexProgram, options: Options, probe: Observation | None) -> DataFrame:
+    """Mailboxes from every in-edge and the payload found for it, or none."""
+    if probe is not None:
+        read = read.observe(probe, F.count(F.lit(1)).alias("probes"), F.count_if(F.col("payload").isNull()).alias("wasted_probes"))
+    mail = read.where("payload is not null").select("tpid", "src", "dst", _message(graph, program).alias("m"))
     if not options.combine:
-        return _named(_queues(mail), options)
+        return _queued(mail, options)
     partial = mail.groupBy("tpid", "dst").agg(program.combiner.partial(F.col("m")).alias("m"))
-    return _named(partial.groupBy("tpid", "dst").agg(program.combiner.final(F.col("m")).alias("msg")), options)
+    boxes = partial.groupBy("tpid", "dst").agg(program.combiner.final(F.col("m")).alias("msg"))
+    return boxes.select(F.col("tpid").alias("pid"), F.col("dst").alias("id"), "msg")
 
 
 FORMS = {"push": push, "pull": pull, "pull_addressed": pull_addressed}

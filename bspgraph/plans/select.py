@@ -21,9 +21,15 @@ def scan(state: DataFrame, inbox: DataFrame) -> DataFrame:
 
 
 def bypass(state: DataFrame, inbox: DataFrame) -> DataFrame:
-    """Exactly the receivers run; no test of status.  Mail is keyed by receiver,
-    so the list has no duplicates."""
-    return state.join(inbox.withColumn("run", F.lit(True)), ["pid", "id"], "left").withColumn("run", F.col("run").isNotNull())
+    """Exactly the receivers run, without a test of their status, and only they
+    are rows of the result: the inbox is the list.  Mail is keyed by receiver, so
+    it has no duplicates."""
+    return inbox.join(state, ["pid", "id"]).withColumn("run", F.lit(True))
+
+
+def receivers(state: DataFrame, inbox: DataFrame) -> DataFrame:
+    """The same among all rows, for when most vertices have mail."""
+    return state.join(inbox, ["pid", "id"], "left").withColumn("run", F.col("msg").isNotNull())
 
 
 def everyone(state: DataFrame, inbox: DataFrame) -> DataFrame:
@@ -31,6 +37,6 @@ def everyone(state: DataFrame, inbox: DataFrame) -> DataFrame:
     return state.join(inbox, ["pid", "id"], "left").withColumn("run", F.lit(True))
 
 
-def rebalanced(inbox: DataFrame, partitions: int) -> DataFrame:
-    """Receivers dealt evenly over the workers, at the price of a shuffle."""
-    return inbox.repartition(partitions)
+def rebalanced(chosen: DataFrame, partitions: int) -> DataFrame:
+    """The vertices that run, with all they need, dealt evenly over the workers."""
+    return chosen.repartition(partitions)

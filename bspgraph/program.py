@@ -4,13 +4,22 @@ from __future__ import annotations
 
 import inspect
 from abc import ABC, abstractmethod
+from collections.abc import Callable
 from dataclasses import dataclass
+from typing import TYPE_CHECKING
 
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
 from .functions.combiners import Combiner
 
+if TYPE_CHECKING:
+    import pandas as pd
+
+
+#: What the engine puts before the names of attributes, so they cannot clash.
+ATTRIBUTE = "attribute_"
+
 
 @dataclass(frozen=True)
 class StepView:
@@ -48,7 +57,12 @@ class VertexView:
         return self._combiner.fold(F.transform("msg", lambda m: m["msg"]))
 
     def attr(self, name: str) -> Column:
-        return F.col(name)
+        return F.col(ATTRIBUTE + name)
+
+    def apply(self, fn: Callable[..., pd.Series], returns: str, *columns: Column) -> Column:
+        """A Python function on whole batches (Arrow) of this vertex's columns,
+        for what expressions cannot say."""
+        return F.pandas_udf(fn, returns)(*columns)
 
 
 @dataclass(frozen=True)

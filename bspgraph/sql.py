@@ -8,7 +8,7 @@ from __future__ import annotations
 
 EDGES = {
     "links": """
-        SELECT page_id * 8 + 6 AS src, (dense_rank() OVER (ORDER BY href) - 1) * 8 + 7 AS dst
+        SELECT page_id * 8 + 6 AS src, CAST('0x' || substr(md5(href), 1, 14) AS BIGINT) * 8 + 7 AS dst
         FROM (SELECT DISTINCT page_id, unnest(regexp_extract_all(html, 'href="([^"]*)"', 1)) AS href FROM pages)""",
     "stars": "SELECT o_orderkey * 8 + 3 AS src, o_custkey * 8 + 2 AS dst FROM orders",
     "geo": """
@@ -108,3 +108,49 @@ r(t, id, rank) AS (
   SELECT t + 1, w.dst, any_value(0.15 / n.n) + 0.85 * sum(r.rank * w.share) FROM r JOIN w ON w.src = r.id, n WHERE t < {rounds} GROUP BY t, w.dst
 )
 SELECT id, round(rank, {digits}) AS rank FROM r WHERE t = {rounds}"""
+
+
+def async_pagerank(name: str, passes: int = 10, blocks: int = 2, digits: int = 10) -> str:
+    """Passes over blocks of the identifiers' range, one after another, as one
+    table of shares for each turn."""
+    tables, last = [], "s0"
+    for turn in range(passes * blocks):
+        tables.append(
+            f"""s{turn + 1} AS MATERIALIZED (
+  SELECT s.id, s.block, s.degree, CASE WHEN s.block = {turn % blocks} THEN 0.15 / n.n + 0.85 * coalesce(m.got, 0) ELSE s.rank END AS rank,
+         CASE WHEN s.block = {turn % blocks} THEN (0.15 / n.n + 0.85 * coalesce(m.got, 0)) / s.degree ELSE s.share END AS share
+  FROM {last} s, n LEFT JOIN (SELECT e.dst, sum(t.share) AS got FROM e JOIN {last} t ON t.id = e.src GROUP BY e.dst) m ON m.dst = s.id)"""
+        )
+        last = f"s{turn + 1}"
+    return f"""
+WITH {base(name)}, n AS (SELECT count(*)::DOUBLE AS n FROM v),
+b AS (SELECT min(id) AS low, CAST(ceil((max(id) - min(id) + 1) / {blocks}.0) AS BIGINT) AS width FROM v),
+d AS (SELECT src AS id, count(*) AS degree FROM e GROUP BY src),
+s0 AS MATERIALIZED (SELECT d.id, (d.id - b.low) // b.width AS block, d.degree, 1 / n.n AS rank, 1 / n.n / d.degree AS share FROM d, b, n),
+{", ".join(tables)}
+SELECT id, round(rank, {digits}) AS rank FROM {last}"""
+
+
+def component_rounds(name: str) -> str:
+    """The work of spreading least labels: vertices that run, their messages, and
+    outboxes probed in vain when all are pulled, superstep by superstep."""
+    return f"""
+WITH RECURSIVE {base(name)},
+d AS (SELECT src AS id, count(*) AS degree FROM e GROUP BY src),
+w AS (SELECT src, dst, 1 AS far FROM e UNION ALL SELECT id, id, 0 FROM v),
+r(t, id, label, fell) AS (
+  SELECT 0, id, id, true FROM v
+  UNION ALL
+  SELECT x.t + 1, x.id, x.label, x.label < x.own FROM (
+    SELECT r.t, w.dst AS id, min(r.label) AS label, min(CASE WHEN w.far = 0 THEN r.label END) AS own, bool_or(r.fell) AS going
+    FROM (SELECT *, bool_or(fell) OVER () AS any_fell FROM r) r JOIN w ON w.src = r.id WHERE r.any_fell GROUP BY r.t, w.dst
+  ) x
+),
+sent AS (SELECT r.t, sum(d.degree) AS messages FROM r JOIN d USING (id) WHERE r.fell GROUP BY r.t),
+woken AS (SELECT r.t + 1 AS t, count(DISTINCT e.dst) AS n FROM r JOIN e ON e.src = r.id WHERE r.fell GROUP BY r.t)
+SELECT CAST(s.t AS INT) AS superstep, CASE WHEN s.t = 0 THEN (SELECT count(*) FROM v) ELSE w.n END AS ran,
+       CAST(coalesce(a.messages, 0) AS BIGINT) AS messages,
+       CASE WHEN s.t = 0 THEN 0::BIGINT ELSE (SELECT count(*) FROM e) END AS probes,
+       CASE WHEN s.t = 0 THEN 0::BIGINT ELSE CAST((SELECT count(*) FROM e) - b.messages AS BIGINT) END AS wasted_probes
+FROM (SELECT DISTINCT t FROM r) s LEFT JOIN sent a ON a.t = s.t LEFT JOIN sent b ON b.t = s.t - 1 LEFT JOIN woken w ON w.t = s.t
+WHERE s.t = 0 OR w.n > 0"""

@@ -5,10 +5,13 @@ Identifiers of different tables are told apart by arithmetic: key * 8 + kind.
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .graph import Graph
+from .shipping import ship
 
 PART, SUPPLIER, CUSTOMER, ORDER, NATION, REGION, PAGE, LINK = range(8)
 
@@ -31,13 +34,23 @@ def page_links(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pages.select("page_id", F.explode(F.array_distinct(found)).alias("href"))
 
 
+def href_number(href: str = "href"):
+    """A link's number: the first 56 bits of its digest, below 2^56 so that it can
+    be tagged.  Two links of 10^8 share one with a chance of about 7 %, of 10^7
+    below 0.1 %; ``number_clashes`` counts them."""
+    return F.conv(F.substring(F.md5(F.col(href).cast("binary")), 1, 14), 16, 10).cast("long")
+
+
+def number_clashes(rows: DataFrame) -> DataFrame:
+    """Numbers of more than one link, in a table with ``href``."""
+    same = rows.groupBy(href_number().alias("place")).agg(F.min("href").alias("a"), F.max("href").alias("b"))
+    return same.where("a <> b")
+
+
 def links(spark, sf_dir):
-    """Pages and the links on them.  Links are numbered by one sort of the
-    distinct links; for very many of them a hash would take its place."""
+    """Pages and the links on them."""
     rows = page_links(spark, sf_dir)
-    place = F.row_number().over(Window.orderBy(F.encode("href", "UTF-8"))) - 1
-    number = rows.select("href").distinct().withColumn("place", place)
-    return rows.join(number, "href").select(tagged("page_id", PAGE).alias("src"), tagged("place", LINK).alias("dst"))
+    return rows.select(tagged("page_id", PAGE).alias("src"), (href_number() * 8 + LINK).alias("dst"))
 
 
 def stars(spark, sf_dir):
@@ -98,13 +111,35 @@ def twins(spark, sf_dir):
     return docs.join(first, "h").where("doc_id <> dst").select(F.col("doc_id").alias("src"), "dst")
 
 
+#: Embeddings that are compared in one task with as many others.
+BLOCK = 2000
+
+
 def similar(spark, sf_dir, least: float = 0.3):
-    """Embeddings with a cosine above ``least``: all pairs, small tables only."""
-    unit = lambda v: F.sqrt(F.aggregate(v, F.lit(0.0), lambda a, x: a + x.cast("double") * x.cast("double")))
-    rows = table(spark, sf_dir, "embeddings").select("vec_id", "embedding", unit("embedding").alias("u"))
-    a, b = rows.toDF("src", "x", "ux"), rows.toDF("dst", "y", "uy")
-    dot = F.aggregate(F.zip_with("x", "y", lambda p, q: p.cast("double") * q.cast("double")), F.lit(0.0), lambda s, x: s + x)
-    return a.crossJoin(b).where("src < dst").where(dot / (F.col("ux") * F.col("uy")) > least).select("src", "dst")
+    """Pairs of embeddings with a cosine above ``least``.
+
+    The exact answer looks at every pair; it does so in blocks: the vectors are
+    dealt to blocks, every two blocks meet in one task and are multiplied as
+    matrices, so only found pairs become rows.  It grows with the square of the
+    table all the same.
+    """
+    rows = table(spark, sf_dir, "embeddings").select("vec_id", "embedding")
+    blocks = max(1, -(-rows.count() // BLOCK))
+    mine = F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).cast("int")
+    rows = rows.withColumn("mine", mine).withColumn("other", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
+    rows = rows.select("vec_id", "embedding", "mine", F.least("mine", "other").alias("low"), F.greatest("mine", "other").alias("high"))
+
+    def meet(frame: pd.DataFrame) -> pd.DataFrame:
+        ids, matrix = frame["vec_id"].to_numpy(), np.stack(frame["embedding"].to_numpy()).astype(float)
+        matrix /= np.maximum(np.sqrt((matrix * matrix).sum(axis=1, keepdims=True)), 1e-300)
+        low, high = (np.flatnonzero(frame["mine"] == frame[side]) for side in ("low", "high"))
+        a, b = np.nonzero(matrix[low] @ matrix[high].T > least)
+        a, b = ids[low[a]], ids[high[b]]
+        apart = a < b if (frame["low"] == frame["high"]).all() else a != b
+        return pd.DataFrame({"src": np.minimum(a, b)[apart], "dst": np.maximum(a, b)[apart]})
+
+    ship(spark)
+    return rows.groupBy("low", "high").applyInPandas(meet, "src long, dst long")
 
 
 BUILDERS = {f.__name__: f for f in (links, stars, geo, chain, supply, trade, basket, talk, twins, similar)}
@@ -112,9 +147,17 @@ BUILDERS = {f.__name__: f for f in (links, stars, geo, chain, supply, trade, bas
 _built: dict[tuple, Graph] = {}
 
 
+def _stamp(spark: SparkSession, sf_dir: str) -> tuple:
+    """Names, sizes and times of the tables, to see whether they changed."""
+    jvm = spark.sparkContext._jvm
+    where = jvm.org.apache.hadoop.fs.Path(sf_dir)
+    found = where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).listStatus(where)
+    return tuple(sorted((f.getPath().getName(), f.getLen(), f.getModificationTime()) for f in found))
+
+
 def graph(spark: SparkSession, sf_dir: str, name: str, directed: bool = False, weighted: bool = False) -> Graph:
-    """A graph by name, pinned once per application."""
-    key = (spark.sparkContext.applicationId, sf_dir, name, directed, weighted)
+    """A graph by name, pinned once per application and state of the tables."""
+    key = (spark.sparkContext.applicationId, sf_dir, _stamp(spark, sf_dir), name, directed, weighted)
     if key not in _built:
         edges = trade_weighted(spark, sf_dir) if weighted else BUILDERS[name](spark, sf_dir)
         _built[key] = Graph.from_edges(edges, directed=directed, weight="weight" if weighted else None)
