@@ -292,7 +292,7 @@ def frequent_pieces(docs: DataFrame, most: int = LEXICON_PIECES) -> DataFrame:
     Only distinct words are shuffled, counted where they are first.
     """
     words = docs.select(F.explode(F.split("text", " ")).alias("word")).where(F.length("word").between(1, LONGEST_WORD))
-    words = words.groupBy("word").agg(F.count(F.lit(1)).alias("c"))
+    words = words.groupBy("word").agg(F.count(F.lit(1)).alias("c")).where("c > 1")  # what is seen once is not frequent
 
     def kernel(batch: pa.RecordBatch) -> dict:
         found: dict[str, int] = {}
@@ -322,6 +322,9 @@ def build_lexicon(docs: DataFrame, source: str, most: int = LEXICON_PIECES) -> b
     return compile_lexicon(entries)
 
 
+_sent: set[tuple[str, str]] = set()
+
+
 def shared_codec(docs: DataFrame, path: str, lexicon: bool = True) -> Shared:
     """The codec of a vocabulary file for all workers, with a lexicon of the
     documents' frequent pieces in a file on every executor."""
@@ -329,10 +332,13 @@ def shared_codec(docs: DataFrame, path: str, lexicon: bool = True) -> Shared:
     if lexicon:
         flat = build_lexicon(docs, source)
         name = f"lexicon-{hashlib.sha256(flat).hexdigest()[:20]}.bin"
-        local = os.path.join(tempfile.mkdtemp(prefix="lexicon-"), name)
-        with open(local, "wb") as file:
-            file.write(flat)
-        spark.sparkContext.addFile(local)  # the driver serves it to every executor, also to later ones
+        sent = (spark.sparkContext.applicationId, name)
+        if sent not in _sent:  # the name says what is in it
+            local = os.path.join(tempfile.mkdtemp(prefix="lexicon-"), name)
+            with open(local, "wb") as file:
+                file.write(flat)
+            spark.sparkContext.addFile(local)  # the driver serves it to every executor, also to later ones
+            _sent.add(sent)
     return Shared(spark, (source, name), _build)
 
 
