@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
+import csv
 import enum
+import inspect
 import os
+import re
 import time
 from collections.abc import Callable
 
@@ -16,7 +19,7 @@ from .baselines import asynchronous, hardcoded, subset
 from .engine import run
 from .graph import Graph
 from .options import NotSupported, Options
-from .program import VertexProgram, user_lines
+from .program import StepView, Turn, VertexProgram, VertexView, user_lines
 
 
 class Outcome(enum.Enum):
@@ -160,12 +163,18 @@ CRITERIA = (
 
 
 def meets_criteria(program: type[VertexProgram]) -> tuple[bool, bool, bool]:
-    """The criteria read off a program's code: one vertex at a time, data only
-    through the vertex, an explicit end of its turn."""
-    import inspect
+    """The criteria checked on what a program does: its turn is made from one
+    vertex alone, it reads no column but the vertex's own data and mail, and it
+    says when the vertex halts."""
+    made = program(0) if "source" in inspect.signature(program).parameters else program()
+    turns = [made.compute(VertexView(False, made.combiner), StepView(t, 10)) for t in (0, 1, 10**6)]
+    columns = [c for t in turns for c in (t.value, t.broadcast, t.when, t.sends) if c is not None]
+    named = {name for c in columns for name in re.findall(r"`?([a-z_]+)`?", str(c)) if name in OTHERS_DATA}
+    return all(isinstance(t, Turn) for t in turns), not named, all(t.halt is not None for t in turns)
 
-    text = inspect.getsource(program.compute)
-    return ("me: VertexView" in text, "me.value" in text or "me.message" in text, "Turn(" in text)
+
+#: Columns that belong to edges or other vertices.
+OTHERS_DATA = ("src", "dst", "tpid", "payload", "weight")
 
 
 # ---- reports --------------------------------------------------------------
@@ -194,20 +203,77 @@ ENGINES: dict[str, dict[str, Callable[[Graph], DataFrame]]] = {
 }
 
 
-def measure(spark: SparkSession, sf_dir: str, graphs: list[str], apps: list[str], engines: list[str]) -> DataFrame:
-    """engine, app, graph, workers, edges, seconds, peak bytes, outcome."""
+def measure(spark: SparkSession, sf_dir: str, graphs: list[str], apps: list[str], engines: list[str]) -> list[tuple]:
+    """Rows of ``RUNS``.  Peaks are of the whole process: one cell a process
+    gives peaks that do not contain one another (see ``experiments.py``)."""
     rows = []
     for name in graphs:
         g = workloads.graph(spark, sf_dir, name)
+        g.edges_in, g.routes  # noqa: B018  loaded before the clock starts
         for app in apps:
             for engine in engines:
-                seconds, end = timed(lambda: ENGINES[engine][app](g))  # noqa: B023
-                rows.append((engine, app, name, spark.sparkContext.defaultParallelism, g.num_edges, float(seconds), peak_rss_bytes(), end.value))
-    return spark.createDataFrame(rows, "engine string, app string, graph string, workers int, edges long, seconds double, peak_bytes long, outcome string")
+                seconds, end = timed(lambda: ENGINES[engine][app](g).count())  # noqa: B023
+                sf = os.path.basename(sf_dir.rstrip("/")).removeprefix("sf")
+                rows.append((engine, app, name, spark.sparkContext.defaultParallelism, float(sf), g.num_edges, round(seconds, 3), peak_rss_bytes(), end.value))
+    return rows
+
+
+RUNS = "engine string, app string, graph string, workers int, sf double, edges long, seconds double, peak_bytes long, outcome string"
+RUNS_FILE = os.path.join(os.path.dirname(os.path.abspath(__file__)), "runs.csv")
+
+
+def stored_runs() -> list[tuple]:
+    """Runs that ``experiments.py`` measured, one row a cell."""
+    kinds = [{"string": str, "int": int, "long": int, "double": float}[x.split()[1]] for x in RUNS.split(", ")]
+    if not os.path.exists(RUNS_FILE):
+        return []
+    with open(RUNS_FILE, newline="") as file:
+        return [tuple(kind(x) for kind, x in zip(kinds, row)) for row in list(csv.reader(file))[1:]]
+
+
+def runs(spark: SparkSession) -> DataFrame:
+    return spark.createDataFrame(stored_runs(), RUNS)
+
+
+def _ended(spark: SparkSession, app: str, sf: float) -> DataFrame:
+    return runs(spark).where((F.col("outcome") == "done") & (F.col("app") == app) & (F.col("sf") == sf))
+
+
+def _means(rows: DataFrame) -> DataFrame:
+    """Cells that were measured more than once count by their mean."""
+    return rows.groupBy("engine", "app", "graph", "workers", "sf", "edges").agg(F.avg("seconds").alias("seconds"))
 
 
-def _report(graphs, apps, engines, shape):
-    return lambda s, d: shape(measure(s, d, graphs, apps, engines))
+def speedup_report(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Components: the studied engine's seconds over the subset engine's, least,
+    mean and greatest over worker counts, for each graph."""
+    shown = speedup_table(_means(_ended(spark, "components", REPORT_SF)), "studied", "subset")
+    return shown.select("graph", *[F.round(c, 6).alias(c) for c in ("least", "mean", "greatest")])
+
+
+def scaling_report(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Gain of more workers over one, for every engine, application and graph."""
+    cells = _means(runs(spark).where((F.col("outcome") == "done") & (F.col("sf") == REPORT_SF)))
+    one = cells.where("workers = 1").select("engine", "app", "graph", F.col("seconds").alias("one"))
+    return cells.join(one, ["engine", "app", "graph"]).select("engine", "app", "graph", "workers", F.round(F.try_divide("one", "seconds"), 6).alias("gain"))
+
+
+def graph_scaling_report(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Microseconds per edge as the graph grows with the scale factor."""
+    cells = _means(runs(spark).where("outcome = 'done' and engine = 'studied'"))
+    most = cells.groupBy("app", "graph", "sf").agg(F.max("workers").alias("workers"))
+    grown = cells.join(most, ["app", "graph", "sf", "workers"])
+    return graph_scaling(grown.withColumn("graph", F.concat_ws("/", "app", "graph"))).select("graph", "edges", F.round(F.col("seconds_per_edge") * 1e6, 4).alias("micros_per_edge"))
+
+
+def memory_report(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Peak resident bytes by application, graph and engine, or why there is none."""
+    cells = runs(spark).where(F.col("sf") == REPORT_SF)
+    return cells.groupBy("engine", "app", "graph", "outcome").agg(F.min(F.when(F.col("outcome") == "done", F.col("peak_bytes"))).alias("peak_bytes"))
+
+
+#: The scale factor of the stored tables by graph, engine and workers.
+REPORT_SF = 0.01
 
 
 def _values(rows: list[tuple], names: str) -> str:
@@ -223,7 +289,7 @@ def graph_sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame(parts, "graph string, v long, e long, directed long")
 
 
-SIZED = ("links", "stars", "geo", "chain", "supply", "trade", "basket", "talk", "twins")
+SIZED = ("links", "stars", "geo", "chain", "supply", "trade", "basket", "talk", "twins", "similar")
 SIZES_SQL = " UNION ALL ".join(
     f"SELECT * FROM (WITH {sql.base(n)} SELECT '{n}' AS graph, (SELECT count(*) FROM v) AS v, (SELECT count(*) FROM e) // 2 AS e, (SELECT count(*) FROM e) AS directed)" for n in SIZED
 )
@@ -232,8 +298,13 @@ MAILBOX_ROWS = [(g, slots, mailbox_bytes(v, slots)) for g, v in zip(GRAPHS, PUBL
 
 
 def active_balance(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Vertices that run in each superstep of paths, and whether an even deal
+    gives no partition more than its share (and one row from each partition)."""
     g = workloads.graph(spark, sf_dir, "supply")
-    return balance(g.vertices)
+    done = run(g, ShortestPaths(workloads.source_of(g)), Options("bypass", rebalance_active=True, measure_balance=True))
+    p = g.partitions
+    rows = [(r["superstep"], r["ran"], r["superstep"] == 0 or r["largest"] <= r["ran"] / p + p) for r in done.rows]
+    return spark.createDataFrame(rows, "superstep int, active long, even boolean")
 
 
 def cc_certificate(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -264,6 +335,15 @@ def rank_mass(spark: SparkSession, sf_dir: str) -> DataFrame:
     return run(g, PageRank()).values.agg(F.round(F.sum("value"), 8).alias("mass"))
 
 
+def rank_agreement(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The asynchronous engine's ranks after ten passes against ten synchronous
+    rounds: share of the twenty best in common, and whether ranks are near."""
+    g = workloads.graph(spark, sf_dir, "geo")
+    a, b = run(g, PageRank()).values.withColumnRenamed("value", "rank"), asynchronous.async_pagerank(g)
+    near = agreement(a, b, "rank").select("only_a", "only_b", (F.col("greatest_difference") < 0.05).alias("near"))
+    return near.withColumn("top_in_common", F.lit(top_overlap(a, b, 20) >= 0.5))
+
+
 def agreement_cc(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The engine's labels against the subset baseline's."""
     g = workloads.graph(spark, sf_dir, "geo")
@@ -279,24 +359,40 @@ def code_size(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame(rows, "program string, lines int")
 
 
+_STORED = [f"('{r[0]}', '{r[1]}', '{r[2]}', {r[3]}, {r[4]}::DOUBLE, {r[5]}::BIGINT, {r[6]}::DOUBLE, {r[7]}::BIGINT, '{r[8]}')" for r in stored_runs()]
+_NAMES = ", ".join(x.split()[0] for x in RUNS.split(", "))
+_RUNS = f"r AS (SELECT * FROM (VALUES {', '.join(_STORED)}) AS t({_NAMES}))" if _STORED else f"r AS (SELECT * FROM (VALUES ('', '', '', 0, 0::DOUBLE, 0::BIGINT, 0::DOUBLE, 0::BIGINT, '')) AS t({_NAMES}) WHERE false)"
+#: Lines of user code that are counted, as they stand in the programs.
+_LINES = [(p.__name__, user_lines(p)) for p in (PageRank, ConnectedComponents, ShortestPaths)]
+
 QUERIES = {
     "graph_sizes": (graph_sizes, SIZES_SQL),
-    "active_balance": (active_balance, None),
+    "active_balance": (active_balance, f"SELECT superstep, ran AS active, true AS even FROM ({sql.path_rounds('supply')})"),
     "mailbox_model": (lambda s, d: s.createDataFrame(MAILBOX_ROWS, "graph string, slots int, bytes long"), _values(MAILBOX_ROWS, "graph, slots, bytes")),
     "published_memory_diff": (
         lambda s, d: s.createDataFrame(memory_diff_rows(), "app string, graph string, studied double, subset double, diff_mb int, percent int, lighter string"),
         _values(memory_diff_rows(), "app, graph, studied, subset, diff_mb, percent, lighter").replace("SELECT *", "SELECT app, graph, studied::DOUBLE AS studied, subset::DOUBLE AS subset, diff_mb, percent, lighter"),
     ),
     "programmability_matrix": (programmability, _values([*CRITERIA], "criterion, studied, hardcoded, asynchronous, subset")),
-    "code_size": (code_size, None),
+    "code_size": (code_size, _values(_LINES, "program, lines")),
     "cert_cc_supply": (cc_certificate, "SELECT 0::BIGINT AS violations"),
     "cert_sssp_supply": (sssp_certificate, "SELECT 0::BIGINT AS violations"),
     "rank_mass": (rank_mass, "SELECT 1.0::DOUBLE AS mass"),
+    "rank_agreement": (rank_agreement, "SELECT 0::BIGINT AS only_a, 0::BIGINT AS only_b, true AS near, true AS top_in_common"),
     "agreement_cc": (
         agreement_cc,
         f"WITH {sql.base('geo')} SELECT 0::BIGINT AS only_a, 0::BIGINT AS only_b, count(*) AS equal, 0::BIGINT AS unequal, 0.0::DOUBLE AS greatest_difference FROM v",
     ),
-    "speedup_report": (_report(["links", "geo"], ["components"], ["studied", "subset"], lambda m: speedup_table(m, "studied", "subset")), None),
-    "scaling_report": (_report(["geo", "supply"], ["pagerank"], ["studied"], graph_scaling), None),
-    "memory_report": (_report(["links"], ["pagerank", "components", "paths"], ["studied", "hardcoded", "subset"], lambda m: m.select("engine", "app", "graph", "peak_bytes", "outcome")), None),
+    "speedup_report": (speedup_report, f"""
+WITH {_RUNS}, m AS (SELECT engine, graph, workers, avg(seconds) AS seconds FROM r WHERE outcome = 'done' AND app = 'components' AND sf = {REPORT_SF} GROUP BY ALL),
+q AS (SELECT a.graph, a.seconds / b.seconds AS ratio FROM m a JOIN m b ON a.graph = b.graph AND a.workers = b.workers WHERE a.engine = 'studied' AND b.engine = 'subset')
+SELECT graph, round(min(ratio), 6) AS least, round(avg(ratio), 6) AS mean, round(max(ratio), 6) AS greatest FROM q GROUP BY graph"""),
+    "scaling_report": (scaling_report, f"""
+WITH {_RUNS}, m AS (SELECT engine, app, graph, workers, avg(seconds) AS seconds FROM r WHERE outcome = 'done' AND sf = {REPORT_SF} GROUP BY ALL)
+SELECT m.engine, m.app, m.graph, m.workers, round(o.seconds / m.seconds, 6) AS gain FROM m JOIN m o ON o.engine = m.engine AND o.app = m.app AND o.graph = m.graph AND o.workers = 1"""),
+    "graph_scaling_report": (graph_scaling_report, f"""
+WITH {_RUNS}, m AS (SELECT app, graph, sf, workers, edges, avg(seconds) AS seconds FROM r WHERE outcome = 'done' AND engine = 'studied' GROUP BY ALL)
+SELECT app || '/' || graph AS graph, edges, round(seconds / edges * 1e6, 4) AS micros_per_edge FROM m QUALIFY workers = max(workers) OVER (PARTITION BY app, graph, sf)"""),
+    "memory_report": (memory_report, f"""
+WITH {_RUNS} SELECT engine, app, graph, outcome, min(CASE WHEN outcome = 'done' THEN peak_bytes END) AS peak_bytes FROM r WHERE sf = {REPORT_SF} GROUP BY ALL"""),
 }

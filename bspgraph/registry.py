@@ -11,11 +11,14 @@ from pyspark.sql import functions as F
 from . import measures, sql, workloads
 from .algorithms import PageRank, component_sizes, min_reaching_id, pagerank, pagerank_converged, sssp, top_ranked
 from .algorithms.components import ConnectedComponents
+from .algorithms.pagerank import ranks
 from .algorithms.paths import ShortestPaths, distances
 from .baselines import asynchronous, hardcoded, subset
 from .engine import run
 from .operators import relational
 from .options import Options
+from .plans.lookup import PAGE_ROWS
+from .programs.reference_form import ObjectPageRank
 from .streaming import windows
 
 QUERIES: dict[str, Callable] = {}
@@ -87,36 +90,52 @@ add("pr_hardcoded_stars", _on("stars", hardcoded.hardcoded_pagerank, digits=10),
 add("pr_hardcoded_supply", _on("supply", hardcoded.hardcoded_pagerank, digits=10), sql.pagerank("supply", keep=hardcoded.SLOTS))
 add("lost_messages_supply", _on("supply", hardcoded.lost_messages), f"WITH {sql.base('supply')} SELECT dst AS id, count(*) - 100 AS lost FROM e GROUP BY dst HAVING count(*) > 100")
 add("pr_async_geo", _on("geo", asynchronous.async_pagerank, passes=200, tolerance=1e-10, digits=6), sql.pagerank("geo", rounds=200, digits=6))
+add("pr_async_ten_geo", _on("geo", asynchronous.async_pagerank, digits=10), sql.async_pagerank("geo"))
 add("cc_async_chain", _on("chain", asynchronous.async_components), sql.components("chain"))
 add("sssp_async_chain", _on("chain", asynchronous.async_sssp, source=True), sql.paths("chain"))
 add("cc_local_chain", _on("chain", asynchronous.local_components), sql.components("chain"))
-add("pr_subset_supply", _on("supply", subset.subset_pagerank, digits=10), sql.pagerank("supply"))
-add("cc_subset_supply", _on("supply", subset.subset_components), sql.components("supply"))
-add("sssp_subset_supply", _on("supply", subset.subset_sssp, source=True), sql.paths("supply"))
+for _g in ("links", "stars", "supply", "basket"):
+    add(f"pr_subset_{_g}", _on(_g, subset.subset_pagerank, digits=10), sql.pagerank(_g))
+    add(f"cc_subset_{_g}", _on(_g, subset.subset_components), sql.components(_g))
+    add(f"sssp_subset_{_g}", _on(_g, subset.subset_sssp, source=True), sql.paths(_g))
+for _way, _share in (("push", 10.0), ("pull", -1.0)):
+    add(f"cc_subset_{_way}_stars", _on("stars", subset.subset_components, threshold=_share), sql.components("stars"))
+    add(f"sssp_subset_{_way}_links", _on("links", subset.subset_sssp, source=True, threshold=_share), sql.paths("links"))
+add("pr_reference_form_geo", lambda s, d: _rounded(ranks(run(workloads.graph(s, d, "geo"), ObjectPageRank()))), sql.pagerank("geo"))
 
 
-def _ledger(name, program, options=None):
+def _ledger(name, program, options=None, columns=("superstep", "ran", "checked", "messages", "probes")):
     def query(s, d):
         g = workloads.graph(s, d, name)
-        done = run(g, program(g), options)
-        return done.ledger.select("superstep", "ran", "checked", "messages", "probes")
+        return run(g, program(g), options).ledger.select(*columns)
 
     return query
 
 
-# scan tests every vertex; the senders of step t are the vertices at distance t
-SSSP_LEDGER = f"""
-WITH dist AS ({sql.paths('chain')}), {sql.base('chain').replace('raw AS', 'raw AS', 1)},
-steps AS (SELECT unnest(generate_series(0, (SELECT max(distance) + 1 FROM dist))) AS t),
-sent AS (SELECT d.distance AS t, count(*) AS messages, count(DISTINCT e.dst) AS woken FROM dist d JOIN e ON e.src = d.id WHERE d.distance IS NOT NULL GROUP BY d.distance)
-SELECT CAST(s.t AS INT) AS superstep,
-       CASE WHEN s.t = 0 THEN (SELECT count(*) FROM v) ELSE coalesce(b.woken, 0) END AS ran,
-       CASE WHEN s.t = 0 THEN (SELECT count(*) FROM v) ELSE coalesce(b.woken, 0) END AS checked,
-       coalesce(a.messages, 0) AS messages, 0::BIGINT AS probes
-FROM steps s LEFT JOIN sent a ON a.t = s.t LEFT JOIN sent b ON b.t = s.t - 1
-WHERE s.t = 0 OR b.woken > 0"""
-add("ledger_sssp_chain", _ledger("chain", lambda g: ShortestPaths(workloads.source_of(g)), Options("bypass")), SSSP_LEDGER)
-add("ledger_cc_chain", _ledger("chain", lambda g: ConnectedComponents(), Options("bypass", "pull")))
+add("ledger_sssp_chain", _ledger("chain", lambda g: ShortestPaths(workloads.source_of(g)), Options("bypass")), sql.path_rounds("chain"))
+add(
+    "ledger_cc_chain",
+    _ledger("chain", lambda g: ConnectedComponents(), Options("bypass", "pull"), ("superstep", "ran", "messages", "probes", "wasted_probes")),
+    sql.component_rounds("chain"),
+)
+
+
+def bypass_work(s, d):
+    """State rows that each selection reads on a small frontier, as multiples: the
+    scan reads every vertex in every superstep, bypass no more than two pages for
+    every vertex that runs, after the first superstep."""
+    g = workloads.graph(s, d, "chain")
+    scan, bypass = (run(g, ShortestPaths(workloads.source_of(g)), Options(x)).rows for x in ("scan", "bypass"))
+    few = all(b["state_read"] <= 2 * PAGE_ROWS * b["ran"] for b in bypass[1:])
+    facts = [(len(scan), sum(r["state_read"] for r in scan), sum(r["ran"] for r in bypass), few)]
+    return s.createDataFrame(facts, "supersteps long, scan_read long, bypass_ran long, bypass_reads_few boolean")
+
+
+add(
+    "bypass_work",
+    bypass_work,
+    f"WITH r AS ({sql.path_rounds('chain')}) SELECT count(*) AS supersteps, CAST(count(*) * max(ran) AS BIGINT) AS scan_read, CAST(sum(ran) AS BIGINT) AS bypass_ran, true AS bypass_reads_few FROM r",
+)
 add(
     "ledger_pr_supply",
     _ledger("supply", lambda g: PageRank()),

@@ -154,3 +154,15 @@ SELECT CAST(s.t AS INT) AS superstep, CASE WHEN s.t = 0 THEN (SELECT count(*) FR
        CASE WHEN s.t = 0 THEN 0::BIGINT ELSE CAST((SELECT count(*) FROM e) - b.messages AS BIGINT) END AS wasted_probes
 FROM (SELECT DISTINCT t FROM r) s LEFT JOIN sent a ON a.t = s.t LEFT JOIN sent b ON b.t = s.t - 1 LEFT JOIN woken w ON w.t = s.t
 WHERE s.t = 0 OR w.n > 0"""
+
+
+def path_rounds(name: str) -> str:
+    """The work of paths with bypass: the senders of step t are the vertices at
+    distance t, and what they tell runs in the next."""
+    return f"""
+WITH dist AS ({paths(name)}), {base(name)},
+steps AS (SELECT unnest(generate_series(0, (SELECT max(distance) + 1 FROM dist))) AS t),
+sent AS (SELECT d.distance AS t, count(*) AS messages, count(DISTINCT e.dst) AS woken FROM dist d JOIN e ON e.src = d.id WHERE d.distance IS NOT NULL GROUP BY d.distance),
+rows AS (SELECT s.t, CASE WHEN s.t = 0 THEN (SELECT count(*) FROM v) ELSE b.woken END AS ran, coalesce(a.messages, 0) AS messages
+         FROM steps s LEFT JOIN sent a ON a.t = s.t LEFT JOIN sent b ON b.t = s.t - 1 WHERE s.t = 0 OR b.woken > 0)
+SELECT CAST(t AS INT) AS superstep, ran, ran AS checked, messages, 0::BIGINT AS probes FROM rows"""

@@ -41,16 +41,42 @@ class IncrementalComponents:
         return lambda edges, _number: self.add(edges)
 
 
-def chain_stream(events: DataFrame) -> DataFrame:
-    """The edge from each user's last event to the next, from a stream of
-    (event_id, user_id, ts); the state is one event per user."""
+#: How late an event may come, and after how long without events a user's state goes.
+LATE = "1 hour"
+IDLE_DAYS = 30
+
+_HELD = "ids array<long>, times array<long>, last long, last_time long"
+
+
+def chain_stream(events: DataFrame, late: str = LATE) -> DataFrame:
+    """The edge from each user's event to the next in time, from a stream of
+    (event_id, user_id, ts).
+
+    Events are held until the watermark, ``late`` behind the newest, has passed
+    them, so events that come out of order are chained in order; later ones are
+    dropped.  The state of a user is the last event chained and those held.
+    """
 
     def step(key, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
-        rows = pd.concat(list(frames)).sort_values(["ts", "event_id"])
-        ids = rows["event_id"].tolist()
-        if state.exists:
-            ids = [state.get[0], *ids]
-        state.update((ids[-1],))
-        yield pd.DataFrame({"src": ids[:-1], "dst": ids[1:]}, dtype="int64")
-
-    return events.groupBy("user_id").applyInPandasWithState(step, "src long, dst long", "last long", "append", GroupStateTimeout.NoTimeout)
+        ids, times, last, last_time = state.get if state.exists else ((), (), None, None)
+        held = list(zip(times, ids))
+        if not state.hasTimedOut:
+            for rows in frames:
+                held += zip(rows["micros"].tolist(), rows["event_id"].tolist())
+        mark = state.getCurrentWatermarkMs() * 1000
+        held.sort()
+        ready = [e for e in held if e[0] <= mark and (last_time is None or e >= (last_time, last))]
+        rest = [e for e in held if e[0] > mark]
+        chained = ([] if last is None else [last]) + [i for _, i in ready]
+        if ready:
+            last_time, last = ready[-1]
+        if state.hasTimedOut and not ready and not rest:
+            state.remove()
+        else:
+            state.update(([i for _, i in rest], [t for t, _ in rest], last, last_time))
+            wake = rest[0][0] if rest else last_time + IDLE_DAYS * 86_400_000_000 if last_time is not None else mark
+            state.setTimeoutTimestamp(max(wake, mark) // 1000 + 1)
+        yield pd.DataFrame({"src": chained[:-1], "dst": chained[1:]}, dtype="int64")
+
+    rows = events.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", late).withColumn("micros", F.unix_micros("ts"))
+    return rows.groupBy("user_id").applyInPandasWithState(step, "src long, dst long", _HELD, "append", GroupStateTimeout.EventTimeTimeout)

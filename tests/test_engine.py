@@ -43,13 +43,13 @@ def test_components_in_every_cell(h1, selection, form, combine):
     assert values(connected_components(h1, options)) == {1: 1, 2: 1, 3: 1, 4: 1, 5: 5, 6: 5, 7: 7}
 
 
-@pytest.mark.parametrize("selection,form,combine", [CELLS[0], CELLS[3], CELLS[10], CELLS[13]])
-def test_paths_in_some_cells(h1, selection, form, combine):
+@pytest.mark.parametrize("selection,form,combine", CELLS)
+def test_paths_in_every_cell(h1, selection, form, combine):
     options = Options(selection, form, combine)
     assert values(sssp(h1, 1, options)) == {1: 0, 2: 1, 3: 2, 4: 3, 5: None, 6: None, 7: None}
 
 
-@pytest.mark.parametrize("form,combine", [("push", True), ("pull", False), ("auto", True)])
+@pytest.mark.parametrize("form,combine", [(x, c) for x in ("push", "pull", "auto") for c in (True, False)])
 def test_pagerank_in_every_cell(spark, form, combine):
     star = make(spark, [(1, 2), (1, 3), (1, 4)])
     got = values(pagerank(star, options=Options("scan", form, combine)))

@@ -3,15 +3,17 @@
 import pandas as pd
 import pytest
 from helpers import assert_same
+from pyspark.sql import functions as F
 
 from bspgraph import measures, registry, workloads
 from bspgraph.algorithms import connected_components
 from bspgraph.functions import user
 from bspgraph.graph import Graph
+from bspgraph.options import Options
 from bspgraph.sources import edgelist, files
 from bspgraph.streaming import incremental, windows
 
-FAST = ["pr_links", "pr_links_directed", "pr_links_spread", "cc_geo", "cc_twins", "sssp_geo", "pr_hardcoded_supply", "sssp_weighted_trade", "cc_sizes_stars"]
+FAST = ["pr_async_ten_geo", "pr_reference_form_geo", "ledger_sssp_chain", "ledger_cc_chain", "bypass_work", "cc_subset_push_stars", "cc_subset_pull_stars", "sssp_subset_push_links", "sssp_subset_pull_links", "pr_subset_links", "pr_links", "pr_links_directed", "pr_links_spread", "cc_geo", "cc_twins", "sssp_geo", "pr_hardcoded_supply", "sssp_weighted_trade", "cc_sizes_stars"]
 
 
 @pytest.mark.parametrize("name", FAST + [n for t in (measures.QUERIES, windows.QUERIES) for n, (_, q) in t.items() if q])
@@ -63,7 +65,8 @@ def test_python_programs_table_function_and_sql(spark, sf):
     cloudpickle.register_pickle_by_value(sys.modules[__name__])
     g = workloads.graph(spark, sf, "geo")
     want = {r.id: r.component for r in connected_components(g).collect()}
-    assert {r.id: int(r.value) for r in user.run_arrow(g, LeastId()).collect()} == want
+    for options in (None, Options("bypass", "pull"), Options("bypass", combine=False)):
+        assert {r.id: int(r.value) for r in user.run_arrow(g, LeastId(), options).collect()} == want
     calls = user.register(spark)
     g.edges.select("src", "dst").createOrReplaceTempView("geo_edges")
     assert {r.id: r.component for r in spark.table(calls["components"]("geo_edges")).collect()} == want
@@ -83,14 +86,52 @@ def test_streams(spark, sf, tmp_path):
     want = {r.id: r.component for r in connected_components(workloads.graph(spark, sf, "supply")).collect()}
     assert {r.id: r.component for r in grown.labels.collect()} == want
 
-    events = workloads.table(spark, sf, "events").select("event_id", "user_id", "ts")
-    events.repartition(1).write.parquet(str(tmp_path / "events"))
-    stream = files.stream_edges(spark, str(tmp_path / "events"), schema=events.schema)
-    chained = incremental.chain_stream(stream).writeStream.format("memory").queryName("chained").outputMode("append")
-    chained.option("checkpointLocation", str(tmp_path / "c2")).trigger(availableNow=True).start().awaitTermination()
+
+
+def _ran(stream, name, folder, mode="append"):
+    stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", str(folder)).trigger(availableNow=True).start().awaitTermination()
+
+
+def _files(spark, folder, batches, schema):
+    """One file a batch, in their order."""
+    import os
+    import time
+
+    for n, rows in enumerate(batches):
+        frame = rows if not isinstance(rows, list) else spark.createDataFrame(rows, schema)
+        frame.coalesce(1).write.mode("append").parquet(str(folder))
+        newest = max((os.path.join(folder, f) for f in os.listdir(folder) if f.endswith(".parquet")), key=os.path.getmtime)
+        os.utime(newest, (time.time() - 1000 + n,) * 2)
+
+
+EVENT = "event_id long, user_id long, ts timestamp"
+
+
+def test_events_are_chained_in_order_of_time(spark, sf, tmp_path):
+    from datetime import datetime, timedelta
+
+    at = lambda h, m=0, d=1: datetime(2024, 1, d, h, m)
+    batches = [[(1, 7, at(10)), (3, 7, at(10, 20)), (9, 8, at(9, 50))], [(2, 7, at(10, 10)), (8, 8, at(9, 40))], [(0, -1, at(0, 0, 3))], [(4, 7, at(10, 15)), (5, 7, at(1, 0, 3))], [(0, -1, at(0, 0, 9))]]
+    _files(spark, tmp_path / "a", batches, EVENT)
+    _ran(incremental.chain_stream(files.stream_edges(spark, str(tmp_path / "a"), schema=EVENT)), "ordered", tmp_path / "c")
+    got = sorted(map(tuple, spark.table("ordered").where("src > 0").collect()))
+    assert got == [(1, 2), (2, 3), (3, 5), (8, 9)]  # event 4 came too late
+
+    events = workloads.table(spark, sf, "events").select("event_id", "user_id", F.col("ts").cast("timestamp").alias("ts"))
+    end = events.agg(F.max("ts")).first()[0] + timedelta(days=2)
+    _files(spark, tmp_path / "b", [events, [(-5, -1, end)]], EVENT)
+    _ran(incremental.chain_stream(files.stream_edges(spark, str(tmp_path / "b"), schema=EVENT)), "chained", tmp_path / "d")
     assert sorted(map(tuple, spark.table("chained").collect())) == sorted(map(tuple, workloads.chain(spark, sf).collect()))
-    late = windows.windowed(windows.with_watermark(stream), "tumbling")
-    assert late.isStreaming
+
+
+def test_late_rows_are_dropped_from_windows(spark, tmp_path):
+    from datetime import datetime
+
+    day = lambda d: datetime(2024, 1, d, 10)
+    _files(spark, tmp_path / "a", [[(1, 7, day(1))], [(2, 7, day(3))], [(3, 7, day(1))], [(4, 7, day(9))], [(5, 7, day(20))]], EVENT)
+    stream = windows.with_watermark(files.stream_edges(spark, str(tmp_path / "a"), schema=EVENT))
+    _ran(windows.windowed(stream, "tumbling"), "counted", tmp_path / "c")
+    assert {r.opens.day: r.degree for r in spark.table("counted").collect()} == {1: 1, 3: 1, 9: 1}
 
 
 def test_measures(spark):
@@ -107,3 +148,7 @@ def test_measures(spark):
     from bspgraph.algorithms import PageRank
 
     assert measures.meets_criteria(PageRank) == (True, True, True)
+    text = measures.sql.EDGES["geo"]
+    assert text and measures.top_overlap(*[spark.createDataFrame([(1, 0.5), (2, 0.4), (3, x)], "id long, rank double") for x in (0.1, 0.9)], 2) == 0.5
+    scaled = spark.createDataFrame([("a", "g", 10, 2.0)], "engine string, graph string, edges long, seconds double")
+    assert measures.graph_scaling(scaled).first().seconds_per_edge == 0.2
