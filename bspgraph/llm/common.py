@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Callable, Iterator
 
@@ -11,6 +10,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
+from ..plans.checkpoints import shared_folder
 from ..shipping import ship
 
 #: Most rows (a few numbers each) of a side that is broadcast; a larger side is joined by shuffle.
@@ -32,12 +32,8 @@ def labels(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def checkpoint_dir(spark: SparkSession) -> str:
     """The shared folder that the session names in ``spark.checkpoint.dir``; only
-    where none is named (tests on one machine) a temporary one is set."""
-    context = spark.sparkContext
-    if context.getCheckpointDir() is None:
-        named = spark.conf.get("spark.checkpoint.dir", None)
-        context.setCheckpointDir(named or tempfile.mkdtemp(prefix="checkpoints-"))
-    return context.getCheckpointDir()
+    where none is named and all runs in one process a temporary one is set."""
+    return shared_folder(spark)
 
 
 def cut(df: DataFrame) -> DataFrame:
@@ -51,6 +47,16 @@ def small(df: DataFrame, rows: int, most: int = BROADCAST_ROWS) -> DataFrame:
     return F.broadcast(df) if rows <= most else df
 
 
+def fresh(df: DataFrame, *names: str) -> list[str]:
+    """The names, with marks added to those that ``df`` has a column of."""
+    taken, out = {c.lower() for c in df.columns}, []
+    for name in names:
+        while name.lower() in taken:
+            name += "_"
+        out.append(name)
+    return out
+
+
 def crc_mod(doc_id: Column, modulus: int) -> Column:
     """crc32 of the identifier's decimal text, modulo ``modulus``."""
     return F.pmod(F.crc32(doc_id.cast("string").cast("binary")), F.lit(modulus))

@@ -173,7 +173,8 @@ def identify(docs: DataFrame) -> DataFrame:
 
 def keep_identified(docs: DataFrame, least: float = 0.4) -> DataFrame:
     """The rows of ``docs`` whose language is found; ``und`` and rows with a
-    score below ``least`` go.  All columns stay as they are."""
+    score below ``least`` go.  All columns stay as they are, whatever their names;
+    repeated rows stay or go together."""
     labelled = docs.where(F.col("lang").isNotNull() & F.col("doc_id").isNotNull())
     shared = Shared(docs.sparkSession, learn(labelled), Scorer)
 

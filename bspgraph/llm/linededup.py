@@ -33,7 +33,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Shared, cut, map_batches, map_rows, small
+from .common import Shared, cut, fresh, map_batches, map_rows, small
 
 MIN_CHARS = 40
 MIN_DOCS = 5
@@ -225,8 +225,7 @@ def _dropping(docs: DataFrame, make: Callable, schema, bits: int | None, min_doc
     its lines and how many go) to all rows of ``docs``."""
     suspects = _suspects(docs, bits)
     found, count, size = _confirmed(suspects, min_docs)
-    # names that no column of the documents has
-    at, digest, drop = (f"{name}{len(''.join(docs.columns))}" for name in ("row_at", "row_digest", "row_drop"))
+    at, digest, drop = fresh(docs, "row_at", "row_digest", "row_drop")
     if size + 100 * count <= keys_sent:
         kept = {key.encode(): keep for key, keep in found.toArrow().to_pandas().itertuples(index=False)}
         shared = Shared(docs.sparkSession, kept)

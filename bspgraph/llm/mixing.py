@@ -21,7 +21,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import WORD, cut, small
+from .common import WORD, cut, fresh, small
 
 BUCKETS = 4096
 WEIGHTS = (5.0, 2.0, 1.0)
@@ -114,9 +114,11 @@ def mix(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, most: int = MOST_
 
 
 def take(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, most: int = MOST_EPOCHS, seed: str = SEED) -> DataFrame:
-    """The rows of ``docs`` as often as the mix takes them; untaken rows go."""
-    plan = mix(docs, weights, most, seed).groupBy("doc_id").agg(F.max("copies").alias("__copies"))
-    plan = cut(plan.where("__copies > 0").withColumnRenamed("doc_id", "__doc_id"))
-    joined = docs.join(small(plan, plan.count()), docs["doc_id"].eqNullSafe(F.col("__doc_id")))
-    again = joined.withColumn("__turn", F.explode(F.sequence(F.lit(1), F.col("__copies").cast("int"))))
+    """The rows of ``docs`` as often as the mix takes them; untaken rows go.
+    Rows that share a doc_id are taken alike, as often as any of them is."""
+    at, copies, turn = fresh(docs, "row_at", "row_copies", "row_turn")
+    plan = mix(docs, weights, most, seed).groupBy(F.col("doc_id").alias(at)).agg(F.max("copies").alias(copies))
+    plan = cut(plan.where(F.col(copies) > 0))
+    joined = docs.join(small(plan, plan.count()), docs["doc_id"].eqNullSafe(F.col(at)))
+    again = joined.withColumn(turn, F.explode(F.sequence(F.lit(1), F.col(copies).cast("int"))))
     return again.select(docs.columns)

@@ -11,7 +11,7 @@ and a context word within ``WINDOW`` code points raise it, and the span is kept
 from ``THRESHOLD`` on.  An account number is found by its head alone; its end is
 the country's, or for a country without a known length the last end of a word
 where the checksum passes, so text after it is never taken for a part of it.
-Null text counts as empty; empty text has no spans.
+Null text counts as empty; empty text has no spans; ties of start go by kind.
 Repeated rows are treated one by one; no row is lost or joined.
 """
 
