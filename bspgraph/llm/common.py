@@ -19,6 +19,9 @@ BROADCAST_ROWS = 100_000
 #: Rows that a kernel takes at once: bounds the memory of a worker.
 SLICE_ROWS = 1000
 
+#: Ranges of a hash by which drawn rows are counted.
+RANGES = 256
+
 WORD = r"[^\x20\x09-\x0D]+"
 
 
@@ -87,17 +90,22 @@ def bounded_sample(labelled: DataFrame, keys: list[str], most: int) -> DataFrame
     """At most ``most`` doc_ids of ``labelled(doc_id, *keys)`` per distinct key,
     one row each, however often a doc_id occurs (the least keys of one count).
 
-    Ids are drawn by a hash against a fraction a little above the need, and the
-    first ``most`` of these in the order of the hash stay, so the same ids are
-    chosen in every run and order.  Keys are class labels.
+    Ids are drawn by a hash against a fraction a little above the need.  Counts of
+    the drawn by ranges of the hash, a bounded number, tell up to which range
+    ``most`` are not exceeded.  So the same ids are chosen in every run and order,
+    and no task gathers a key's rows.  Keys are class labels.
     """
     counts = cut(labelled.groupBy(*keys).agg(F.count(F.lit(1)).alias("n_of_key")))
     share = F.least(F.lit(1.0), F.lit(1.2 * most + 50) / F.col("n_of_key"))
     unit = F.pmod(F.xxhash64(F.lit("sample"), F.col("doc_id")), F.lit(1 << 30)) / F.lit(float(1 << 30))
     drawn = labelled.join(small(counts, counts.count()), keys).where(unit < share)
-    drawn = drawn.groupBy("doc_id").agg(F.min(F.struct(*keys)).alias("of")).select("doc_id", *[F.col(f"of.{k}").alias(k) for k in keys])
-    place = F.row_number().over(Window.partitionBy(*keys).orderBy(unit, "doc_id"))
-    return cut(drawn.withColumn("place_in_key", place).where(F.col("place_in_key") <= most).select("doc_id", *keys))
+    drawn = drawn.withColumn("of_hash", F.floor(unit / share * RANGES).cast("int"))
+    drawn = drawn.groupBy("doc_id").agg(F.min(F.struct(*keys, "of_hash")).alias("of")).select("doc_id", "of.*")
+    drawn = cut(drawn)
+    sizes = cut(drawn.groupBy(*keys, "of_hash").agg(F.count(F.lit(1)).alias("n")))  # keys times RANGES at most
+    so_far = F.sum("n").over(Window.partitionBy(*keys).orderBy("of_hash").rowsBetween(Window.unboundedPreceding, 0))
+    kept = sizes.withColumn("n", so_far).where(F.col("n") <= most).select(*keys, "of_hash")
+    return cut(drawn.join(small(kept, sizes.count()), [*keys, "of_hash"], "left_semi").select("doc_id", *keys))
 
 
 def sampled_texts(docs: DataFrame, chosen: DataFrame, on: list[str]) -> DataFrame:
