@@ -21,7 +21,7 @@ from .graph import Graph
 from .options import Options, PullNotApplicable, SystematicHaltError
 from .plans import exchange, select
 from .plans.checkpoints import cut, drop, loop_settings
-from .plans.frontier import Frontier
+from .plans.frontier import Frontier, uncompiled
 from .plans.lookup import rows_scanned
 from .plans.store import Store
 from .program import ATTRIBUTE, StepView, Turn, VertexProgram, VertexView, broadcasts_only, halts_every_step
@@ -237,7 +237,11 @@ class _Loop:
         # a second narrow step in a row: the state is written for lookups once, not at each passing dip
         if self.frontier is None and fits and (number == 1 or self.rows[-2]["messages"] <= options.lookup_most):
             self.turn_narrow()
-        row = self.wide(number) if self.frontier is None else self.lookup(number)
+        if self.frontier is None:
+            row = self.wide(number)
+        else:
+            with uncompiled(self.graph.spark):
+                row = self.lookup(number)
         row |= {"superstep": number, "wasted_checks": row["checked"] - row["ran"], "seconds": time.perf_counter() - began}
         self.rows.append(row)
         return row

@@ -9,9 +9,12 @@ the driver here is counted before and bounded by the option.
 
 from __future__ import annotations
 
+import contextlib
+import math
 import uuid
+from collections.abc import Iterator
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
@@ -23,6 +26,32 @@ from .lookup import Lookup, rows_scanned
 #: Rows that are kept beside the tables before they are written as a delta.
 MOST_KEPT = 20_000
 
+#: Types whose values can be written into a plan, and how.
+PLAIN = {"tinyint": "Y", "smallint": "S", "int": "", "bigint": "L", "float": "F", "double": "D", "boolean": ""}
+
+
+@contextlib.contextmanager
+def uncompiled(spark: SparkSession) -> Iterator[None]:
+    """A few rows are read before a plan of their own would be compiled."""
+    names = {"spark.sql.codegen.wholeStage": "false", "spark.sql.codegen.factoryMode": "NO_CODEGEN"}
+    before = {k: spark.conf.get(k, None) for k in names}
+    try:
+        for k, v in names.items():
+            spark.conf.set(k, v)
+        yield
+    finally:
+        for k, v in before.items():
+            spark.conf.unset(k) if v is None else spark.conf.set(k, v)
+
+
+def literal(value, kind: str) -> str:
+    """A plain value as SQL."""
+    if value is None:
+        return f"CAST(NULL AS {kind})"
+    if isinstance(value, float) and not math.isfinite(value):
+        return f"CAST('{value}' AS {kind})"
+    return f"{str(value).lower()}{PLAIN[kind]}" if not isinstance(value, int) or value >= 0 else f"CAST('{value}' AS {kind})"
+
 
 class Frontier:
     def __init__(self, graph: Graph, program: VertexProgram, base: DataFrame):
@@ -31,18 +60,30 @@ class Frontier:
         self._state = Lookup(base, "id", f"{shared_folder(graph.spark)}/state-{uuid.uuid4().hex}")
         self._ran: dict[int, dict] = {}
 
-    def _table(self, rows: list[dict], schema: StructType | str) -> DataFrame:
-        names = schema.names if isinstance(schema, StructType) else [x.split()[0] for x in schema.split(", ")]
-        return self._spark.createDataFrame([tuple(r[n] for n in names) for r in rows], schema, verifySchema=False)
+    def _table(self, rows: list[dict], schema: StructType) -> DataFrame:
+        """A few rows as a table; plain values stand in the plan itself."""
+        kinds = [f.dataType.simpleString() for f in schema]
+        if len(rows) > 1000 or any(k not in PLAIN for k in kinds):
+            return self._spark.createDataFrame([tuple(r[n] for n in schema.names) for r in rows], schema, verifySchema=False)
+        values = ", ".join("(" + ", ".join(literal(r[n], k) for n, k in zip(schema.names, kinds)) + ")" for r in rows)
+        return self._spark.sql(f"SELECT * FROM VALUES {values} AS t(`{'`, `'.join(schema.names)}`)")
+
+    def _joined(self, table: DataFrame, key: str, rows: list[dict], name: str, kind: str) -> DataFrame:
+        """``table`` with the column ``name`` of the row that has its key."""
+        schema = StructType().add(key, "long").add(name, kind)
+        if (simple := schema[1].dataType.simpleString()) in PLAIN:
+            pairs = ", ".join(f"{literal(r['id'], 'bigint')}, {literal(r[name], simple)}" for r in rows)
+            found = F.expr(f"try_element_at(map({pairs}), `{key}`)")
+            return table.withColumn(name, found)
+        return table.join(F.broadcast(self._table([r | {key: r["id"]} for r in rows], schema)), key)
 
     def mail(self, senders: list[dict]) -> tuple[list[dict], int]:
         """(pid, id, msg) for the receivers of these senders (pid, id, payload),
         and the edges read."""
         program, kind = self._program, self._program.message_type
-        told = self._table(senders, f"pid int, id long, payload {kind}").withColumnRenamed("id", "src")
         edges = self._graph.out_lookup.rows([r["pid"] for r in senders], [r["id"] for r in senders])
-        message = program.on_edge(F.col("payload"), F.col("weight") if self._graph.weighted else None)
-        near = edges.join(F.broadcast(told), ["pid", "src"]).coalesce(1)
+        message: Column = program.on_edge(F.col("payload"), F.col("weight") if self._graph.weighted else None)
+        near = self._joined(edges.coalesce(1), "src", senders, "payload", kind)
         local = near.select("tpid", "dst", message.alias("m")).groupBy("tpid", "dst").agg(program.combiner.partial(F.col("m")).alias("m"))
         boxes = local.groupBy("tpid", "dst").agg(program.combiner.final(F.col("m")).cast(kind).alias("msg"))
         found = boxes.collect()
@@ -55,7 +96,7 @@ class Frontier:
         parts, looked = [], None
         if old:
             looked = self._state.rows([r["pid"] for r in old], [r["id"] for r in old])
-            parts.append(looked.join(F.broadcast(self._table(old, f"pid int, id long, msg {kind}")), ["pid", "id"]).coalesce(1))
+            parts.append(self._joined(looked.coalesce(1), "id", old, "msg", kind))
         if new := [self._ran[r["id"]] | {"msg": r["msg"]} for r in inbox if r["id"] in self._ran]:
             fields = StructType([*self._schema.fields]).add("msg", kind)
             parts.append(self._table(new, fields).coalesce(1))

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from .checkpoints import cut, drop
 
 #: Deltas that lie on the base before they are folded into it.
-MOST_DELTAS = 6
+MOST_DELTAS = 3
 
 
 class Store:
