@@ -86,32 +86,40 @@ def choose_vertices(state: DataFrame, inbox: DataFrame | None, program: VertexPr
         chosen = select.first(state, program.message_type if options.combine else f"array<struct<src:long,msg:{program.message_type}>>")
     else:
         chosen = SELECTION[selection or options.selection](state, inbox)
-    return chosen if "lost" in chosen.columns else chosen.withColumn("lost", F.lit(0))
+    return chosen if "lost" in chosen.columns else chosen.selectExpr("*", "0 AS lost")
 
 
 def take_turns(chosen: DataFrame, graph: Graph, program: VertexProgram, options: Options, number: int) -> DataFrame:
     """The plan of their new values, status and payloads."""
     turn: Turn = program.compute(VertexView(not options.combine, program.combiner), StepView(number, graph.num_vertices))
-    run = F.col("run")
-    payload = F.lit(None).cast(program.message_type)
+    # the program's columns by name; the engine's own part is text, which costs the
+    # driver one call and not one for every operator
+    given = {"turn_value": turn.value}
+    sends = "run"
     if turn.broadcast is not None:
-        sends = run if turn.when is None else run & F.coalesce(turn.when, F.lit(False))
-        payload = F.when(sends, turn.broadcast.cast(program.message_type))
-    halted = F.lit(turn.halt) if isinstance(turn.halt, bool) else turn.halt
+        given["turn_payload"] = turn.broadcast
+        if turn.when is not None:
+            given["turn_sends"] = turn.when
+            sends = "run AND coalesce(turn_sends, false)"
+    if not isinstance(turn.halt, bool):
+        given["turn_halts"] = turn.halt
+    if turn.sends is not None:
+        given["turn_letters"] = turn.sends
+    payload = f"CASE WHEN {sends} THEN CAST(turn_payload AS {program.message_type}) END" if turn.broadcast is not None else f"CAST(NULL AS {program.message_type})"
+    halted = "turn_halts" if "turn_halts" in given else str(turn.halt).lower()
     columns = [
         "pid",
         "id",
         "out_degree",
-        *[c for c in chosen.columns if c.startswith(ATTRIBUTE)],
-        F.when(run, turn.value.cast(program.value_type)).otherwise(F.col("value")).alias("value"),
-        F.when(run, halted).otherwise(F.col("halted")).alias("halted"),
-        payload.alias("payload"),
-        run.alias("ran"),
-        F.coalesce("lost", F.lit(0)).alias("lost"),
+        *[f"`{c}`" for c in chosen.columns if c.startswith(ATTRIBUTE)],
+        f"CASE WHEN run THEN CAST(turn_value AS {program.value_type}) ELSE value END AS value",
+        f"CASE WHEN run THEN {halted} ELSE halted END AS halted",
+        f"{payload} AS payload",
+        "run AS ran",
+        "coalesce(lost, 0) AS lost",
+        *(["CASE WHEN run THEN turn_letters END AS sends"] if turn.sends is not None else []),
     ]
-    if turn.sends is not None:
-        columns.append(F.when(run, turn.sends).alias("sends"))
-    return chosen.select(*columns)
+    return chosen.withColumns(given).selectExpr(*columns)
 
 
 def superstep(state: DataFrame, inbox: DataFrame | None, graph: Graph, program: VertexProgram, options: Options, number: int) -> DataFrame:
@@ -136,10 +144,11 @@ class _Loop:
         self.few: list[dict] | None = None  # the last senders, if they are few
         self.frontier: Frontier | None = None
 
-    def sent(self, frame: DataFrame):
-        single = "sends" in frame.columns
-        sent = F.col("payload").isNotNull() if not single else F.size(F.coalesce("sends", F.array())) > 0
-        return single, sent, F.when(sent, F.col("out_degree") if not single else F.size("sends"))
+    def sent(self, frame: DataFrame) -> tuple[bool, str, str]:
+        """Whether mail is for single neighbours, who sends, and how many."""
+        if "sends" in frame.columns:
+            return True, "size(coalesce(sends, array())) > 0", "size(sends)"
+        return False, "payload IS NOT NULL", "out_degree"
 
     def wide(self, number: int) -> dict:
         """A superstep over tables."""
@@ -154,7 +163,7 @@ class _Loop:
         narrow = options.selection == "bypass" and number > 0 and (options.rebalance_active or 2 * self.rows[-1]["messages"] <= graph.num_vertices)
         if narrow:
             reading = Observation()
-            base = self.store.base.observe(reading, F.count(F.lit(1)).alias("state_read"))
+            base = self.store.base.observe(reading, F.expr("count(1) AS state_read"))
             chosen = self.store.over(choose_vertices(base, inbox, program, options))
             if options.rebalance_active:
                 chosen = select.rebalanced(chosen, graph.partitions)
@@ -166,12 +175,17 @@ class _Loop:
         planned = cut(
             planned.observe(
                 seen,
-                F.count(F.lit(1)).alias("checked"),
-                F.count_if("ran").alias("ran"),
-                F.count_if(sent).alias("senders"),
-                F.coalesce(F.sum(mails), F.lit(0)).alias("messages"),
-                F.count_if(~F.col("halted")).alias("awake"),
-                F.coalesce(F.sum("lost"), F.lit(0)).alias("lost"),
+                *map(
+                    F.expr,
+                    (
+                        "count(1) AS checked",
+                        "count_if(ran) AS ran",
+                        f"count_if({sent}) AS senders",
+                        f"coalesce(sum(CASE WHEN {sent} THEN {mails} END), 0) AS messages",
+                        "count_if(NOT halted) AS awake",
+                        "coalesce(sum(lost), 0) AS lost",
+                    ),
+                ),
             )
         )
         row = {k: int(v) for k, v in seen.get.items()}

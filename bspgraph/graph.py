@@ -155,11 +155,13 @@ class Graph:
         if into is not None:
             near, far = near.where(into), far if far is None else far.where(into)
         final = final or partial
-        local = near.withColumn("m", message).groupBy("pid", "tpid", "dst").agg(partial(F.col("m")).alias("m")).select("tpid", "dst", "m")
+        m = F.col("m")
+        first = partial(m).alias("m")
+        local = near.withColumn("m", message).groupBy("pid", "tpid", "dst").agg(first).select("tpid", "dst", "m")
         if far is not None:
-            local = local.unionByName(far.withColumn("m", message).groupBy("tpid", "dst").agg(partial(F.col("m")).alias("m")))
-        boxes = local.repartition(self.partitions, "tpid").groupBy("tpid", "dst").agg(final(F.col("m")).alias("msg"))
-        return boxes.select(F.col("tpid").alias("pid"), F.col("dst").alias("id"), "msg")
+            local = local.unionByName(far.withColumn("m", message).groupBy("tpid", "dst").agg(first))
+        boxes = local.repartition(self.partitions, "tpid").groupBy("tpid", "dst").agg(final(m).alias("msg"))
+        return boxes.selectExpr("tpid AS pid", "dst AS id", "msg")
 
     def reverse(self) -> Graph:
         """The graph with its edges turned around."""

@@ -22,7 +22,7 @@ def _message(graph: Graph, program: VertexProgram) -> Column:
 
 def push(senders: DataFrame, graph: Graph, program: VertexProgram, options: Options, probe: Observation | None = None) -> DataFrame:
     """Senders write to their out-neighbours' mailboxes."""
-    told = senders.select("pid", F.col("id").alias("src"), "payload")
+    told = senders.selectExpr("pid", "id AS src", "payload")
     if options.combine:
         return graph.mail(told, _message(graph, program), program.combiner.partial, program.combiner.final)
     near, far = graph.sent(told)
@@ -66,7 +66,7 @@ def _queued(mail: DataFrame, options: Options) -> DataFrame:
 def pull(senders: DataFrame, graph: Graph, program: VertexProgram, options: Options, probe: Observation | None = None) -> DataFrame:
     """Receivers read the one stored payload of each in-neighbour: a payload
     goes once to every partition that holds a neighbour, and is read there."""
-    routed = senders.select("pid", F.col("id").alias("src"), "payload").join(graph.routes, ["pid", "src"])
+    routed = senders.selectExpr("pid", "id AS src", "payload").join(graph.routes, ["pid", "src"])
     outboxes = routed.select("tpid", "src", "payload").repartition(graph.partitions, "tpid")
     return _read(graph.edges_in.join(outboxes, ["tpid", "src"], "left"), graph, program, options, probe)
 
@@ -82,13 +82,13 @@ def pull_addressed(senders: DataFrame, graph: Graph, program: VertexProgram, opt
 def _read(read: DataFrame, graph: Graph, program: VertexProgram, options: Options, probe: Observation | None) -> DataFrame:
     """Mailboxes from every in-edge and the payload found for it, or none."""
     if probe is not None:
-        read = read.observe(probe, F.count(F.lit(1)).alias("probes"), F.count_if(F.col("payload").isNull()).alias("wasted_probes"))
+        read = read.observe(probe, F.expr("count(1) AS probes"), F.expr("count_if(payload IS NULL) AS wasted_probes"))
     mail = read.where("payload is not null").select("tpid", "src", "dst", _message(graph, program).alias("m"))
     if not options.combine:
         return _queued(mail, options)
     partial = mail.groupBy("tpid", "dst").agg(program.combiner.partial(F.col("m")).alias("m"))
     boxes = partial.groupBy("tpid", "dst").agg(program.combiner.final(F.col("m")).alias("msg"))
-    return boxes.select(F.col("tpid").alias("pid"), F.col("dst").alias("id"), "msg")
+    return boxes.selectExpr("tpid AS pid", "dst AS id", "msg")
 
 
 FORMS = {"push": push, "pull": pull, "pull_addressed": pull_addressed}

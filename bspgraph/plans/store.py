@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
 
 from .checkpoints import cut, drop
 
@@ -26,11 +25,10 @@ class Store:
     def over(self, rows: DataFrame) -> DataFrame:
         """``rows`` of the base with the newest value and status of each."""
         for delta, _ in self._deltas:
-            newer = delta.select("pid", "id", F.col("value").alias("newer_value"), F.col("halted").alias("newer_halted"), F.lit(True).alias("is_newer"))
+            newer = delta.selectExpr("pid", "id", "value AS newer_value", "halted AS newer_halted", "true AS is_newer")
             rows = rows.join(newer, ["pid", "id"], "left")
-            for c in ("value", "halted"):
-                rows = rows.withColumn(c, F.when(F.col("is_newer"), F.col(f"newer_{c}")).otherwise(F.col(c)))
-            rows = rows.drop("newer_value", "newer_halted", "is_newer")
+            newest = {c: f"CASE WHEN is_newer THEN newer_{c} ELSE {c} END AS {c}" for c in ("value", "halted")}
+            rows = rows.selectExpr(*[newest.get(c, f"`{c}`") for c in rows.columns if c not in ("newer_value", "newer_halted", "is_newer")])
         return rows
 
     @property
