@@ -39,14 +39,11 @@ from .common import Shared, map_rows
 VOCABULARY = "byte_bpe_50k.json"
 
 #: Pieces in the lexicon: bounds its file, not what is encoded.
-LEXICON_PIECES = 120_000
+LEXICON_PIECES = 100_000
 
-#: Words longer than this are not counted, pieces longer not remembered.
+#: Words longer than this are not counted, pieces longer not looked up.
 LONGEST_WORD = 64
 
-#: Pieces that a worker remembers before it starts anew.
-REMEMBERED = 400_000
-
 _SPACE = r"\t\n\x0b\x0c\r\x20\x85\xa0" + "".join(map(chr, [0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000]))
 PIECES = regex.compile(
     rf"'s|'t|'re|'ve|'m|'ll|'d| ?\p{{L}}+| ?\p{{N}}+| ?[^{_SPACE}\p{{L}}\p{{N}}]+|[{_SPACE}]+(?![^{_SPACE}])|[{_SPACE}]+"
@@ -224,7 +221,8 @@ class Lexicon:
 
 
 class Pieces(dict):
-    """Piece -> its ids as decimal text; computed on first use, bounded."""
+    """Piece -> its ids as decimal text.  What the lexicon answers is remembered,
+    no more than its pieces; the rest is merged each time it is met."""
 
     def __init__(self, lexicon: Lexicon | None, merges: Merges):
         super().__init__()
@@ -233,13 +231,9 @@ class Pieces(dict):
     def __missing__(self, piece: str) -> str:
         raw = piece.encode()
         ids = self._lexicon.get(raw) if self._lexicon and len(raw) <= LONGEST_WORD else None
-        if ids is None:
-            ids = self._merges.merge(raw)
-        if len(self) >= REMEMBERED:
-            self.clear()
-        text = ",".join(map(str, ids))
-        if len(raw) <= LONGEST_WORD:
-            self[piece] = text
+        if ids is None:  # rare: not worth the memory
+            return ",".join(map(str, self._merges.merge(raw)))
+        text = self[piece] = ",".join(map(str, ids))
         return text
 
 

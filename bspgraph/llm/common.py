@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import ctypes
+import gc
 import uuid
 from collections.abc import Callable, Iterator
 
@@ -116,6 +118,15 @@ def sampled_texts(docs: DataFrame, chosen: DataFrame, on: list[str]) -> DataFram
     return rows.groupBy(*columns).agg(F.min("text").alias("text")).select(*columns, "text")
 
 
+def release() -> None:
+    """Give freed memory back to the system, where the allocator can."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim is not None:
+        trim(0)
+
+
 class Shared:
     """A value sent to the workers once; each worker builds its tool from it once."""
 
@@ -127,6 +138,7 @@ class Shared:
     def get(self):
         if self._key not in Shared._built:
             Shared._built.clear()  # the tools of earlier jobs are not needed again
+            release()
             Shared._built[self._key] = self._build(self._value.value)
         return Shared._built[self._key]
 

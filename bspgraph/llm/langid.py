@@ -37,10 +37,10 @@ SMOOTHING = 0.2
 WORDS = re.compile(r"[^\W\d_]+")
 
 #: Counted words that are cut up at once.
-WORDS_AT_ONCE = 20_000
+WORDS_AT_ONCE = 4_000
 
 #: Unseen words whose scores a worker remembers.
-REMEMBERED = 200_000
+REMEMBERED = 20_000
 
 
 def grams(word: str, n: int) -> list[str]:
