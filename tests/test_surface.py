@@ -13,7 +13,7 @@ from bspgraph.options import Options
 from bspgraph.sources import edgelist, files
 from bspgraph.streaming import incremental, windows
 
-FAST = ["pr_async_ten_geo", "pr_reference_form_geo", "ledger_sssp_chain", "ledger_cc_chain", "bypass_work", "cc_subset_push_stars", "cc_subset_pull_stars", "sssp_subset_push_links", "sssp_subset_pull_links", "pr_subset_links", "pr_links", "pr_links_directed", "pr_links_spread", "cc_geo", "cc_twins", "sssp_geo", "pr_hardcoded_supply", "sssp_weighted_trade", "cc_sizes_stars"]
+FAST = ["pr_async_ten_geo", "pr_reference_form_geo", "cc_subset_push_stars", "cc_subset_pull_stars", "sssp_subset_push_links", "sssp_subset_pull_links", "pr_subset_links", "pr_links", "pr_links_directed", "pr_links_spread", "cc_geo", "cc_twins", "sssp_geo", "pr_hardcoded_supply", "sssp_weighted_trade", "cc_sizes_stars"]
 
 
 @pytest.mark.parametrize("name", FAST + [n for t in (measures.QUERIES, windows.QUERIES) for n, (_, q) in t.items() if q])
