@@ -53,8 +53,8 @@ def chain_stream(events: DataFrame, late: str = LATE) -> DataFrame:
     (event_id, user_id, ts).
 
     Events are held until the watermark, ``late`` behind the newest, has passed
-    them, so events that come out of order are chained in order; later ones are
-    dropped.  The state of a user is the last event chained and those held.
+    them, so events that come out of order are chained in order; one that comes
+    after a later event was chained is dropped.  The state of a user is the last event chained and those held.
     """
 
     def step(key, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
