@@ -50,7 +50,18 @@ def shared_folder(spark: SparkSession) -> str:
 def cut(df: DataFrame) -> DataFrame:
     """Write ``df`` to the shared folder; partitioning and order are kept."""
     shared_folder(df.sparkSession)
-    return df.checkpoint(eager=True)
+    return _unsized(df.checkpoint(eager=True))
+
+
+def _unsized(df: DataFrame) -> DataFrame:
+    """A checkpointed frame without an estimate of its size.  Spark hands on the
+    estimate of the plan that made it, for a join the product of both sides; from
+    cut to cut of a loop that number doubles its digits, until planning ends in it."""
+    spark, leaf = df.sparkSession, df._jdf.queryExecution().analyzed()
+    jvm, none = spark.sparkContext._jvm, spark.sparkContext._jvm.scala.Option.empty()
+    sql = jvm.org.apache.spark.sql
+    plan = sql.execution.LogicalRDD(leaf.output(), leaf.rdd(), leaf.outputPartitioning(), leaf.outputOrdering(), False, none, spark._jsparkSession, none, none)
+    return DataFrame(sql.classic.Dataset.ofRows(spark._jsparkSession, plan), spark)
 
 
 def drop(*frames: DataFrame | None) -> None:
