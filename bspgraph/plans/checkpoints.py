@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import contextlib
+import gc
 import re
 import tempfile
 
@@ -48,7 +49,8 @@ def shared_folder(spark: SparkSession) -> str:
 
 
 def cut(df: DataFrame) -> DataFrame:
-    """Write ``df`` to the shared folder; partitioning and order are kept."""
+    """Write ``df`` to the shared folder; partitioning and order are kept.  The files
+    stay until they are dropped or no frame that reads them is left."""
     shared_folder(df.sparkSession)
     return _unsized(df.checkpoint(eager=True))
 
@@ -59,11 +61,21 @@ def _unsized(df: DataFrame) -> DataFrame:
     cut to cut of a loop that number doubles its digits, until planning ends in it."""
     spark, leaf = df.sparkSession, df._jdf.queryExecution().analyzed()
     jvm, none = spark.sparkContext._jvm, spark.sparkContext._jvm.scala.Option.empty()
+    cleaner = spark.sparkContext._jsc.sc().cleaner()
+    if cleaner.isDefined():
+        kept = leaf.rdd().checkpointData().get()
+        cleaner.get().registerRDDCheckpointDataForCleanup(kept.checkpointRDD().get(), leaf.rdd().id())
     sql = jvm.org.apache.spark.sql
     plan = sql.execution.LogicalRDD(leaf.output(), leaf.rdd(), leaf.outputPartitioning(), leaf.outputOrdering(), False, none, spark._jsparkSession, none, none)
     return DataFrame(sql.classic.Dataset.ofRows(spark._jsparkSession, plan), spark)
 
 
+def release(spark: SparkSession) -> None:
+    """Have Spark's cleaner delete the files of cut frames that nothing refers to."""
+    gc.collect()
+    spark.sparkContext._jvm.java.lang.System.gc()
+
+
 def drop(*frames: DataFrame | None) -> None:
     """Delete the files of frames that ``cut`` returned and nobody reads again."""
     for df in frames:

@@ -11,6 +11,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .graph import Graph
+from .plans.checkpoints import release
 from .shipping import ship
 
 PART, SUPPLIER, CUSTOMER, ORDER, NATION, REGION, PAGE, LINK = range(8)
@@ -144,24 +145,13 @@ def similar(spark, sf_dir, least: float = 0.3):
 
 BUILDERS = {f.__name__: f for f in (links, stars, geo, chain, supply, trade, basket, talk, twins, similar)}
 
-_built: dict[tuple, Graph] = {}
-
-
-def _stamp(spark: SparkSession, sf_dir: str) -> tuple:
-    """Names, sizes and times of the tables, to see whether they changed."""
-    jvm = spark.sparkContext._jvm
-    where = jvm.org.apache.hadoop.fs.Path(sf_dir)
-    found = where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).listStatus(where)
-    return tuple(sorted((f.getPath().getName(), f.getLen(), f.getModificationTime()) for f in found))
-
 
 def graph(spark: SparkSession, sf_dir: str, name: str, directed: bool = False, weighted: bool = False) -> Graph:
-    """A graph by name, pinned once per application and state of the tables."""
-    key = (spark.sparkContext.applicationId, sf_dir, _stamp(spark, sf_dir), name, directed, weighted)
-    if key not in _built:
-        edges = trade_weighted(spark, sf_dir) if weighted else BUILDERS[name](spark, sf_dir)
-        _built[key] = Graph.from_edges(edges, directed=directed, weight="weight" if weighted else None)
-    return _built[key]
+    """A graph by name, made from its tables each time it is asked for.  The files of
+    graphs that nobody holds any more go first."""
+    release(spark)
+    edges = trade_weighted(spark, sf_dir) if weighted else BUILDERS[name](spark, sf_dir)
+    return Graph.from_edges(edges, directed=directed, weight="weight" if weighted else None)
 
 
 def source_of(g: Graph) -> int:

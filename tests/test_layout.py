@@ -2,12 +2,13 @@
 
 import os
 import random
+import time
 
 import pytest
 from pyspark import StorageLevel
 from pyspark.sql import functions as F
 
-from bspgraph import workloads
+from bspgraph import registry, workloads
 from bspgraph.algorithms import ConnectedComponents, PageRank, ShortestPaths, connected_components, pagerank, sssp
 from bspgraph.algorithms.pagerank import pagerank_converged
 from bspgraph.baselines import asynchronous, subset
@@ -256,3 +257,28 @@ def test_cuts_forget_the_estimates_of_the_plans_that_made_them(spark):
         df = checkpoints.cut(df.join(df.select("id", F.col("v").alias("w")), "id").select("id", F.least("v", "w").alias("v")))
     assert df.count() == 8
     assert df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes() < 2**64
+
+
+def test_queries_read_their_tables_every_time(spark, sf, monkeypatch):
+    read, plain = [], workloads.table
+    monkeypatch.setattr(workloads, "table", lambda s, d, name: read.append(name) or plain(s, d, name))
+    for name, tables in (("cc_supply", {"lineitem"}), ("cc_supply", {"lineitem"}), ("combine_avg", {"lineitem"}), ("agreement_cc", {"customer", "supplier", "nation"})):
+        read.clear()
+        registry.QUERIES[name](spark, sf)
+        assert set(read) == tables, name
+
+
+def test_files_of_frames_that_nobody_holds_are_deleted(spark):
+    df = cut(spark.range(5))
+    held = df.where("id > 2")
+    path = df._jdf.queryExecution().analyzed().rdd().getCheckpointFile().get().removeprefix("file:")
+    del df
+    checkpoints.release(spark)
+    assert os.path.exists(path) and held.count() == 2
+    del held
+    for _ in range(50):
+        checkpoints.release(spark)
+        if not os.path.exists(path):
+            break
+        time.sleep(0.2)
+    assert not os.path.exists(path)
