@@ -85,7 +85,26 @@ def map_rows(df: DataFrame, kernel: Callable[[pa.RecordBatch], dict], schema: st
             columns = kernel(part)
             yield pa.RecordBatch.from_arrays([pa.array(columns[f.name], type=f.type) for f in arrow], schema=arrow)
 
-    return df.mapInArrow(run, schema)
+    mapped = df.mapInArrow(run, schema)
+    mapped.made_of = df, run
+    return mapped
+
+
+def map_mapped(df: DataFrame, kernel: Callable[[pa.RecordBatch], dict], schema: str | StructType) -> DataFrame:
+    """``map_rows`` over a frame that ``map_rows`` returned, slice by slice in the same
+    worker: its rows do not go to the JVM and into a second worker between."""
+    from pyspark.sql.pandas.types import to_arrow_schema
+    from pyspark.sql.types import _parse_datatype_string
+
+    source, first = df.made_of
+    arrow = to_arrow_schema(_parse_datatype_string(schema) if isinstance(schema, str) else schema)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for part in first(batches):
+            columns = kernel(part)
+            yield pa.RecordBatch.from_arrays([pa.array(columns[f.name], type=f.type) for f in arrow], schema=arrow)
+
+    return source.mapInArrow(run, schema)
 
 
 def bounded_sample(labelled: DataFrame, keys: list[str], most: int) -> DataFrame:

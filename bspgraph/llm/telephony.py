@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_rows
+from .common import map_mapped, map_rows
 
 FRAME = 192
 TAIL = 16
@@ -274,4 +274,4 @@ def audio_report(docs: DataFrame) -> DataFrame:
         return {"doc_id": batch.column(0), **out}
 
     schema = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"
-    return map_rows(store_audio(docs), kernel, schema)
+    return map_mapped(store_audio(docs), kernel, schema)

@@ -73,3 +73,9 @@ def test_telephony_digest_is_of_the_stored_columns(spark, monkeypatch):
         media, pcm = bytes(stored[r.doc_id].media), bytes(stored[r.doc_id].pcm)
         assert (r.media_bytes, r.media_sha256) == (len(media), hashlib.sha256(media).hexdigest())
         assert int(r.feature.split(",")[-1]) == zlib.crc32(telephony.read_wave(pcm)[2])
+
+
+def test_telephony_needs_one_worker_a_task(spark):
+    docs = spark.createDataFrame([(1, "a" * 500), (2, None)], "doc_id long, text string")
+    plan = telephony.audio_report(docs)._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("MapInArrow") == 1
