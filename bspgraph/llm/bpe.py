@@ -44,6 +44,9 @@ LEXICON_PIECES = 100_000
 #: Words longer than this are not counted, pieces longer not looked up.
 LONGEST_WORD = 64
 
+#: First bytes of a word whose way is remembered, and how many ways at most.
+HEAD, MOST_HEADS = 5, 50_000
+
 _SPACE = r"\t\n\x0b\x0c\r\x20\x85\xa0" + "".join(map(chr, [0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000]))
 PIECES = regex.compile(
     rf"'s|'t|'re|'ve|'m|'ll|'d| ?\p{{L}}+| ?\p{{N}}+| ?[^{_SPACE}\p{{L}}\p{{N}}]+|[{_SPACE}]+(?![^{_SPACE}])|[{_SPACE}]+"
@@ -88,7 +91,7 @@ class Merges:
         ``pairs`` holds rank and new id in one number, so the least of the
         waiting pairs is the next merge, and only its two neighbours change.
         """
-        ids = [self.single[b] for b in piece]
+        ids = [*map(self.single.__getitem__, piece)]
         if len(ids) > 48:
             return self._merge_long(ids)
         get, none = self.pairs.get, _NO_PAIR
@@ -206,17 +209,34 @@ class Lexicon:
         self._finals = 20 + 4 * count
         self._labels = self._finals + states
         self.states = states
+        self._heads: dict[bytes, tuple[int, int] | None] = {}
 
-    def get(self, word: bytes) -> list[int] | None:
-        """The ids of a word, or None if the lexicon lacks it."""
-        state, place, labels = self._root, 0, self._labels
-        find, starts = self._map.find, self._starts
-        for i in range(len(word)):
+    def _walk(self, word: bytes, begin: int, state: int, place: int) -> tuple[int, int] | None:
+        """State and place after the bytes from ``begin`` on, or None without a path."""
+        find, labels, starts, outputs, targets = self._map.find, self._labels, self._starts, self._outputs, self._targets
+        for i in range(begin, len(word)):
             edge = find(word[i : i + 1], labels + starts[state], labels + starts[state + 1]) - labels
             if edge < 0:
                 return None
-            place += self._outputs[edge]
-            state = self._targets[edge]
+            place += outputs[edge]
+            state = targets[edge]
+        return state, place
+
+    def get(self, word: bytes) -> list[int] | None:
+        """The ids of a word, or None if the lexicon lacks it.  Where the first bytes
+        lead is remembered, most words begin alike."""
+        head = word[:HEAD]
+        if head in self._heads:
+            found = self._heads[head]
+        else:
+            found = self._walk(head, 0, self._root, 0)
+            if len(self._heads) < MOST_HEADS:
+                self._heads[head] = found
+        if found is not None and len(word) > HEAD:
+            found = self._walk(word, HEAD, *found)
+        if found is None:
+            return None
+        state, place = found
         return self._ids[self._ends[place] : self._ends[place + 1]].tolist() if self._map[self._finals + state] else None
 
 

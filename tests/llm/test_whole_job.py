@@ -10,7 +10,7 @@ from collections import Counter
 sys.path.insert(0, os.path.dirname(__file__))
 import reference  # noqa: E402
 
-from bspgraph.llm import exactdup, linededup, pii, telephony  # noqa: E402
+from bspgraph.llm import bpe, exactdup, linededup, pii, telephony  # noqa: E402
 
 
 def test_account_numbers_in_prose_and_long_secrets(spark):
@@ -79,3 +79,16 @@ def test_telephony_needs_one_worker_a_task(spark):
     docs = spark.createDataFrame([(1, "a" * 500), (2, None)], "doc_id long, text string")
     plan = telephony.audio_report(docs)._jdf.queryExecution().optimizedPlan().toString()
     assert plan.count("MapInArrow") == 1
+
+
+def test_lexicon_remembers_where_words_begin(tmp_path, monkeypatch):
+    """Words that begin alike share the way; beyond the bound nothing is remembered."""
+    entries = {w: (i, i + 1) for i, w in enumerate(sorted([b"a", b"abcde", b"abcdefg", b"abcdehi", b"xyzuvw", b"xyz"]))}
+    (tmp_path / "lexicon.bin").write_bytes(bpe.compile_lexicon(entries))
+    for most, kept in ((0, 0), (1, 1), (100, 6)):
+        monkeypatch.setattr(bpe, "MOST_HEADS", most)
+        lexicon = bpe.Lexicon(str(tmp_path / "lexicon.bin"))
+        for _ in range(2):
+            for w in [*entries, b"", b"ab", b"abcdef", b"abcdx", b"xyzuvwx"]:
+                assert lexicon.get(w) == (list(entries[w]) if w in entries else None), w
+        assert len(lexicon._heads) == (most if kept <= 1 else len({w[: bpe.HEAD] for w in [*entries, b"", b"ab", b"abcdef", b"abcdx", b"xyzuvwx"]}))
