@@ -8,10 +8,11 @@ import uuid
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, Observation, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
+from ..plans import checkpoints
 from ..plans.checkpoints import shared_folder
 from ..shipping import ship
 
@@ -47,6 +48,22 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def counted(df: DataFrame, *more: Column) -> tuple[DataFrame, dict]:
+    """``df`` cut, and its number of ``rows`` with ``more`` aggregates by name, seen
+    by the job that writes it: a count of its own would be one more job, whose
+    plan and tasks the driver keeps.  In loops, sizes guessed for the plans before
+    are not handed on."""
+    seen = Observation()
+    out = checkpoints.cut(df.observe(seen, F.count(F.lit(1)).alias("rows"), *more))
+    return out, seen.get
+
+
+def small_cut(df: DataFrame) -> DataFrame:
+    """``df`` cut, with a broadcast hint if its rows are few."""
+    out, seen = counted(df)
+    return small(out, seen["rows"])
+
+
 def small(df: DataFrame, rows: int, most: int = BROADCAST_ROWS) -> DataFrame:
     """A broadcast hint if the counted ``rows`` are few, else ``df`` itself."""
     return F.broadcast(df) if rows <= most else df

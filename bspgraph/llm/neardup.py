@@ -37,7 +37,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, map_batches, map_rows, small
+from .common import counted, cut, map_batches, map_rows, small, small_cut
 from .components import connected
 from .superminhash import band_keys, shingles, signatures, similar
 
@@ -182,12 +182,12 @@ def _star_links(rows: DataFrame, shared: DataFrame, percent: int, chunk_docs: in
     """Exact links (a, b) of bucket members to their pivots."""
     pairs = cut(shared.where("node <> pivot").select("node", "pivot").distinct())
     wide = pairs.groupBy("pivot").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > chunk_docs)
-    wide = cut(wide.select("pivot", F.ceil(F.col("n") / chunk_docs).alias("chunks")))
+    wide = small_cut(wide.select("pivot", F.ceil(F.col("n") / chunk_docs).alias("chunks")))
     salt = F.pmod(F.xxhash64("node"), F.coalesce("chunks", F.lit(1))).cast("int")
-    members = pairs.join(small(wide, wide.count()), "pivot", "left").select("pivot", salt.alias("salt"), F.lit(1).alias("member"), "node")
+    members = pairs.join(wide, "pivot", "left").select("pivot", salt.alias("salt"), F.lit(1).alias("member"), "node")
     units = members.select("pivot", "salt", F.lit(0).alias("member"), F.col("pivot").alias("node")).distinct()
-    tasks = cut(members.unionByName(units).withColumnRenamed("node", "doc_id"))
-    chosen = rows.join(small(tasks, tasks.count()), "doc_id").select("pivot", "salt", "member", "doc_id", "text")
+    tasks = small_cut(members.unionByName(units).withColumnRenamed("node", "doc_id"))
+    chosen = rows.join(tasks, "doc_id").select("pivot", "salt", "member", "doc_id", "text")
     sets = map_rows(chosen, _sets, "pivot long, salt int, member int, doc_id long, found binary")
     dealt = sets.repartition("pivot", "salt").sortWithinPartitions("pivot", "salt", "member", "doc_id")
     return cut(map_batches(dealt, _meet_pivot(percent), "a long, b long"))
@@ -195,10 +195,10 @@ def _star_links(rows: DataFrame, shared: DataFrame, percent: int, chunk_docs: in
 
 def _rest_links(rows: DataFrame, shared: DataFrame, classes: DataFrame, percent: int, chunk_docs: int, chunk_shingles: int) -> DataFrame | None:
     """Links of members that neither are a pivot nor share a class; None if
-    there are no such members."""
+    there are none."""
     others = shared.where("node <> pivot").select("key", "node", "n")
     label = F.coalesce("component", "node").alias("label")
-    others = others.join(small(classes, classes.count()), "node", "left").select("key", "node", "n", label)
+    others = others.join(classes, "node", "left").select("key", "node", "n", label)
     sized = others.groupBy("key", "label").agg(F.count(F.lit(1)).alias("docs"), F.sum("n").alias("n"), F.bit_xor(F.xxhash64("node")).alias("mark"))
     torn = sized.groupBy("key").agg(
         F.max(F.struct("docs", "label", "n")).alias("top"), F.sum("docs").alias("docs"), F.sum("n").alias("n"), F.bit_xor("mark").alias("mark"), F.count(F.lit(1)).alias("labels")
@@ -212,21 +212,21 @@ def _rest_links(rows: DataFrame, shared: DataFrame, classes: DataFrame, percent:
         parts(F.col("docs"), F.col("n")).alias("chunks"),
         parts(F.col("docs") - F.col("one.top.docs"), F.col("n") - F.col("one.top.n")).alias("groups"),
     )
-    torn = cut(torn)
-    count = torn.count()
-    if not count:
+    torn, seen = counted(torn)
+    if not seen["rows"]:
         return None
-    inside = others.join(small(torn, count), "key")
+    inside = others.join(small(torn, seen["rows"]), "key")
     every = lambda k: F.explode(F.sequence(F.lit(0), F.col(k) - 1))
     in_group, in_chunk = F.pmod(F.xxhash64("node", F.lit(1)), F.col("groups")).cast("int"), F.pmod(F.xxhash64("node"), F.col("chunks")).cast("int")
     opened = inside.where("label <> largest").select("key", in_group.alias("g"), every("chunks").alias("c"), F.col("node").alias("doc_id"))
     faced = inside.select("key", every("groups").alias("g"), in_chunk.alias("c"), F.col("node").alias("doc_id"))
-    tasks = cut(opened.unionByName(faced).distinct())
-    chosen = rows.join(small(tasks, tasks.count()), "doc_id").select("key", "g", "c", "doc_id", "text")
+    tasks = small_cut(opened.unionByName(faced).distinct())
+    chosen = rows.join(tasks, "doc_id").select("key", "g", "c", "doc_id", "text")
     sets = map_rows(chosen, _sets, "key long, g int, c int, doc_id long, found binary")
     units = ("key", "g", "c")
     dealt = sets.repartition(*units).sortWithinPartitions(*units, "doc_id")
-    return cut(map_batches(dealt, _meet_chunk(percent), "a long, b long"))
+    more, seen = counted(map_batches(dealt, _meet_chunk(percent), "a long, b long"))
+    return more if seen["rows"] else None
 
 
 def near_duplicates(
@@ -243,14 +243,14 @@ def near_duplicates(
     buckets = members.groupBy("key").agg(F.min("node").alias("pivot"), F.max("node").alias("last")).where("pivot < last").drop("last")
     shared = cut(members.join(buckets, "key"))
     links = _star_links(rows, shared, percent, chunk_docs)
-    classes = cut(connected(links))
+    classes = small_cut(connected(links))
     more = _rest_links(rows, shared, classes, percent, chunk_docs, chunk_shingles)
-    if more is not None and not more.isEmpty():
+    if more is not None:
         classes = connected(links.unionByName(more))
 
     known = folded.join(classes, "node", "left").where("copies > 1 or component is not null")
-    known = cut(known.select("n", "high", "low", F.coalesce("component", "node").alias("component")))
-    out = features.join(small(known, known.count()), ["n", "high", "low"], "left")
+    known = small_cut(known.select("n", "high", "low", F.coalesce("component", "node").alias("component")))
+    out = features.join(known, ["n", "high", "low"], "left")
     component = F.when(F.col("doc_id").isNotNull(), F.coalesce("component", "doc_id"))
     return out.select(
         "doc_id", F.col("n").alias("n_shingles"), component.alias("component_id"), component.eqNullSafe(F.col("doc_id")).alias("kept")
@@ -259,5 +259,5 @@ def near_duplicates(
 
 def keep_one(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     """The rows of ``docs`` without those that near-copy a lesser doc_id."""
-    gone = cut(near_duplicates(docs, percent).where("not kept").select("doc_id").distinct())
-    return docs.join(small(gone, gone.count()), "doc_id", "left_anti").select(docs.columns)
+    gone = small_cut(near_duplicates(docs, percent).where("not kept").select("doc_id").distinct())
+    return docs.join(gone, "doc_id", "left_anti").select(docs.columns)

@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 sys.path.insert(0, os.path.dirname(__file__))
 import reference  # noqa: E402
 
-from bspgraph.llm import bpe, common, exactdup, langid, linededup, mixing, neardup, pii, quality, queries, telephony, toxicity  # noqa: E402
+from bspgraph.llm import bpe, common, components, exactdup, langid, linededup, mixing, neardup, pii, quality, queries, telephony, toxicity  # noqa: E402
 
 LINE = "  This LINE is long enough and is repeated in many of them \t"
 HARD = [
@@ -134,6 +134,33 @@ def test_blocks_lose_no_link():
     assert label == want
 
 
+def jobs_of(spark, name, made):
+    """The rows of a frame that is made and collected, and the jobs it took."""
+    spark.sparkContext.setJobGroup(name, name)
+    rows = made().collect()
+    spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+    return rows, len(spark.sparkContext.statusTracker().getJobIdsForGroup(name))
+
+
+def test_links_are_united_in_few_jobs(spark):
+    pairs = [(i, i + 1) for i in range(100, 160)] + [(7, i) for i in range(200, 260)] + [(3, 3), (259, 9), (161, 300), (300, 160)]
+    links = spark.createDataFrame(pairs, "a long, b long")
+    want = {i: 100 for i in [*range(100, 162), 300]} | {i: 7 for i in [7, 9, *range(200, 260)]}
+    for few, most in ((len(pairs), 6), (0, 10_000)):
+        rows, jobs = jobs_of(spark, f"united-{few}", lambda: components.connected(links, few))
+        assert len(rows) == len(want) and {r.node: r.component for r in rows} == want
+        assert jobs <= most
+    assert components.connected(links.limit(0)).collect() == []
+    assert components.connected(links.limit(0), few=-1).collect() == []
+
+
+def test_near_copies_are_found_in_few_jobs(spark, sf):
+    """The driver keeps the plan and the tasks of every job."""
+    docs = common.documents(spark, sf)
+    rows, jobs = jobs_of(spark, "near-copies", lambda: neardup.keep_one(docs))
+    assert rows and jobs <= 45
+
+
 def test_superminhash_estimates_similarity():
     import numpy as np
 
