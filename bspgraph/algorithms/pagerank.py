@@ -55,7 +55,7 @@ def _step(graph: Graph, state: DataFrame, damping: float, lost: float = 0.0) ->
     mail = graph.mail(told, F.col("share"), F.sum)
     n = float(max(1, graph.num_vertices))
     rank = (1 - damping) / n + damping * (F.coalesce("msg", F.lit(0.0)) + lost / n)
-    return state.join(mail, ["pid", "id"], "left").select("pid", "id", "out_degree", rank.alias("value"), F.col("value").alias("old"))
+    return state.join(mail, ["id", "pid"], "left").select("pid", "id", "out_degree", rank.alias("value"), F.col("value").alias("old"))
 
 
 def _start(graph: Graph) -> DataFrame:

@@ -92,7 +92,7 @@ def async_pagerank(
                 new = (1 - damping) / n + damping * F.coalesce("msg", F.lit(0.0))
                 mine = block("id") == b
                 moved = F.when(mine, F.abs(new - F.col("rank"))).alias("moved")
-                nxt = state.join(got, ["pid", "id"], "left").select("pid", "id", "out_degree", F.when(mine, new).otherwise(F.col("rank")).alias("rank"), "share", moved)
+                nxt = state.join(got, ["id", "pid"], "left").select("pid", "id", "out_degree", F.when(mine, new).otherwise(F.col("rank")).alias("rank"), "share", moved)
                 share = F.when(mine, F.try_divide("rank", "out_degree")).otherwise(F.col("share"))
                 seen = Observation()
                 before, made = made, cut(nxt.withColumn("share", share).observe(seen, F.coalesce(F.max("moved"), F.lit(0.0)).alias("change")))
@@ -127,7 +127,7 @@ def _monotone(graph: Graph, offered: Column, step: int, blocks: int, scheduler:
             told = taken.where(F.col("ran") & (F.col("value") < UNREACHED)).select("pid", F.col("id").alias("src"), "value")
             mail = kept.mail(told, F.col("value") + step, F.min)
             stands = F.when(F.col("msg") < F.col("value"), F.col("msg"))
-            nxt = taken.join(mail, ["pid", "id"], "left").select("pid", "id", "value", F.least("offer", stands).alias("offer"), "ran")
+            nxt = taken.join(mail, ["id", "pid"], "left").select("pid", "id", "value", F.least("offer", stands).alias("offer"), "ran")
             seen = Observation()
             before, made = made, cut(nxt.observe(seen, F.count_if(F.col("offer").isNotNull()).alias("waiting"), F.count_if("ran").alias("ran")))
             state = made.drop("ran")
@@ -195,7 +195,7 @@ def local_components(graph: Graph) -> DataFrame:
             found = [x.select("src", "dst", "label").mapInArrow(solve, "id long, label long") for x in (near, far) if x is not None]
             found = found[0] if len(found) == 1 else found[0].unionByName(found[1])
             best = found.select(place("id", graph.partitions).alias("pid"), "id", "label").repartition(graph.partitions, "pid").groupBy("pid", "id").agg(F.min("label").alias("new"))
-            joined = state.join(best, ["pid", "id"], "left")
+            joined = state.join(best, ["id", "pid"], "left")
             seen = Observation()
             lower = (F.coalesce("new", "label") < F.col("label")).alias("fell")
             before, made = made, cut(joined.select("pid", "id", F.least("label", "new").alias("label"), lower).observe(seen, F.count_if("fell").alias("fell")))

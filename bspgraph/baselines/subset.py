@@ -43,7 +43,7 @@ class VertexSubset:
         if self.is_dense:
             return self.rows
         flags = self.rows.select("pid", "id", F.lit(True).alias("inside"))
-        return graph.vertices.select("pid", "id").join(flags, ["pid", "id"], "left").withColumn("inside", F.coalesce("inside", F.lit(False)))
+        return graph.vertices.select("pid", "id").join(flags, ["id", "pid"], "left").withColumn("inside", F.coalesce("inside", F.lit(False)))
 
 
 @dataclass(frozen=True)
@@ -69,13 +69,13 @@ def edge_map(
     if subset.size + subset.out_edges <= threshold * graph.num_edges:
         got = graph.mail(told, F.col("v"), update.atomic)
         if targets is not None:
-            got = got.join(targets.select("pid", "id"), ["pid", "id"], "left_semi")
+            got = got.join(targets.select("pid", "id"), ["id", "pid"], "left_semi")
         return got.withColumnRenamed("msg", "got"), "push"
-    outboxes = told.join(graph.routes, ["pid", "src"]).select("tpid", "src", "v").repartition(graph.partitions, "tpid")
+    outboxes = told.join(graph.routes, ["src", "pid"]).select("tpid", "src", "v").repartition(graph.partitions, "tpid")
     edges = graph.edges_in
     if targets is not None:
-        edges = edges.join(targets.select(F.col("pid").alias("tpid"), F.col("id").alias("dst")), ["tpid", "dst"], "left_semi")
-    got = edges.join(outboxes, ["tpid", "src"]).groupBy("tpid", "dst").agg(update.plain(F.col("v")).alias("got"))
+        edges = edges.join(targets.select(F.col("pid").alias("tpid"), F.col("id").alias("dst")), ["dst", "tpid"], "left_semi")
+    got = edges.join(outboxes, ["src", "tpid"]).groupBy("dst", "tpid").agg(update.plain(F.col("v")).alias("got"))
     return got.select(F.col("tpid").alias("pid"), F.col("dst").alias("id"), "got"), "pull"
 
 
@@ -92,7 +92,7 @@ def subset_pagerank(graph: Graph, iterations: int = 10, damping: float = 0.85, t
         for _ in range(iterations):
             full = VertexSubset.everyone(graph, rows)
             sums, _way = edge_map(graph, full, F.try_divide("rank", "out_degree"), ADDITION, threshold=threshold)
-            nxt = VertexSubset(full.rows.drop("rank").join(sums, ["pid", "id"], "left"), full.size, full.out_edges, True)
+            nxt = VertexSubset(full.rows.drop("rank").join(sums, ["id", "pid"], "left"), full.size, full.out_edges, True)
             nxt = vertex_map(nxt, rank=(1 - damping) / n + damping * F.coalesce("got", F.lit(0.0)))
             before, made = made, cut(nxt.rows.drop("got", "inside"))
             rows = made
@@ -119,7 +119,7 @@ def _fall(graph: Graph, start: DataFrame, step: int, threshold: float, once: boo
                 ways.append(way)
             better = F.coalesce(F.col("got") < F.col("value"), F.lit(False))
             fallen = F.when(better, F.col("got")).otherwise(F.col("value"))
-            nxt = state.drop("fell").join(got, ["pid", "id"], "left").select("pid", "id", "out_degree", fallen.alias("value"), better.alias("fell"))
+            nxt = state.drop("fell").join(got, ["id", "pid"], "left").select("pid", "id", "out_degree", fallen.alias("value"), better.alias("fell"))
             seen = Observation()
             before, made = made, cut(nxt.observe(seen, *counted(F.col("fell"))))
             state = made

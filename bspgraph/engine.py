@@ -14,13 +14,13 @@ from __future__ import annotations
 import time
 from dataclasses import dataclass, field
 
-from pyspark.sql import DataFrame, Observation
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .graph import Graph
 from .options import Options, PullNotApplicable, SystematicHaltError
 from .plans import exchange, select
-from .plans.checkpoints import cut, drop, loop_settings
+from .plans.checkpoints import drop, loop_settings, pack
 from .plans.frontier import Frontier, uncompiled
 from .plans.lookup import rows_scanned
 from .plans.store import Store
@@ -153,28 +153,26 @@ class _Loop:
     def wide(self, number: int) -> dict:
         """A superstep over tables."""
         graph, program, options = self.graph, self.program, self.options
-        inbox, form, probe, reading = None, "none", None, None
+        inbox, form = None, "none"
         if number:
             single, sent, _ = self.sent(self.made)
             form = exchange.choose(options, self.rows[-1]["messages"], graph.num_edges)
-            probe = Observation() if form.startswith("pull") else None
+            probe = "probe" if form.startswith("pull") else None
             move = exchange.push_single if single else exchange.FORMS[form]
             inbox = move(self.made.where(sent), graph, program, options, probe)
         narrow = options.selection == "bypass" and number > 0 and (options.rebalance_active or 2 * self.rows[-1]["messages"] <= graph.num_vertices)
         if narrow:
-            reading = Observation()
-            base = self.store.base.observe(reading, F.expr("count(1) AS state_read"))
+            base = self.store.base.observe("reading", F.expr("count(1) AS state_read"))
             chosen = self.store.over(choose_vertices(base, inbox, program, options))
             if options.rebalance_active:
                 chosen = select.rebalanced(chosen, graph.partitions)
         else:
             chosen = choose_vertices(self.store.current, inbox, program, options, "receivers" if options.selection == "bypass" else None)
-        seen = Observation()
         planned = take_turns(chosen, graph, program, options, number)
         _, sent, mails = self.sent(planned)
-        planned = cut(
+        planned, seen = pack(
             planned.observe(
-                seen,
+                "seen",
                 *map(
                     F.expr,
                     (
@@ -188,19 +186,19 @@ class _Loop:
                 ),
             )
         )
-        row = {k: int(v) for k, v in seen.get.items()}
+        row = {k: int(v) for k, v in seen.items() if k not in ("probes", "wasted_probes", "state_read")}
         if options.selection == "none":
             row["checked"] = row["ran"]
         row |= {"probes": 0, "wasted_probes": 0, "edges_read": 0, "partitions": 0, "largest": 0, "state_read": row["checked"], "form": form}
         row["state_written"] = row["ran"] if narrow else row["checked"]
-        row |= {k: int(v) for o in (probe, reading) if o is not None for k, v in o.get.items()}
+        row |= {k: int(v) for k, v in seen.items() if k in ("probes", "wasted_probes", "state_read")}
         if options.measure_balance:
             sizes = planned.where("ran").groupBy(F.spark_partition_id()).agg(F.count(F.lit(1)).alias("n"))
             found = sizes.agg(F.count(F.lit(1)), F.coalesce(F.max("n"), F.lit(0))).first()
             row |= {"partitions": found[0], "largest": found[1]}
         if narrow:
             if options.rebalance_active:  # back to the layout, the rows that ran alone
-                even, planned = planned, cut(planned.repartition(graph.partitions, "pid").sortWithinPartitions("pid", "id"))
+                even, (planned, _) = planned, pack(planned.repartition(graph.partitions, "pid").sortWithinPartitions("id", "pid"))
                 drop(even)
             self.store.add(planned, row["ran"])
         else:

@@ -21,7 +21,7 @@ from pyspark.sql import Column, DataFrame, Observation
 from pyspark.sql import functions as F
 
 from .options import EngineError
-from .plans.checkpoints import cut, loop_settings, shared_folder
+from .plans.checkpoints import cut, loop_settings, pack, shared_folder
 from .plans.layout import place
 from .plans.lookup import Lookup
 
@@ -96,18 +96,18 @@ class Graph:
             v = ends.groupBy("id").agg(F.sum("one").cast("long").alias("out_degree"))
             if extra:
                 v = v.join(vertices, "id", "left")
-            limit, seen = max(NO_HUB, num_edges // (HUBS * p)), Observation()
+            limit = max(NO_HUB, num_edges // (HUBS * p))
             v = v.select(place("id", p).alias("pid"), "id", "out_degree", *extra)
-            v = v.repartition(p, "pid").sortWithinPartitions("pid", "id")
-            v = cut(v.observe(seen, F.count(F.lit(1)).alias("n"), F.count_if(F.col("out_degree") > limit).alias("hubs")))
+            v = v.repartition(p, "pid").sortWithinPartitions("id", "pid")
+            v, seen = pack(v.observe("vertices", F.count(F.lit(1)).alias("n"), F.count_if(F.col("out_degree") > limit).alias("hubs")))
             hubs = v.where(F.col("out_degree") > limit).select(F.col("id").alias("src"))
             out = e.select(place("src", p).alias("pid"), "src", place("dst", p).alias("tpid"), "dst", *e.columns[2:])
             heavy = None
-            if seen.get["hubs"]:  # at most HUBS a partition
-                heavy = cut(out.join(F.broadcast(hubs), "src", "left_semi").repartition(p, "tpid").sortWithinPartitions("tpid", "src"))
+            if seen["hubs"]:  # at most HUBS a partition
+                heavy, _ = pack(out.join(F.broadcast(hubs), "src", "left_semi").repartition(p, "tpid").sortWithinPartitions("src", "tpid"))
                 out = out.join(F.broadcast(hubs), "src", "left_anti")
-            out = cut(out.repartition(p, "pid").sortWithinPartitions("pid", "src"))
-        return cls(out, heavy, v, p, num_edges, int(seen.get["n"]), directed, limit)
+            out, _ = pack(out.repartition(p, "pid").sortWithinPartitions("src", "pid"))
+        return cls(out, heavy, v, p, num_edges, int(seen["n"]), directed, limit)
 
     @property
     def edges(self) -> DataFrame:
@@ -119,26 +119,26 @@ class Graph:
         """The edges clustered by target and sorted by source, for pulling."""
         with loop_settings(self.spark):
             e = self.edges.select("tpid", "src", "dst", *(["weight"] if self.weighted else []))
-            return cut(e.repartition(self.partitions, "tpid").sortWithinPartitions("tpid", "src"))
+            return pack(e.repartition(self.partitions, "tpid").sortWithinPartitions("src", "tpid", "dst"))[0]
 
     @cached_property
     def routes(self) -> DataFrame:
         """To which partitions a broadcast of each vertex has to go."""
         with loop_settings(self.spark):
             e = self.edges.select("pid", "src", "tpid").distinct()
-            return cut(e.repartition(self.partitions, "pid").sortWithinPartitions("pid", "src"))
+            return pack(e.repartition(self.partitions, "pid").sortWithinPartitions("src", "pid"))[0]
 
     @cached_property
     def out_lookup(self) -> Lookup:
         """The edges as a table from which those of a few sources can be read."""
         with loop_settings(self.spark):
-            e = self.edges if self.heavy is None else self.edges.repartition(self.partitions, "pid").sortWithinPartitions("pid", "src")
+            e = self.edges if self.heavy is None else self.edges.repartition(self.partitions, "pid")
             return Lookup(e, "src", f"{shared_folder(self.spark)}/edges-{uuid.uuid4().hex}")
 
     def sent(self, senders: DataFrame) -> tuple[DataFrame, DataFrame | None]:
         """``senders`` (pid, src, and more) with their out-edges where these lie:
         of light ones in the senders' partitions, of hubs in the targets'."""
-        near = senders.join(self.light, ["pid", "src"])
+        near = senders.join(self.light, ["src", "pid"])
         if self.heavy is None:
             return near, None
         hubs = self.vertices.where(F.col("out_degree") > self.hub_degree).select(F.col("id").alias("src"))
@@ -159,8 +159,8 @@ class Graph:
         first = partial(m).alias("m")
         local = near.withColumn("m", message).groupBy("pid", "tpid", "dst").agg(first).select("tpid", "dst", "m")
         if far is not None:
-            local = local.unionByName(far.withColumn("m", message).groupBy("tpid", "dst").agg(first))
-        boxes = local.repartition(self.partitions, "tpid").groupBy("tpid", "dst").agg(final(m).alias("msg"))
+            local = local.unionByName(far.withColumn("m", message).groupBy("dst", "tpid").agg(first))
+        boxes = local.repartition(self.partitions, "tpid").groupBy("dst", "tpid").agg(final(m).alias("msg"))
         return boxes.selectExpr("tpid AS pid", "dst AS id", "msg")
 
     def reverse(self) -> Graph:
@@ -206,14 +206,14 @@ class Graph:
         hashed or merged again, and bucketed scans need no shuffle."""
         facts = {r["key"]: r["value"] for r in spark.sql(f"SHOW TBLPROPERTIES {table}_vertices").collect()}
         p, num_edges, directed = int(facts["bsp.partitions"]), int(facts["bsp.edges"]), facts["bsp.directed"] == "True"
-        limit, seen = max(NO_HUB, num_edges // (HUBS * p)), Observation()
+        limit = max(NO_HUB, num_edges // (HUBS * p))
         with loop_settings(spark):
-            v = spark.table(f"{table}_vertices").sortWithinPartitions("pid", "id")
-            v = cut(v.observe(seen, F.count(F.lit(1)).alias("n"), F.count_if(F.col("out_degree") > limit).alias("hubs")))
+            v = spark.table(f"{table}_vertices").sortWithinPartitions("id", "pid")
+            v, seen = pack(v.observe("vertices", F.count(F.lit(1)).alias("n"), F.count_if(F.col("out_degree") > limit).alias("hubs")))
             e, heavy = spark.table(f"{table}_edges"), None
-            if seen.get["hubs"]:
+            if seen["hubs"]:
                 hubs = v.where(F.col("out_degree") > limit).select(F.col("id").alias("src"))
-                heavy = cut(e.join(F.broadcast(hubs), "src", "left_semi").repartition(p, "tpid").sortWithinPartitions("tpid", "src"))
+                heavy, _ = pack(e.join(F.broadcast(hubs), "src", "left_semi").repartition(p, "tpid").sortWithinPartitions("src", "tpid"))
                 e = e.join(F.broadcast(hubs), "src", "left_anti")
-            light = cut(e.sortWithinPartitions("pid", "src"))
-        return cls(light, heavy, v, p, num_edges, int(seen.get["n"]), directed, limit)
+            light, _ = pack(e.sortWithinPartitions("src", "pid"))
+        return cls(light, heavy, v, p, num_edges, int(seen["n"]), directed, limit)

@@ -51,7 +51,7 @@ def join_senders_edges(s, d):
     """What a push makes: every sender's share on every out-edge, counted."""
     g = _g(s, d)
     senders = g.vertices.select("pid", F.col("id").alias("src"), "out_degree")
-    return g.edges.join(senders, ["pid", "src"]).groupBy(F.col("dst").alias("id")).agg(F.round(F.sum(F.try_divide(F.lit(1.0), "out_degree")), 9).alias("got"))
+    return g.edges.join(senders, ["src", "pid"]).groupBy(F.col("dst").alias("id")).agg(F.round(F.sum(F.try_divide(F.lit(1.0), "out_degree")), 9).alias("got"))
 
 
 def join_broadcast_frontier(s, d):

@@ -13,13 +13,15 @@ from pyspark.sql import DataFrame, SparkSession
 #: Settings of the superstep loop.  Adaptive execution would forget the layout
 #: of a checkpointed table; joins on (pid, id) may rely on pid alone; broadcasts
 #: are decided by the engine from counted sizes; lists of identifiers, which the
-#: engine bounds, are pushed into scans whole; buckets are read as buckets.
+#: engine bounds, are pushed into scans whole; buckets are read as buckets; queues
+#: are gathered from sorted mail, as hashing them would sort it all the same, twice.
 LOOP = {
     "spark.sql.adaptive.enabled": "false",
     "spark.sql.requireAllClusterKeysForCoPartition": "false",
     "spark.sql.autoBroadcastJoinThreshold": "-1",
     "spark.sql.parquet.pushdown.inFilterThreshold": "1024",
     "spark.sql.sources.bucketing.autoBucketedScan.enabled": "false",
+    "spark.sql.execution.useObjectHashAggregateExec": "false",
 }
 
 
@@ -70,6 +72,34 @@ def _unsized(df: DataFrame) -> DataFrame:
     return DataFrame(sql.classic.Dataset.ofRows(spark._jsparkSession, plan), spark)
 
 
+def pack(df: DataFrame) -> tuple[DataFrame, dict]:
+    """Write ``df`` to the shared folder as columns, and what it observed by name.
+    Partitioning and order are kept as with ``cut``, whose files hold one Java object
+    a row: a loop that reads its tables in every step spends most of its time on those.
+    The job is not an SQL execution, whose plan and metrics the driver would keep."""
+    shared_folder(df.sparkSession)
+    spark, done = df.sparkSession, df._jdf.queryExecution()
+    jvm, context, none = spark.sparkContext._jvm, spark.sparkContext._jsc.sc(), spark.sparkContext._jvm.scala.Option.empty()
+    sql, plan = jvm.org.apache.spark.sql, done.executedPlan()
+    columns, conf = plan.output(), spark._jsparkSession.sessionState().conf()
+    form = sql.execution.columnar.DefaultCachedBatchSerializer()
+    batches = form.convertInternalRowToCachedBatch(done.toRdd(), columns, spark.sparkContext._getJavaStorageLevel(StorageLevel.DISK_ONLY), conf)
+    batches.checkpoint()
+    batches.doCheckpoint()
+    if context.cleaner().isDefined():
+        context.cleaner().get().registerRDDCheckpointDataForCleanup(batches.checkpointData().get().checkpointRDD().get(), batches.id())
+    seen, named = {}, done.observedMetrics().valuesIterator()
+    while named.hasNext():
+        row = named.next()
+        seen |= dict(zip(row.schema().fieldNames(), (row.get(i) for i in range(row.size()))))
+    dealt = plan.outputPartitioning()
+    while dealt.getClass().getSimpleName() == "PartitioningCollection":
+        dealt = dealt.partitionings().head()
+    rows = form.convertCachedBatchToInternalRow(batches, columns, columns, conf)
+    leaf = sql.execution.LogicalRDD(columns, rows, dealt, plan.outputOrdering(), False, none, spark._jsparkSession, none, none)
+    return DataFrame(sql.classic.Dataset.ofRows(spark._jsparkSession, leaf), spark), seen
+
+
 def release(spark: SparkSession) -> None:
     """Have Spark's cleaner delete the files of cut frames that nothing refers to."""
     gc.collect()
@@ -77,7 +107,7 @@ def release(spark: SparkSession) -> None:
 
 
 def drop(*frames: DataFrame | None) -> None:
-    """Delete the files of frames that ``cut`` returned and nobody reads again."""
+    """Delete the files of frames that ``cut`` or ``pack`` returned and nobody reads again."""
     for df in frames:
         if df is None:
             continue
@@ -85,7 +115,10 @@ def drop(*frames: DataFrame | None) -> None:
         for i in range(leaves.size()):
             leaf = leaves.apply(i)
             if leaf.getClass().getSimpleName() == "LogicalRDD":
-                remove(df.sparkSession, leaf.rdd().getCheckpointFile())
+                rdd = leaf.rdd()
+                if not rdd.getCheckpointFile().isDefined() and rdd.dependencies().nonEmpty():  # columns lie below the rows
+                    rdd = rdd.dependencies().head().rdd()
+                remove(df.sparkSession, rdd.getCheckpointFile())
 
 
 def remove(spark: SparkSession, path) -> None:

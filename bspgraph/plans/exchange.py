@@ -2,12 +2,12 @@
 
 A mailbox table is ``(pid, id, msg)``, clustered by ``pid`` like the state.
 ``senders`` is the last state where a payload is set.  Pulling forms observe the
-outboxes that their join reads, and those found empty, in ``probe``.
+outboxes that their join reads, and those found empty, under the name ``probe``.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Observation, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..graph import Graph
@@ -20,7 +20,7 @@ def _message(graph: Graph, program: VertexProgram) -> Column:
     return program.on_edge(F.col("payload"), F.col("weight") if graph.weighted else None)
 
 
-def push(senders: DataFrame, graph: Graph, program: VertexProgram, options: Options, probe: Observation | None = None) -> DataFrame:
+def push(senders: DataFrame, graph: Graph, program: VertexProgram, options: Options, probe: str | None = None) -> DataFrame:
     """Senders write to their out-neighbours' mailboxes."""
     told = senders.selectExpr("pid", "id AS src", "payload")
     if options.combine:
@@ -30,7 +30,7 @@ def push(senders: DataFrame, graph: Graph, program: VertexProgram, options: Opti
     return _boxed(mail[0] if len(mail) == 1 else mail[0].unionByName(mail[1]), graph, program, options)
 
 
-def push_single(senders: DataFrame, graph: Graph, program: VertexProgram, options: Options, probe: Observation | None = None) -> DataFrame:
+def push_single(senders: DataFrame, graph: Graph, program: VertexProgram, options: Options, probe: str | None = None) -> DataFrame:
     """Payloads for single neighbours; those to unknown ids are dropped by the
     join with the state."""
     one = senders.select("pid", F.col("id").alias("src"), F.explode("sends").alias("s"))
@@ -43,7 +43,7 @@ def _boxed(mail: DataFrame, graph: Graph, program: VertexProgram, options: Optio
     """Mail (tpid, src, dst, m) where it is made, to mailboxes at the receivers."""
     if options.combine:
         local = mail.groupBy("pid", "tpid", "dst").agg(program.combiner.partial(F.col("m")).alias("m"))
-        boxes = local.repartition(graph.partitions, "tpid").groupBy("tpid", "dst").agg(program.combiner.final(F.col("m")).alias("msg"))
+        boxes = local.repartition(graph.partitions, "tpid").groupBy("dst", "tpid").agg(program.combiner.final(F.col("m")).alias("msg"))
         return boxes.select(F.col("tpid").alias("pid"), F.col("dst").alias("id"), "msg")
     return _queued(mail.select("tpid", "dst", "src", "m").repartition(graph.partitions, "tpid"), options)
 
@@ -55,39 +55,41 @@ def _queued(mail: DataFrame, options: Options) -> DataFrame:
     one = F.struct("src", F.col("m").alias("msg"))
     names = (F.col("tpid").alias("pid"), F.col("dst").alias("id"))
     if options.mailbox_limit is None:
-        boxes = mail.groupBy("tpid", "dst").agg(F.array_sort(F.collect_list(one)).alias("msg"))
+        boxes = mail.groupBy("dst", "tpid").agg(F.sort_array(F.collect_list(one)).alias("msg"))
         return boxes.select(*names, "msg")
-    place_in_box = F.row_number().over(Window.partitionBy("tpid", "dst").orderBy("src"))
+    place_in_box = F.row_number().over(Window.partitionBy("dst", "tpid").orderBy("src"))
     kept = F.when(F.col("place_in_box") <= options.mailbox_limit, one)
-    boxes = mail.withColumn("place_in_box", place_in_box).groupBy("tpid", "dst").agg(F.array_sort(F.collect_list(kept)).alias("msg"), F.count(F.lit(1)).alias("n"))
+    boxes = mail.withColumn("place_in_box", place_in_box).groupBy("dst", "tpid").agg(F.sort_array(F.collect_list(kept)).alias("msg"), F.count(F.lit(1)).alias("n"))
     return boxes.select(*names, "msg", F.greatest(F.col("n") - options.mailbox_limit, F.lit(0)).alias("lost"))
 
 
-def pull(senders: DataFrame, graph: Graph, program: VertexProgram, options: Options, probe: Observation | None = None) -> DataFrame:
+def pull(senders: DataFrame, graph: Graph, program: VertexProgram, options: Options, probe: str | None = None) -> DataFrame:
     """Receivers read the one stored payload of each in-neighbour: a payload
     goes once to every partition that holds a neighbour, and is read there."""
-    routed = senders.selectExpr("pid", "id AS src", "payload").join(graph.routes, ["pid", "src"])
+    routed = senders.selectExpr("pid", "id AS src", "payload").join(graph.routes, ["src", "pid"])
     outboxes = routed.select("tpid", "src", "payload").repartition(graph.partitions, "tpid")
-    return _read(graph.edges_in.join(outboxes, ["tpid", "src"], "left"), graph, program, options, probe)
+    return _read(graph.edges_in.join(outboxes, ["src", "tpid"], "left"), graph, program, options, probe)
 
 
-def pull_addressed(senders: DataFrame, graph: Graph, program: VertexProgram, options: Options, probe: Observation | None = None) -> DataFrame:
+def pull_addressed(senders: DataFrame, graph: Graph, program: VertexProgram, options: Options, probe: str | None = None) -> DataFrame:
     """Outboxes with one entry per receiver: general, and as large as the mail."""
     near, far = graph.sent(senders.select("pid", F.col("id").alias("src"), "payload"))
     parts = [x.select("tpid", "src", "dst", "payload") for x in (near, far) if x is not None]
     outbox = (parts[0] if len(parts) == 1 else parts[0].unionByName(parts[1])).repartition(graph.partitions, "tpid")
-    return _read(graph.edges_in.join(outbox, ["tpid", "src", "dst"], "left"), graph, program, options, probe)
+    return _read(graph.edges_in.join(outbox, ["src", "tpid", "dst"], "left"), graph, program, options, probe)
 
 
-def _read(read: DataFrame, graph: Graph, program: VertexProgram, options: Options, probe: Observation | None) -> DataFrame:
+def _read(read: DataFrame, graph: Graph, program: VertexProgram, options: Options, probe: str | None) -> DataFrame:
     """Mailboxes from every in-edge and the payload found for it, or none."""
     if probe is not None:
         read = read.observe(probe, F.expr("count(1) AS probes"), F.expr("count_if(payload IS NULL) AS wasted_probes"))
     mail = read.where("payload is not null").select("tpid", "src", "dst", _message(graph, program).alias("m"))
     if not options.combine:
         return _queued(mail, options)
-    partial = mail.groupBy("tpid", "dst").agg(program.combiner.partial(F.col("m")).alias("m"))
-    boxes = partial.groupBy("tpid", "dst").agg(program.combiner.final(F.col("m")).alias("msg"))
+    partial, final = program.combiner.partial, program.combiner.final
+    if partial is not final:  # all mail of a receiver lies here: else one pass does
+        mail = mail.groupBy("dst", "tpid").agg(partial(F.col("m")).alias("m"))
+    boxes = mail.groupBy("dst", "tpid").agg(final(F.col("m")).alias("msg"))
     return boxes.selectExpr("tpid AS pid", "dst AS id", "msg")
 
 

@@ -20,7 +20,7 @@ from pyspark.sql.types import StructType
 
 from ..graph import Graph
 from ..program import VertexProgram
-from .checkpoints import cut, remove, shared_folder
+from .checkpoints import pack, remove, shared_folder
 from .lookup import Lookup, rows_scanned
 
 #: Rows that are kept beside the tables before they are written as a delta.
@@ -84,8 +84,8 @@ class Frontier:
         edges = self._graph.out_lookup.rows([r["pid"] for r in senders], [r["id"] for r in senders])
         message: Column = program.on_edge(F.col("payload"), F.col("weight") if self._graph.weighted else None)
         near = self._joined(edges.coalesce(1), "src", senders, "payload", kind)
-        local = near.select("tpid", "dst", message.alias("m")).groupBy("tpid", "dst").agg(program.combiner.partial(F.col("m")).alias("m"))
-        boxes = local.groupBy("tpid", "dst").agg(program.combiner.final(F.col("m")).cast(kind).alias("msg"))
+        local = near.select("tpid", "dst", message.alias("m")).groupBy("dst", "tpid").agg(program.combiner.partial(F.col("m")).alias("m"))
+        boxes = local.groupBy("dst", "tpid").agg(program.combiner.final(F.col("m")).cast(kind).alias("msg"))
         found = boxes.collect()
         return [{"pid": r.tpid, "id": r.dst, "msg": r.msg} for r in found], rows_scanned(boxes)
 
@@ -116,4 +116,4 @@ class Frontier:
         if not self._ran:
             return None, 0
         rows = self._table(list(self._ran.values()), self._schema)
-        return cut(rows.repartition(self._graph.partitions, "pid").sortWithinPartitions("pid", "id")), len(self._ran)
+        return pack(rows.repartition(self._graph.partitions, "pid").sortWithinPartitions("id", "pid"))[0], len(self._ran)

@@ -16,7 +16,7 @@ class Lookup:
 
     def __init__(self, df: DataFrame, key: str, path: str):
         self.key, self.path, self.spark = key, path, df.sparkSession
-        df.write.partitionBy("pid").option("parquet.page.row.count.limit", PAGE_ROWS).option("parquet.page.size.row.check.min", PAGE_ROWS).option("compression", "zstd").parquet(path)
+        df.sortWithinPartitions("pid", key).write.partitionBy("pid").option("parquet.page.row.count.limit", PAGE_ROWS).option("parquet.page.size.row.check.min", PAGE_ROWS).option("compression", "zstd").parquet(path)
         self._table = self.spark.read.schema(df.schema).parquet(path).select(df.columns)
 
     def rows(self, pids: list[int], keys: list[int]) -> DataFrame:

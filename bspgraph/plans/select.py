@@ -15,7 +15,7 @@ def first(state: DataFrame, message_type: str) -> DataFrame:
 
 def scan(state: DataFrame, inbox: DataFrame) -> DataFrame:
     """Every vertex is tested: awake, or woken by mail."""
-    joined = state.join(inbox, ["pid", "id"], "left")
+    joined = state.join(inbox, ["id", "pid"], "left")
     return joined.selectExpr("*", "NOT halted OR msg IS NOT NULL AS run")
 
 
@@ -23,17 +23,17 @@ def bypass(state: DataFrame, inbox: DataFrame) -> DataFrame:
     """Exactly the receivers run, without a test of their status, and only they
     are rows of the result: the inbox is the list.  Mail is keyed by receiver, so
     it has no duplicates."""
-    return inbox.join(state, ["pid", "id"]).selectExpr("*", "true AS run")
+    return inbox.join(state, ["id", "pid"]).selectExpr("*", "true AS run")
 
 
 def receivers(state: DataFrame, inbox: DataFrame) -> DataFrame:
     """The same among all rows, for when most vertices have mail."""
-    return state.join(inbox, ["pid", "id"], "left").selectExpr("*", "msg IS NOT NULL AS run")
+    return state.join(inbox, ["id", "pid"], "left").selectExpr("*", "msg IS NOT NULL AS run")
 
 
 def everyone(state: DataFrame, inbox: DataFrame) -> DataFrame:
     """No selection at all."""
-    return state.join(inbox, ["pid", "id"], "left").selectExpr("*", "true AS run")
+    return state.join(inbox, ["id", "pid"], "left").selectExpr("*", "true AS run")
 
 
 def rebalanced(chosen: DataFrame, partitions: int) -> DataFrame:

@@ -46,7 +46,7 @@ class VertexView:
     def messages(self) -> Column:
         """The mailbox as an array; empty without mail."""
         if self._queued:
-            return F.coalesce(F.transform("msg", lambda m: m["msg"]), F.array())
+            return F.coalesce(F.col("msg.msg"), F.array())
         return F.when(F.col("msg").isNotNull(), F.array("msg")).otherwise(F.array())
 
     @property
@@ -54,7 +54,7 @@ class VertexView:
         """The mailbox combined into one message; null without mail."""
         if not self._queued:
             return F.col("msg")
-        return self._combiner.fold(F.transform("msg", lambda m: m["msg"]))
+        return self._combiner.fold(F.col("msg.msg"))
 
     def attr(self, name: str) -> Column:
         return F.col(ATTRIBUTE + name)

@@ -3,12 +3,13 @@
 import os
 import random
 import time
+from dataclasses import replace
 
 import pytest
 from pyspark import StorageLevel
 from pyspark.sql import functions as F
 
-from bspgraph import registry, workloads
+from bspgraph import engine, registry, workloads
 from bspgraph.algorithms import ConnectedComponents, PageRank, ShortestPaths, connected_components, pagerank, sssp
 from bspgraph.algorithms.pagerank import pagerank_converged
 from bspgraph.baselines import asynchronous, subset
@@ -16,7 +17,7 @@ from bspgraph.engine import run
 from bspgraph.functions.combiners import Combiner
 from bspgraph.graph import Graph
 from bspgraph.options import EngineError, Options
-from bspgraph.plans import checkpoints, inspect
+from bspgraph.plans import checkpoints, exchange, inspect
 from bspgraph.plans.checkpoints import cut, loop_settings
 from bspgraph.plans.layout import place
 from bspgraph.program import Turn, VertexProgram
@@ -282,3 +283,33 @@ def test_files_of_frames_that_nobody_holds_are_deleted(spark):
             break
         time.sleep(0.2)
     assert not os.path.exists(path)
+
+
+def test_packed_tables_are_whole_and_keep_their_layout(spark):
+    rows = [(i, None if i % 3 else i * 0.5, f"ä{i}", [(i, i + 1)] if i % 2 else None) for i in range(3000)]
+    df = spark.createDataFrame(rows, "id long, v double, s string, sends array<struct<to:long,msg:long>>")
+    with loop_settings(spark):
+        packed, seen = checkpoints.pack(df.repartition(3, "id").sortWithinPartitions("id").observe("seen", F.count("v").alias("n"), F.max("id").alias("m")))
+        assert seen == {"n": 1000, "m": 2999} and packed.rdd.getNumPartitions() == 3
+        assert sorted((r.id, r.v, r.s, r.sends) for r in packed.collect()) == rows
+        found = packed.join(packed.select("id", F.col("v").alias("w")), "id")
+        assert found.count() == 3000 and inspect.operators(found)["Sort"] == inspect.exchanges(found) == 0
+    assert packed._jdf.queryExecution().optimizedPlan().stats().sizeInBytes() >= 2**60  # no estimate is handed on
+    path = packed._jdf.queryExecution().analyzed().rdd().dependencies().head().rdd().getCheckpointFile().get().removeprefix("file:")
+    assert os.path.exists(path)
+    checkpoints.drop(packed)
+    assert not os.path.exists(path)
+
+
+def test_no_sort_of_a_superstep_compares_labels_first(spark, sf):
+    """All rows of a partition share its label; sorted by it first, every comparison
+    reads both rows."""
+    g, program = workloads.graph(spark, sf, "chain"), ConnectedComponents()
+    for combine, name in ((True, "push"), (True, "pull"), (True, "pull_addressed"), (False, "push"), (False, "pull"), (False, "pull_addressed")):
+        options = Options("bypass", name, combine, lookup_most=0)
+        with loop_settings(spark):
+            state = run(g, program, replace(options, max_supersteps=1)).state
+            senders = state.withColumn("payload", F.col("id"))
+            text = inspect.plan_text(engine.superstep(state, exchange.FORMS[name](senders, g, program, options), g, program, options, 1))
+        assert "Sort [" in text
+        assert "Sort [pid" not in text and "Sort [tpid" not in text, name
